@@ -13,7 +13,7 @@ import numpy as np
 from reclink.llm._common import BLANK, SpanHasher, word_spans
 
 #: Distinct chunks that one worker keeps before it starts anew.
-CACHE_CHUNKS = 2_000_000
+CACHE_CHUNKS = 400_000
 
 
 def tokenizer_path(name: str) -> str:
