@@ -13,7 +13,9 @@ import numpy as np
 from reclink.llm._common import BLANK, SpanHasher, word_spans
 
 #: Distinct chunks that one worker keeps before it starts anew.
-CACHE_CHUNKS = 400_000
+CACHE_CHUNKS = 1_000_000
+#: Chunks that one call of the library gets as one text.
+JOINED = 400
 
 
 def tokenizer_path(name: str) -> str:
@@ -53,6 +55,19 @@ def spaced_chunks(data: np.ndarray, offsets: np.ndarray):
     return starts, ends, np.searchsorted(starts, offsets)
 
 
+def _plain() -> np.ndarray:
+    """Bytes of characters that lower-casing and composition leave at their length: ASCII
+    signs and U+00C0-U+00FF."""
+    ok = np.zeros(256, bool)
+    ok[0x21:0x7F] = True
+    ok[0x80:0xC0] = True
+    ok[0xC3] = True
+    return ok
+
+
+_PLAIN = _plain()
+
+
 class ChunkEncoder:
     """encode(data, offsets) -> (ids of all rows in order, ids of each row)."""
 
@@ -62,6 +77,8 @@ class ChunkEncoder:
         self.tokenizer = Tokenizer.from_file(path)
         self.tokenizer.encode_special_tokens = True
         self.spaced = spaced
+        size = self.tokenizer.get_vocab_size(with_added_tokens=True)
+        self.token_bytes = np.array([len((self.tokenizer.id_to_token(i) or "").removesuffix("" if spaced else "</w>")) for i in range(size)], np.int64)
         self.hash, self.check = SpanHasher(11, lower=not spaced), SpanHasher(23, lower=not spaced)
         self._reset()
 
@@ -73,14 +90,30 @@ class ChunkEncoder:
     def _library(self, texts: list[str]) -> list[list[int]]:
         return [x.ids for x in self.tokenizer.encode_batch_fast(texts, add_special_tokens=False)]
 
-    def _keep(self, ids: list[list[int]]) -> np.ndarray:
-        """Append to the pool; returns the slots."""
+    def _apart(self, texts: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
+        ids = self._library([x.decode("utf-8", "replace") for x in texts])
         sizes = np.fromiter(map(len, ids), np.int64, len(ids))
-        total = int(sizes.sum())
+        return np.fromiter((x for one in ids for x in one), np.uint32, int(sizes.sum())), sizes
+
+    def _joined(self, texts: list[bytes], lengths: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Chunks that may stand behind each other in one text; their ids are told apart by
+        the bytes that ids stand for."""
+        glue = b"" if self.spaced else b" "
+        each = self._library([glue.join(texts[i : i + JOINED]).decode("utf-8", "replace") for i in range(0, len(texts), JOINED)])
+        ids = np.concatenate([np.array(x, np.uint32) for x in each])
+        ends, stops = np.cumsum(self.token_bytes[ids]), np.cumsum(lengths)
+        last = np.minimum(np.searchsorted(ends, stops), len(ends) - 1)
+        if (ends[last] != stops).any() or last[-1] != len(ids) - 1:
+            return self._apart(texts)
+        return ids, np.diff(last, prepend=-1)
+
+    def _keep(self, ids: np.ndarray, sizes: np.ndarray) -> np.ndarray:
+        """Append to the pool; returns the slots."""
+        total = len(ids)
         if self.used + total > len(self.pool):
-            self.pool = np.concatenate([self.pool, np.zeros(max(total, len(self.pool)), np.uint32)])
-        self.pool[self.used : self.used + total] = np.fromiter((x for one in ids for x in one), np.uint32, total)
-        slots = len(self.chunk_at) + np.arange(len(ids))
+            self.pool = np.concatenate([self.pool, np.zeros(max(total, len(self.pool) // 2), np.uint32)])
+        self.pool[self.used : self.used + total] = ids
+        slots = len(self.chunk_at) + np.arange(len(sizes))
         self.chunk_at = np.concatenate([self.chunk_at, self.used + np.cumsum(sizes) - sizes])
         self.chunk_len = np.concatenate([self.chunk_len, sizes])
         self.used += total
@@ -98,8 +131,15 @@ class ChunkEncoder:
         miss = np.flatnonzero(slots < 0)
         if len(miss):
             raw = data.tobytes()
-            texts = [raw[s:e].decode("utf-8", "replace") for s, e in zip(starts[miss].tolist(), ends[miss].tolist())]
-            slots[miss] = self._keep(self._library(texts))
+            if self.spaced:
+                easy = (data[starts] == 0x20) & _SAFE[data[np.minimum(starts + 1, ends - 1)]]
+            else:
+                odd = np.concatenate([[0], np.cumsum(~_PLAIN[data])])
+                easy = odd[ends] == odd[starts]
+            for some, encode in ((miss[easy[miss]], self._joined), (miss[~easy[miss]], self._apart)):
+                if len(some):
+                    texts = [raw[s:e] for s, e in zip(starts[some].tolist(), ends[some].tolist())]
+                    slots[some] = self._keep(*(encode(texts, ends[some] - starts[some]) if encode == self._joined else encode(texts)))
             fresh = [np.concatenate(x) for x in zip(self.levels[1], (keys[miss], checks[miss], slots[miss]))]
             if len(fresh[0]) > len(self.levels[0][0]) // 2:
                 fresh = [np.concatenate(x) for x in zip(self.levels[0], fresh)]

@@ -144,7 +144,7 @@ def pieces(docs: DataFrame, path: str, capacity: int = CAPACITY, end_id: int = 0
         encoder = store["encoder", path]
         for batch in batches:
             names = batch.column(0)
-            for at, to, data, offsets in text_steps(batch.column(1), 2 << 20):
+            for at, to, data, offsets in text_steps(batch.column(1), 4 << 20):
                 ids, sizes = encoder.encode(data, offsets)
                 ids = np.insert(ids, np.cumsum(sizes), np.uint32(end_id)).astype("<u4")
                 sizes = sizes + 1

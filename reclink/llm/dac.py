@@ -174,7 +174,7 @@ def write_shards(docs: DataFrame, folder: str, path: str, end_id: int = 2, space
 
         for batch in batches:
             names = batch.column(0)
-            for at, to, data, offsets in text_steps(batch.column(1), 2 << 20):
+            for at, to, data, offsets in text_steps(batch.column(1), 4 << 20):
                 ids, sizes = encoder.encode(data, offsets)
                 ends = np.cumsum(sizes)
                 ids = np.insert(ids, ends, np.uint32(end_id))
