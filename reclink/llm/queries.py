@@ -2,16 +2,74 @@
 
 from __future__ import annotations
 
-from reclink.llm import dac
+from pyspark.sql import functions as F
+
+from reclink.llm import binpack, dac, decontam, langid, oddsketch
+from reclink.llm._common import crc32_text
 
 
 def _table(spark, sf_dir, name):
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+def op1_language(spark, sf_dir):
+    docs = _table(spark, sf_dir, "documents")
+    held_out = F.pmod(crc32_text("doc_id"), F.lit(3)) == 1
+    model = langid.train(docs.where(~held_out))
+    return langid.predict(docs, model).select("doc_id", held_out.alias("held_out"), "lang_pred", "score")
+
+
+def op5_near_copies(spark, sf_dir):
+    found = oddsketch.near_copies(_table(spark, sf_dir, "documents"))
+    return found.select("doc_id", "n_shingles", "component_id", "kept")
+
+
+def op8_decontamination(spark, sf_dir):
+    found = decontam.contamination(_table(spark, sf_dir, "documents"), _table(spark, sf_dir, "benchmark"))
+    return found.drop("k1", "k2")
+
+
+def op9_packing(spark, sf_dir):
+    return binpack.pack_documents(_table(spark, sf_dir, "documents"))
+
+
 def op10_token_file(spark, sf_dir):
     return dac.token_file(_table(spark, sf_dir, "documents"))
 
 
-QUERIES = {"op10_token_file": op10_token_file}
-ORACLES: dict[str, str] = {}
+QUERIES = {
+    "op1_language": op1_language,
+    "op5_near_copies": op5_near_copies,
+    "op8_decontamination": op8_decontamination,
+    "op9_packing": op9_packing,
+    "op10_token_file": op10_token_file,
+}
+
+_LOWER = "translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz')"
+
+ORACLES: dict[str, str] = {
+    "op5_near_copies": rf"""
+        WITH RECURSIVE w AS (SELECT doc_id, list_filter(regexp_split_to_array({_LOWER}, '[\x20\x09-\x0D]+'), lambda x: x <> '') AS w FROM documents),
+        s AS (SELECT doc_id, CASE WHEN len(w) = 0 THEN [] WHEN len(w) < 5 THEN [list_aggregate(w, 'string_agg', ' ')]
+              ELSE list_distinct(list_transform(range(1, len(w) - 3), lambda i: list_aggregate(w[i:i+4], 'string_agg', ' '))) END AS s FROM w),
+        e AS (SELECT doc_id, len(s) AS n, unnest(s) AS g FROM s),
+        i AS (SELECT a.doc_id AS a, b.doc_id AS b, a.n AS na, b.n AS nb, count(*) AS m FROM e a JOIN e b ON a.g = b.g AND a.doc_id <> b.doc_id GROUP BY ALL),
+        links AS (SELECT a, b FROM i WHERE 100 * m >= 85 * (na + nb - m)),
+        reach AS (SELECT a AS v, a AS u FROM links UNION SELECT r.v, l.b FROM reach r JOIN links l ON r.u = l.a),
+        c AS (SELECT v, min(u) AS m FROM reach GROUP BY v)
+        SELECT s.doc_id, CAST(len(s.s) AS BIGINT) AS n_shingles, coalesce(c.m, s.doc_id) AS component_id, s.doc_id = coalesce(c.m, s.doc_id) AS kept
+        FROM s LEFT JOIN c ON s.doc_id = c.v""",
+    "op8_decontamination": rf"""
+        WITH d AS (SELECT doc_id, list_filter(regexp_split_to_array({_LOWER}, '[\x00-\x2F\x3A-\x60\x7B-\x7F]+'), lambda x: x <> '') AS w FROM documents),
+        b AS (SELECT item_id, list_filter(regexp_split_to_array({_LOWER}, '[\x00-\x2F\x3A-\x60\x7B-\x7F]+'), lambda x: x <> '') AS w FROM benchmark WHERE item_id IS NOT NULL),
+        bs AS (SELECT item_id, w, least(13, len(w)) AS n, unnest(range(1, CAST(len(w) - least(13, len(w)) + 2 AS BIGINT))) AS i FROM b WHERE len(w) > 0),
+        win AS (SELECT DISTINCT item_id, n, list_aggregate(w[i:i + n - 1], 'string_agg', ' ') AS t FROM bs),
+        sizes AS (SELECT DISTINCT n FROM win),
+        ds AS (SELECT doc_id, w, n, unnest(range(1, CAST(len(w) - n + 2 AS BIGINT))) AS i FROM d, sizes WHERE len(w) >= n),
+        hit AS (SELECT ds.doc_id, ds.i, ds.n, win.item_id FROM ds JOIN win ON ds.n = win.n AND list_aggregate(ds.w[ds.i:ds.i + ds.n - 1], 'string_agg', ' ') = win.t),
+        pos AS (SELECT doc_id, count(DISTINCT p) AS n_hit FROM (SELECT doc_id, unnest(range(i, i + n)) AS p FROM hit) GROUP BY doc_id),
+        its AS (SELECT doc_id, count(*) AS n_items, string_agg(x, ',' ORDER BY x) AS names FROM (SELECT DISTINCT doc_id, CAST(item_id AS VARCHAR) AS x FROM hit) GROUP BY doc_id)
+        SELECT d.doc_id, CAST(len(d.w) AS BIGINT) AS n_words, CAST(coalesce(n_hit, 0) AS BIGINT) AS n_hit, CAST(coalesce(n_items, 0) AS BIGINT) AS n_items,
+               sha256(coalesce(names, '')) AS items_sha256, coalesce(n_hit, 0) > 0 AND 20 * coalesce(n_hit, 0) >= len(d.w) AS contaminated
+        FROM d LEFT JOIN pos USING (doc_id) LEFT JOIN its USING (doc_id)""",
+}
