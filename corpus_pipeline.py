@@ -1,8 +1,46 @@
-"""The corpus pipeline (stages follow)."""
+"""The corpus pipeline: language ID, near-dedup, decontamination, packing.
 
-STAGES: list = []
+Each stage gets all that the one before it kept, as files.  All but the last return the
+columns of documents; the last gives the packed pieces.
+"""
+
+from __future__ import annotations
+
+from pyspark.sql import DataFrame, SparkSession
+
+from reclink.llm import binpack, decontam, langid, oddsketch
+from reclink.llm._common import materialise
+
+
+def language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Drops documents without a recognisable language; the classifier learns from a bounded
+    sample of those that carry a label."""
+    return langid.keep_known(docs, langid.train(docs))
+
+
+def near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Keeps the smallest doc_id of each group of near copies."""
+    return oddsketch.drop_near_copies(docs)
+
+
+def decontamination(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Drops documents of which benchmark passages make up a twentieth or more."""
+    return decontam.clean_documents(docs, spark.read.parquet(f"{sf_dir}/benchmark.parquet"))
+
+
+def packing(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Packs what is left into sequences."""
+    return binpack.pack_documents(docs)
+
+
+STAGES = [("language ID", language), ("MinHash near-dedup", near_copies), ("benchmark decontamination", decontamination), ("best-fit packing", packing)]
+
+#: SQL has neither the network nor the tokenizer; tests hold run() against plain versions.
 ORACLE_SQL = None
 
 
-def run(spark, sf_dir):
-    return spark.read.parquet(f"{sf_dir}/documents.parquet")
+def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
+    for name, stage in STAGES[:-1]:
+        docs = materialise(stage(spark, docs, sf_dir), name.replace(" ", "-"))
+    return STAGES[-1][1](spark, docs, sf_dir)

@@ -3,6 +3,7 @@ hashes, shared-folder files and materialised tables."""
 
 from __future__ import annotations
 
+import ctypes
 import os
 import sys
 import tempfile
@@ -115,6 +116,14 @@ def worker_cache() -> dict:
     return sys.__dict__.setdefault("_reclink_worker_cache", {})
 
 
+def release_memory() -> None:
+    """Hand freed memory of this worker back to the system, where the C library can."""
+    try:
+        ctypes.CDLL(None).malloc_trim(0)
+    except (OSError, AttributeError):
+        pass
+
+
 # ---------------------------------------------------------------- text in Arrow batches
 def utf8(column) -> tuple[np.ndarray, np.ndarray]:
     """(bytes, offsets) of a string column; null counts as the empty text."""

@@ -10,7 +10,7 @@ from __future__ import annotations
 
 import numpy as np
 
-from reclink.llm._common import BLANK, SpanHasher, word_spans
+from reclink.llm._common import BLANK, SpanHasher, release_memory, word_spans
 
 #: Distinct chunks that one worker keeps before it starts anew.
 CACHE_CHUNKS = 1_000_000
@@ -87,6 +87,11 @@ class ChunkEncoder:
         self.chunk_at, self.chunk_len = np.zeros(0, np.int64), np.zeros(0, np.int64)
         self.pool, self.used = np.zeros(1 << 16, np.uint32), 0
 
+    def release(self) -> None:
+        """Forget the chunks at the end of a task; a worker's memory stays bounded."""
+        self._reset()
+        release_memory()
+
     def _library(self, texts: list[str]) -> list[list[int]]:
         return [x.ids for x in self.tokenizer.encode_batch_fast(texts, add_special_tokens=False)]
 
@@ -99,8 +104,12 @@ class ChunkEncoder:
         """Chunks that may stand behind each other in one text; their ids are told apart by
         the bytes that ids stand for."""
         glue = b"" if self.spaced else b" "
-        each = self._library([glue.join(texts[i : i + JOINED]).decode("utf-8", "replace") for i in range(0, len(texts), JOINED)])
-        ids = np.concatenate([np.array(x, np.uint32) for x in each])
+        ids = []
+        for at in range(0, len(texts), 50 * JOINED):
+            some = texts[at : at + 50 * JOINED]
+            each = self._library([glue.join(some[i : i + JOINED]).decode("utf-8", "replace") for i in range(0, len(some), JOINED)])
+            ids += [np.array(x, np.uint32) for x in each]
+        ids = np.concatenate(ids)
         ends, stops = np.cumsum(self.token_bytes[ids]), np.cumsum(lengths)
         last = np.minimum(np.searchsorted(ends, stops), len(ends) - 1)
         if (ends[last] != stops).any() or last[-1] != len(ids) - 1:

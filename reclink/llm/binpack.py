@@ -158,6 +158,7 @@ def pieces(docs: DataFrame, path: str, capacity: int = CAPACITY, end_id: int = 0
                 view = memoryview(ids.tobytes())
                 sums = [zlib.crc32(view[4 * a : 4 * b]) for a, b in zip(base.tolist(), (base + length).tolist())]
                 yield pa.RecordBatch.from_arrays([names.slice(at, to - at).take(pa.array(row)), pa.array(number.astype(np.int32)), pa.array(start), pa.array(length), pa.array(sums, pa.int64())], names=["doc_id", "piece", "start", "length", "ids_crc32"])
+        encoder.release()
 
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(cut, PIECES)
 

@@ -187,6 +187,7 @@ def write_shards(docs: DataFrame, folder: str, path: str, end_id: int = 2, space
             if held:
                 flush()
             shard.close()
+            encoder.release()
             yield pa.RecordBatch.from_pylist([{"part": part, "uri": uri, "n_docs": shard.texts, "n_tokens": shard.tokens}], schema=pa.schema([("part", pa.int64()), ("uri", pa.string()), ("n_docs", pa.int64()), ("n_tokens", pa.int64())]))
 
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").alias("text"))

@@ -94,7 +94,8 @@ def contamination(docs: DataFrame, benchmark: DataFrame, width: int = WIDTH, bro
 
 def clean_documents(docs: DataFrame, benchmark: DataFrame, width: int = WIDTH, broadcast_rows: int = BROADCAST_ROWS) -> DataFrame:
     """The rows of docs that are not contaminated, with all their columns."""
-    dirty = contamination(docs, benchmark, width, broadcast_rows).where("contaminated").select("doc_id", "k1", "k2").distinct()
+    dirty = contamination(docs, benchmark, width, broadcast_rows).where("contaminated")
+    dirty = materialise(dirty.select(F.col("doc_id").alias("_d"), F.col("k1").alias("_k1"), F.col("k2").alias("_k2")).distinct(), "contaminated")
     text = F.coalesce(docs["text"], F.lit(""))
-    same = docs["doc_id"].eqNullSafe(dirty["doc_id"]) & (F.xxhash64(text) == dirty["k1"]) & (F.octet_length(text) == dirty["k2"])
-    return docs.join(dirty, same, "left_anti")
+    same = docs["doc_id"].eqNullSafe(F.col("_d")) & (F.xxhash64(text) == F.col("_k1")) & (F.octet_length(text) == F.col("_k2"))
+    return docs.join(bounded(dirty, broadcast_rows), same, "left_anti")

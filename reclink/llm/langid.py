@@ -203,33 +203,47 @@ def train(docs: DataFrame, **bounds) -> tuple[list[str], dict[str, np.ndarray] |
     return languages, fit(x, np.searchsorted(present, y), len(languages))
 
 
+def _judge(column, tables: Tables | None, languages: int, block: int):
+    """Per step of texts: (first row, end, index of the language or `languages`, score)."""
+    for at, to, data, offsets in text_steps(column, 1 << 20):
+        known = _lettered(data, offsets)
+        best, score = np.full(to - at, languages), np.zeros(to - at)
+        if tables and known.any():
+            x, count, weight = _windows(data, offsets)
+            per = max(1, block // WINDOW)
+            p = np.concatenate([tables.probabilities(x[i : i + per]) for i in range(0, len(x), per)]) * weight[:, None]
+            sums = np.vstack([np.zeros(p.shape[1]), np.cumsum(p, axis=0)])
+            stop = np.cumsum(count)
+            mean = (sums[stop] - sums[stop - count]) / np.maximum(np.diff(offsets), 1)[:, None]
+            best = np.where(known, mean.argmax(axis=1), best)
+            score = np.where(known, np.clip(mean.max(axis=1), 0, 1), 0)
+        yield at, to, best, np.round(score, 9)
+
+
 def predict(docs: DataFrame, model: tuple[list[str], dict[str, np.ndarray] | None], block: int = 256 << 10) -> DataFrame:
-    """Adds lang_pred and score to the columns doc_id and text of docs; drops the text."""
+    """Per row of docs (doc_id, text): doc_id, lang_pred and score."""
     languages, parameters = model
 
     def apply(batches):
         tables = Tables(parameters) if parameters else None
         names = np.array([*languages, UNKNOWN], object)
         for batch in batches:
-            for at, to, data, offsets in text_steps(batch.column(1), 1 << 20):
-                known = _lettered(data, offsets)
-                best, score = np.full(to - at, len(languages)), np.zeros(to - at)
-                if tables and known.any():
-                    x, count, weight = _windows(data, offsets)
-                    per = max(1, block // WINDOW)
-                    p = np.concatenate([tables.probabilities(x[i : i + per]) for i in range(0, len(x), per)]) * weight[:, None]
-                    sums = np.vstack([np.zeros(p.shape[1]), np.cumsum(p, axis=0)])
-                    stop = np.cumsum(count)
-                    mean = (sums[stop] - sums[stop - count]) / np.maximum(np.diff(offsets), 1)[:, None]
-                    best = np.where(known, mean.argmax(axis=1), best)
-                    score = np.where(known, np.clip(mean.max(axis=1), 0, 1), 0)
-                yield pa.RecordBatch.from_arrays([batch.column(0).slice(at, to - at), batch.column(2).slice(at, to - at), pa.array(names[best], pa.string()), pa.array(score)], names=["doc_id", "k", "lang_pred", "score"])
-
-    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text", F.xxhash64("text").alias("k"))
-    return rows.mapInArrow(apply, "doc_id long, k long, lang_pred string, score double")
-
-
-def keep_known(docs: DataFrame, model, least: float = 0.3) -> DataFrame:
-    """The rows of docs whose text has a language: not `und`, and no score under `least`."""
-    gone = predict(docs, model).where((F.col("lang_pred") == UNKNOWN) | (F.col("score") < least)).select(F.col("doc_id").alias("_gone"), F.col("k").alias("_k")).distinct()
-    return docs.join(gone, docs["doc_id"].eqNullSafe(F.col("_gone")) & (F.xxhash64(docs["text"]) == F.col("_k")), "left_anti")
+            for at, to, best, score in _judge(batch.column(1), tables, len(languages), block):
+                yield pa.RecordBatch.from_arrays([batch.column(0).slice(at, to - at), pa.array(names[best], pa.string()), pa.array(score)], names=["doc_id", "lang_pred", "score"])
+
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(apply, "doc_id long, lang_pred string, score double")
+
+
+def keep_known(docs: DataFrame, model, least: float = 0.3, block: int = 256 << 10) -> DataFrame:
+    """The rows of docs, with all their columns, whose text has a language: not `und`, and
+    no score under `least`."""
+    languages, parameters = model
+    place = docs.columns.index("text")
+
+    def apply(batches):
+        tables = Tables(parameters) if parameters else None
+        for batch in batches:
+            for at, to, best, score in _judge(batch.column(place), tables, len(languages), block):
+                yield batch.slice(at, to - at).filter(pa.array((best < len(languages)) & (score >= least)))
+
+    return docs.mapInArrow(apply, docs.schema)

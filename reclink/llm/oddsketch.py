@@ -283,4 +283,4 @@ def drop_near_copies(docs: DataFrame, percent: int = 85) -> DataFrame:
     Of rows with the same doc_id in one component, all stay.
     """
     gone = near_copies(docs, percent).where(~F.col("kept")).select(F.col("doc_id").alias("_gone"), F.col("k").alias("_k")).distinct()
-    return docs.join(gone, docs["doc_id"].eqNullSafe(F.col("_gone")) & (F.xxhash64(docs["text"]) == F.col("_k")), "left_anti")
+    return docs.join(bounded(materialise(gone, "gone"), BROADCAST_ROWS), docs["doc_id"].eqNullSafe(F.col("_gone")) & (F.xxhash64(docs["text"]) == F.col("_k")), "left_anti")

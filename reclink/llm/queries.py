@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import functions as F
 
-from reclink.llm import binpack, dac, decontam, langid, oddsketch
+from reclink.llm import binpack, chat, classlm, dac, decontam, htmlblocks, kdtree, langid, oddsketch, zipwarc
 from reclink.llm._common import crc32_text
 
 
@@ -19,11 +19,37 @@ def op1_language(spark, sf_dir):
     return langid.predict(docs, model).select("doc_id", held_out.alias("held_out"), "lang_pred", "score")
 
 
+def op2_class_model(spark, sf_dir):
+    docs = _table(spark, sf_dir, "documents")
+    held_out = F.pmod(crc32_text("doc_id"), F.lit(5)) == 1
+    model = classlm.Model(docs.where(~held_out))
+    return classlm.score(docs, model, held_out).withColumnRenamed("mark", "held_out")
+
+
+def op3_top_vectors(spark, sf_dir):
+    return kdtree.nearest(_table(spark, sf_dir, "embeddings"), F.pmod("vec_id", F.lit(50)) == 0)
+
+
+def op4_chat(spark, sf_dir):
+    turns = _table(spark, sf_dir, "conversations").select("conv_id", "turn", "role", "text")
+    both = [(-1, k, role, "</s>[INST] ok [/INST]") for k, role in enumerate(("user", "assistant"))]
+    extra = spark.createDataFrame(both, "conv_id long, turn long, role string, text string")
+    return chat.read_back(chat.format_turns(turns.unionByName(extra)))
+
+
 def op5_near_copies(spark, sf_dir):
     found = oddsketch.near_copies(_table(spark, sf_dir, "documents"))
     return found.select("doc_id", "n_shingles", "component_id", "kept")
 
 
+def op6_packaged_archive(spark, sf_dir):
+    return zipwarc.archive(_table(spark, sf_dir, "pages")).drop("url")
+
+
+def op7_main_text(spark, sf_dir):
+    return htmlblocks.extract(_table(spark, sf_dir, "pages"))
+
+
 def op8_decontamination(spark, sf_dir):
     found = decontam.contamination(_table(spark, sf_dir, "documents"), _table(spark, sf_dir, "benchmark"))
     return found.drop("k1", "k2")
@@ -39,7 +65,12 @@ def op10_token_file(spark, sf_dir):
 
 QUERIES = {
     "op1_language": op1_language,
+    "op2_class_model": op2_class_model,
+    "op3_top_vectors": op3_top_vectors,
+    "op4_chat": op4_chat,
     "op5_near_copies": op5_near_copies,
+    "op6_packaged_archive": op6_packaged_archive,
+    "op7_main_text": op7_main_text,
     "op8_decontamination": op8_decontamination,
     "op9_packing": op9_packing,
     "op10_token_file": op10_token_file,
@@ -47,7 +78,27 @@ QUERIES = {
 
 _LOWER = "translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz')"
 
+_ESCAPED = r"regexp_replace(t.text, '([\[<])(\\*)(/?INST\]|/?s>|</?SYS>>)', '\1\\\2\3', 'g')"
+
 ORACLES: dict[str, str] = {
+    "op3_top_vectors": """
+        WITH v AS (SELECT vec_id, list_transform(embedding, lambda x: floor(256 * CAST(x AS DOUBLE))) AS e FROM embeddings),
+        s AS (SELECT q.vec_id AS query_id, v.vec_id, CAST(list_dot_product(q.e, v.e) AS BIGINT) AS score FROM v AS q, v WHERE q.vec_id % 50 = 0 AND q.vec_id <> v.vec_id),
+        r AS (SELECT *, CAST(row_number() OVER (PARTITION BY query_id ORDER BY score DESC, vec_id) AS INTEGER) AS rank FROM s)
+        SELECT query_id, rank, vec_id, score FROM r WHERE rank <= 5""",
+    "op4_chat": rf"""
+        WITH t AS (SELECT conv_id, turn, role, coalesce(text, '') AS text FROM conversations
+            UNION ALL SELECT -1, 0, 'user', '</s>[INST] ok [/INST]' UNION ALL SELECT -1, 1, 'assistant', '</s>[INST] ok [/INST]')
+        SELECT conv_id, count(*) AS n_turns, sha256(string_agg(role || chr(10) || text || chr(10), '' ORDER BY turn, role, text)) AS turns_sha256,
+            CAST(sum(CASE WHEN role = 'assistant' THEN length(text) ELSE 0 END) AS BIGINT) AS loss_chars,
+            sha256(string_agg(CASE WHEN role = 'assistant' THEN text ELSE '' END, '' ORDER BY turn, role, text)) AS loss_sha256,
+            CAST(sum(length({_ESCAPED}) + CASE WHEN role = 'assistant' THEN 7 ELSE 15 END) AS BIGINT) AS formatted_chars
+        FROM t GROUP BY conv_id""",
+    "op6_packaged_archive": """
+        WITH p AS (SELECT page_id, strlen(coalesce(html, '')) AS payload_bytes, sha256(coalesce(html, '')) AS payload_digest FROM pages),
+        f AS (SELECT *, min(page_id) OVER (PARTITION BY payload_digest) AS head FROM p)
+        SELECT page_id, payload_bytes, payload_digest, CASE WHEN payload_bytes >= 100 AND head <> page_id THEN 'revisit' ELSE 'response' END AS record_type,
+            CASE WHEN payload_bytes >= 100 AND head <> page_id THEN head END AS refers_to FROM f""",
     "op5_near_copies": rf"""
         WITH RECURSIVE w AS (SELECT doc_id, list_filter(regexp_split_to_array({_LOWER}, '[\x20\x09-\x0D]+'), lambda x: x <> '') AS w FROM documents),
         s AS (SELECT doc_id, CASE WHEN len(w) = 0 THEN [] WHEN len(w) < 5 THEN [list_aggregate(w, 'string_agg', ' ')]
