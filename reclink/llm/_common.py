@@ -118,12 +118,26 @@ def worker_cache() -> dict:
 
 def release_memory() -> None:
     """Hand freed memory of this worker back to the system, where the C library can."""
+    pa.default_memory_pool().release_unused()
     try:
         ctypes.CDLL(None).malloc_trim(0)
     except (OSError, AttributeError):
         pass
 
 
+def tidy(step):
+    """A mapInArrow function that leaves no freed memory behind: workers live on, idle,
+    while later stages need their executor's memory."""
+
+    def run(batches):
+        try:
+            yield from step(batches)
+        finally:
+            release_memory()
+
+    return run
+
+
 # ---------------------------------------------------------------- text in Arrow batches
 def utf8(column) -> tuple[np.ndarray, np.ndarray]:
     """(bytes, offsets) of a string column; null counts as the empty text."""

@@ -29,7 +29,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from reclink.llm._common import materialise, text_steps, worker_cache
+from reclink.llm._common import materialise, text_steps, tidy, worker_cache
 from reclink.llm._tokens import ChunkEncoder, tokenizer_path
 
 CAPACITY = 2048
@@ -160,7 +160,7 @@ def pieces(docs: DataFrame, path: str, capacity: int = CAPACITY, end_id: int = 0
                 yield pa.RecordBatch.from_arrays([names.slice(at, to - at).take(pa.array(row)), pa.array(number.astype(np.int32)), pa.array(start), pa.array(length), pa.array(sums, pa.int64())], names=["doc_id", "piece", "start", "length", "ids_crc32"])
         encoder.release()
 
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(cut, PIECES)
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(tidy(cut), PIECES)
 
 
 def _pack_island(capacity: int, last: bool):

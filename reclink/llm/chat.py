@@ -30,7 +30,7 @@ import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from reclink.llm._common import steps, utf8
+from reclink.llm._common import steps, tidy, utf8
 
 CONTROL = r"/?INST\]|/?s>|</?SYS>>"
 _HIDE = rf"([\[<])(\\*)({CONTROL})"
@@ -101,7 +101,7 @@ def format_turns(turns: DataFrame) -> DataFrame:
     text = lambda c: F.coalesce(F.col(c).cast("string"), F.lit(""))
     rows = turns.select(F.col("conv_id").cast("long").alias("conv_id"), text("role").alias("role"), text("text").alias("text"), F.col("turn").alias("turn"))
     ordered = rows.repartition("conv_id").sortWithinPartitions("conv_id", "turn", "role", "text")
-    return ordered.select("conv_id", "role", "text").mapInArrow(apply, PARTS)
+    return ordered.select("conv_id", "role", "text").mapInArrow(tidy(apply), PARTS)
 
 
 def turns_of(formatted: str) -> list[tuple[str, str]]:
@@ -156,4 +156,4 @@ def read_back(parts: DataFrame) -> DataFrame:
         if open_:
             yield pa.RecordBatch.from_pylist([open_.row()], schema=pa.schema(names))
 
-    return parts.mapInArrow(apply, "conv_id long, n_turns long, turns_sha256 string, loss_chars long, loss_sha256 string, formatted_chars long")
+    return parts.mapInArrow(tidy(apply), "conv_id long, n_turns long, turns_sha256 string, loss_chars long, loss_sha256 string, formatted_chars long")

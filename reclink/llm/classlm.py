@@ -25,7 +25,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from reclink.llm._common import SpanHasher, materialise, text_steps, word_spans
+from reclink.llm._common import SpanHasher, materialise, text_steps, tidy, word_spans
 
 ITEMS, ENDINGS, CLASSES, FREQUENT = 512, 511, 64, 1 << 18
 ADD = 0.5
@@ -59,7 +59,7 @@ def count_words(texts: DataFrame) -> DataFrame:
                 h, g, c = np.append(h, END), np.append(g, -1), np.append(c, batch.num_rows)
                 yield pa.RecordBatch.from_arrays([pa.array(h.view(np.int64)), pa.array(g.astype(np.int16)), pa.array(c)], names=["h", "g", "c"])
 
-    return texts.select("text").mapInArrow(count, "h long, g short, c long").groupBy("h").agg(F.first("g").alias("g"), F.sum("c").alias("c"))
+    return texts.select("text").mapInArrow(tidy(count), "h long, g short, c long").groupBy("h").agg(F.first("g").alias("g"), F.sum("c").alias("c"))
 
 
 def most_frequent(counts: DataFrame, most: int) -> tuple[np.ndarray, np.ndarray, np.ndarray, int]:
@@ -119,7 +119,7 @@ def count_pairs(texts: DataFrame, items: Items) -> np.ndarray:
         cells = np.flatnonzero(total)
         yield pa.RecordBatch.from_arrays([pa.array(cells), pa.array(total[cells])], names=["cell", "c"])
 
-    table = texts.select("text").mapInArrow(count, "cell long, c long").groupBy("cell").agg(F.sum("c").alias("c")).toArrow()
+    table = texts.select("text").mapInArrow(tidy(count), "cell long, c long").groupBy("cell").agg(F.sum("c").alias("c")).toArrow()
     out = np.zeros(size * size, np.int64)
     out[table["cell"].to_numpy()] = table["c"].to_numpy()
     return out.reshape(size, size)
@@ -268,7 +268,7 @@ def score(docs: DataFrame, model: Model, mark: Column | None = None) -> DataFram
                 row += to - at
 
     mark = F.lit(None).cast("boolean") if mark is None else mark
-    rows = materialise(docs.select(F.col("doc_id").cast("long").alias("doc_id"), mark.alias("mark"), "text").mapInArrow(apply, _ROWS), "scored")
+    rows = materialise(docs.select(F.col("doc_id").cast("long").alias("doc_id"), mark.alias("mark"), "text").mapInArrow(tidy(apply), _ROWS), "scored")
     rest = rows.where(F.size("h") > 0).select("row", F.explode(F.arrays_zip("h", "n")).alias("p")).select("row", F.col("p.h").alias("h"), F.col("p.n").alias("n"))
     count = F.coalesce("c", F.lit(0))
     found = rest.join(model.rare, "h", "left").groupBy("row").agg(F.sum(F.col("n") * F.log10(count + ADD)).alias("more"), F.sum(F.when(count > 0, F.col("n")).otherwise(0)).alias("seen"))

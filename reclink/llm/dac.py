@@ -26,7 +26,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from reclink.llm._common import AtomicWriter, SharedFile, fresh_uri, materialise, text_steps, worker_cache
+from reclink.llm._common import AtomicWriter, SharedFile, fresh_uri, materialise, text_steps, tidy, worker_cache
 from reclink.llm._tokens import ChunkEncoder, tokenizer_path
 
 MAGIC = b"DACSHARD1\n"
@@ -193,7 +193,7 @@ def write_shards(docs: DataFrame, folder: str, path: str, end_id: int = 2, space
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").alias("text"))
     rows = rows.withColumn("tie", F.xxhash64("text"))
     ordered = rows.repartitionByRange("doc_id", "tie").sortWithinPartitions("doc_id", "tie").select("doc_id", "text")
-    return materialise(ordered.mapInArrow(encode_part, "part long, uri string, n_docs long, n_tokens long"), "dac-manifest")
+    return materialise(ordered.mapInArrow(tidy(encode_part), "part long, uri string, n_docs long, n_tokens long"), "dac-manifest")
 
 
 def read_shards(manifest: DataFrame) -> DataFrame:
@@ -220,7 +220,7 @@ def read_shards(manifest: DataFrame) -> DataFrame:
     frame = spark.createDataFrame(shards, "uri string, start long")
     if shards:
         frame = frame.repartition(min(len(shards), 4096))
-    return frame.mapInArrow(read_part, "doc_id long, start long, n_tokens long, ids_crc32 long")
+    return frame.mapInArrow(tidy(read_part), "doc_id long, start long, n_tokens long, ids_crc32 long")
 
 
 def token_file(docs: DataFrame, path: str | None = None, end_id: int = 2) -> DataFrame:

@@ -29,7 +29,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from reclink.llm._common import materialise
+from reclink.llm._common import materialise, tidy
 
 SHARD, BLOCK, CHUNK, LEAF = 8192, 512, 8, 64
 _LONG = np.iinfo(np.int64)
@@ -125,7 +125,7 @@ def whole_vectors(rows: DataFrame) -> DataFrame:
             yield pa.RecordBatch.from_arrays([ids.take(pa.array(take)), pa.array(sizes[take].astype(np.int32)), pa.array(packed, pa.binary())], names=["vec_id", "dim", "v"])
 
     rows = rows.select(F.col("vec_id").cast("long").alias("vec_id"), F.col("embedding").cast("array<double>").alias("embedding"))
-    return rows.mapInArrow(clean, "vec_id long, dim int, v binary")
+    return rows.mapInArrow(tidy(clean), "vec_id long, dim int, v binary")
 
 
 def _matrix(packed: pd.Series) -> np.ndarray:

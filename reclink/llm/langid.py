@@ -24,7 +24,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from reclink.llm._common import text_steps
+from reclink.llm._common import text_steps, tidy
 
 WINDOW = 128
 WIDTHS = (2, 3, 4)
@@ -187,7 +187,7 @@ def sample(docs: DataFrame, docs_per_language: int = DOCS_PER_LANGUAGE, windows_
                         names.append(lang)
                 yield pa.RecordBatch.from_arrays([pa.array(names, pa.string()), pa.array(found, pa.binary())], names=["lang", "window"])
 
-    table = drawn.mapInArrow(cut, "lang string, window binary").toArrow()
+    table = drawn.mapInArrow(tidy(cut), "lang string, window binary").toArrow()
     order = np.lexsort([table["window"].to_numpy(zero_copy_only=False), table["lang"].to_numpy(zero_copy_only=False)]) if table.num_rows else []
     x = np.frombuffer(b"".join(table["window"].to_pylist()), np.uint8).reshape(-1, WINDOW)
     y = np.array([languages.index(v) for v in table["lang"].to_pylist()], np.int64)
@@ -231,7 +231,7 @@ def predict(docs: DataFrame, model: tuple[list[str], dict[str, np.ndarray] | Non
             for at, to, best, score in _judge(batch.column(1), tables, len(languages), block):
                 yield pa.RecordBatch.from_arrays([batch.column(0).slice(at, to - at), pa.array(names[best], pa.string()), pa.array(score)], names=["doc_id", "lang_pred", "score"])
 
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(apply, "doc_id long, lang_pred string, score double")
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(tidy(apply), "doc_id long, lang_pred string, score double")
 
 
 def keep_known(docs: DataFrame, model, least: float = 0.3, block: int = 256 << 10) -> DataFrame:
@@ -246,4 +246,4 @@ def keep_known(docs: DataFrame, model, least: float = 0.3, block: int = 256 << 1
             for at, to, best, score in _judge(batch.column(place), tables, len(languages), block):
                 yield batch.slice(at, to - at).filter(pa.array((best < len(languages)) & (score >= least)))
 
-    return docs.mapInArrow(apply, docs.schema)
+    return docs.mapInArrow(tidy(apply), docs.schema)

@@ -38,7 +38,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from reclink.llm._common import SpanHasher, bounded, materialise, splitmix, text_steps, word_spans
+from reclink.llm._common import SpanHasher, bounded, materialise, splitmix, text_steps, tidy, word_spans
 
 WORDS = 5
 BANDS, ROWS = 20, 5
@@ -145,7 +145,7 @@ def signatures(docs: DataFrame) -> DataFrame:
                 )
 
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text", F.xxhash64("text").alias("k"))
-    return rows.mapInArrow(sign, _SIGNATURE)
+    return rows.mapInArrow(tidy(sign), _SIGNATURE)
 
 
 def sets_of(docs: DataFrame, classes: DataFrame, broadcast_rows: int) -> DataFrame:
@@ -166,7 +166,7 @@ def sets_of(docs: DataFrame, classes: DataFrame, broadcast_rows: int) -> DataFra
     wanted = bounded(classes.select(F.col("doc_id").alias("wanted")).distinct(), broadcast_rows)
     texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
     texts = texts.join(wanted, texts["doc_id"].eqNullSafe(wanted["wanted"]), "left_semi")
-    found = texts.mapInArrow(sets, "d long, m long, t1 long, t2 long, set array<long>")
+    found = texts.mapInArrow(tidy(sets), "d long, m long, t1 long, t2 long, set array<long>")
     joined = found.join(classes, (found["t1"] == classes["s1"]) & (found["t2"] == classes["s2"]) & (found["m"] == classes["n"]) & found["d"].eqNullSafe(classes["doc_id"]))
     return joined.select("c", "set").dropDuplicates(["c"])
 

@@ -29,7 +29,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from reclink.llm._common import AtomicWriter, SharedFile, bounded, fresh_uri, materialise
+from reclink.llm._common import AtomicWriter, SharedFile, bounded, fresh_uri, materialise, tidy
 
 LEAST = 100
 PACKAGE_BYTES = 1 << 30
@@ -256,7 +256,7 @@ def write_packages(pages: DataFrame, folder: str, least: int = LEAST, broadcast_
             package.close()
             yield done(package)
 
-    table = marked.select("page_id", "url", "payload", "digest", original.alias("original")).mapInArrow(write, "uri string, records long")
+    table = marked.select("page_id", "url", "payload", "digest", original.alias("original")).mapInArrow(tidy(write), "uri string, records long")
     return materialise(table, "packages")
 
 
@@ -288,7 +288,7 @@ def read_packages(packages: DataFrame) -> DataFrame:
                 yield pa.RecordBatch.from_pylist(out, schema=kind)
 
     spread = packages.select("uri").repartition("uri")
-    return spread.mapInArrow(read, "page_id long, url string, payload_bytes long, payload_digest string, record_type string, refers_to long")
+    return spread.mapInArrow(tidy(read), "page_id long, url string, payload_bytes long, payload_digest string, record_type string, refers_to long")
 
 
 def archive(pages: DataFrame) -> DataFrame:
