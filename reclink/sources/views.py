@@ -59,6 +59,7 @@ def publication(spark: SparkSession, sf_dir: str) -> DataFrame:
     return rows.select(
         F.col("doc_id").cast("string").alias("record_id"), F.array_join(F.slice("w", 1, 3), " ").alias("title"), F.array_join(F.array_sort(authors), " ").alias("authors"), authors.alias("author_list"),
         F.array_join(last, " ").alias("venue"), (1950 + F.floor(F.col("n_chars") / 200) % 70).cast("string").alias("year"), "lang", "source", F.md5("text").alias("entity_id"),
+        F.array_distinct(F.when(F.size("w") >= 3, F.transform(F.sequence(F.lit(1), F.greatest(F.size("w") - 2, F.lit(1))), lambda i: F.array_join(F.slice("w", i, 3), " "))).otherwise(F.array(F.array_join("w", " ")))).alias("runs"),
     )
 
 
