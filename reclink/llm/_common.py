@@ -3,6 +3,7 @@ hashes, shared-folder files and materialised tables."""
 
 from __future__ import annotations
 
+import contextlib
 import ctypes
 import os
 import sys
@@ -17,6 +18,9 @@ from pyspark.sql import functions as F
 
 #: Bytes of text that one vectorised step looks at; a longer text is a step of its own.
 STEP_BYTES = 4 << 20
+#: Bytes of an Arrow batch on its way to a worker while a step is written.
+BATCH_BYTES = 4 << 20
+_BATCH = "spark.sql.execution.arrow.maxBytesPerBatch"
 #: Bytes that one prefix-sum block of the hasher covers.
 HASH_BLOCK = 1 << 20
 
@@ -45,10 +49,22 @@ def fresh_uri(spark: SparkSession, tag: str) -> str:
     return f"{shared_dir(spark)}/{tag}-{uuid.uuid4().hex}"
 
 
+@contextlib.contextmanager
+def small_batches(spark: SparkSession):
+    """Arrow batches of BATCH_BYTES while an action runs; the session's setting comes back."""
+    before = spark.conf.get(_BATCH)
+    spark.conf.set(_BATCH, str(BATCH_BYTES))
+    try:
+        yield
+    finally:
+        spark.conf.set(_BATCH, before)
+
+
 def materialise(df: DataFrame, tag: str) -> DataFrame:
     """Write df to the shared folder and read it back; later plans start from the files."""
     uri = fresh_uri(df.sparkSession, tag)
-    df.write.parquet(uri)
+    with small_batches(df.sparkSession):
+        df.write.parquet(uri)
     return df.sparkSession.read.schema(df.schema).parquet(uri)
 
 

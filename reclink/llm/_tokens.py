@@ -13,7 +13,7 @@ import numpy as np
 from reclink.llm._common import BLANK, SpanHasher, release_memory, word_spans
 
 #: Distinct chunks that one worker keeps before it starts anew.
-CACHE_CHUNKS = 1_000_000
+CACHE_CHUNKS = 500_000
 #: Chunks that one call of the library gets as one text.
 JOINED = 400
 
