@@ -24,13 +24,15 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from reclink.llm._common import text_steps, tidy
+from reclink.llm._common import bounded, materialise, text_steps, tidy
 
 WINDOW = 128
 WIDTHS = (2, 3, 4)
 FILTERS, EMBED = 12, 12
 DOCS_PER_LANGUAGE, WINDOWS_PER_DOC, MAX_LANGUAGES = 500, 6, 256
 UNKNOWN = "und"
+#: Keys of 16 bytes each, so at most 8 MB are broadcast.
+BROADCAST_ROWS = 500_000
 
 _FOLD = np.arange(256, dtype=np.uint8)
 _FOLD[65:91] = _FOLD[97:123]
@@ -236,14 +238,18 @@ def predict(docs: DataFrame, model: tuple[list[str], dict[str, np.ndarray] | Non
 
 def keep_known(docs: DataFrame, model, least: float = 0.3, block: int = 256 << 10) -> DataFrame:
     """The rows of docs, with all their columns, whose text has a language: not `und`, and
-    no score under `least`."""
+    no score under `least`.  Only keys of the others come out of the network; they are
+    broadcast if they are few."""
     languages, parameters = model
-    place = docs.columns.index("text")
 
-    def apply(batches):
+    def judge(batches):
         tables = Tables(parameters) if parameters else None
         for batch in batches:
-            for at, to, best, score in _judge(batch.column(place), tables, len(languages), block):
-                yield batch.slice(at, to - at).filter(pa.array((best < len(languages)) & (score >= least)))
+            for at, to, best, score in _judge(batch.column(1), tables, len(languages), block):
+                gone = pa.array((best == len(languages)) | (score < least))
+                yield pa.RecordBatch.from_arrays([batch.column(k).slice(at, to - at).filter(gone) for k in (0, 2)], names=["_gone", "_k"])
 
-    return docs.mapInArrow(tidy(apply), docs.schema)
+    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text", F.xxhash64("text").alias("k"))
+    gone = materialise(rows.mapInArrow(tidy(judge), "_gone long, _k long").distinct(), "no-language")
+    same = docs["doc_id"].eqNullSafe(F.col("_gone")) & (F.xxhash64(docs["text"]) == F.col("_k"))
+    return docs.join(bounded(gone, BROADCAST_ROWS), same, "left_anti")
