@@ -29,8 +29,9 @@ def decontamination(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFr
 
 
 def packing(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Packs what is left into sequences."""
-    return binpack.pack_documents(docs)
+    """Packs what is left into sequences; with small steps, as the executors still hold what
+    the stages before have needed."""
+    return binpack.pack_documents(docs, step_bytes=1 << 20, cache_chunks=150_000)
 
 
 STAGES = [("language ID", language), ("MinHash near-dedup", near_copies), ("benchmark decontamination", decontamination), ("best-fit packing", packing)]

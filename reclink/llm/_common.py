@@ -19,7 +19,7 @@ from pyspark.sql import functions as F
 #: Bytes of text that one vectorised step looks at; a longer text is a step of its own.
 STEP_BYTES = 4 << 20
 #: Bytes of an Arrow batch on its way to a worker while a step is written.
-BATCH_BYTES = 4 << 20
+BATCH_BYTES = 2 << 20
 _BATCH = "spark.sql.execution.arrow.maxBytesPerBatch"
 #: Bytes that one prefix-sum block of the hasher covers.
 HASH_BLOCK = 1 << 20

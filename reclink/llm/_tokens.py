@@ -71,12 +71,12 @@ _PLAIN = _plain()
 class ChunkEncoder:
     """encode(data, offsets) -> (ids of all rows in order, ids of each row)."""
 
-    def __init__(self, path: str, spaced: bool):
+    def __init__(self, path: str, spaced: bool, cache_chunks: int = CACHE_CHUNKS):
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_file(path)
         self.tokenizer.encode_special_tokens = True
-        self.spaced = spaced
+        self.spaced, self.cache_chunks = spaced, cache_chunks
         size = self.tokenizer.get_vocab_size(with_added_tokens=True)
         self.token_bytes = np.array([len((self.tokenizer.id_to_token(i) or "").removesuffix("" if spaced else "</w>")) for i in range(size)], np.int64)
         self.hash, self.check = SpanHasher(11, lower=not spaced), SpanHasher(23, lower=not spaced)
@@ -129,7 +129,7 @@ class ChunkEncoder:
         return slots
 
     def _slots(self, data, starts, ends, keys, checks) -> np.ndarray:
-        if len(self.chunk_at) > CACHE_CHUNKS:
+        if len(self.chunk_at) > self.cache_chunks:
             self._reset()
         slots = np.full(len(keys), -1, np.int64)
         for known, known_checks, known_slots in self.levels:

@@ -30,7 +30,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from reclink.llm._common import materialise, text_steps, tidy, worker_cache
-from reclink.llm._tokens import ChunkEncoder, tokenizer_path
+from reclink.llm._tokens import CACHE_CHUNKS, ChunkEncoder, tokenizer_path
 
 CAPACITY = 2048
 ISLAND_PIECES = 4096
@@ -134,17 +134,18 @@ def evolve(lengths: list[int], capacity: int = CAPACITY, colonies: int = 2, size
 
 
 # ---------------------------------------------------------------- Spark
-def pieces(docs: DataFrame, path: str, capacity: int = CAPACITY, end_id: int = 0, spaced: bool = True) -> DataFrame:
-    """doc_id, piece, start, length, ids_crc32 of every piece of every text."""
+def pieces(docs: DataFrame, path: str, capacity: int = CAPACITY, end_id: int = 0, spaced: bool = True, step_bytes: int = 2 << 20, cache_chunks: int = CACHE_CHUNKS) -> DataFrame:
+    """doc_id, piece, start, length, ids_crc32 of every piece of every text.  Smaller steps
+    and caches take less of a worker's memory and more of its time."""
 
     def cut(batches):
         store = worker_cache()
         if ("encoder", path) not in store:
-            store["encoder", path] = ChunkEncoder(path, spaced)
+            store["encoder", path] = ChunkEncoder(path, spaced, cache_chunks)
         encoder = store["encoder", path]
         for batch in batches:
             names = batch.column(0)
-            for at, to, data, offsets in text_steps(batch.column(1), 2 << 20):
+            for at, to, data, offsets in text_steps(batch.column(1), step_bytes):
                 ids, sizes = encoder.encode(data, offsets)
                 ids = np.insert(ids, np.cumsum(sizes), np.uint32(end_id)).astype("<u4")
                 sizes = sizes + 1
@@ -200,5 +201,5 @@ def pack(items: DataFrame, capacity: int = CAPACITY, island_pieces: int = ISLAND
     return named.select(columns).unionByName(whole.select(columns))
 
 
-def pack_documents(docs: DataFrame, path: str | None = None, capacity: int = CAPACITY) -> DataFrame:
-    return pack(pieces(docs, path or tokenizer_path("byte_bpe_50k.json"), capacity), capacity)
+def pack_documents(docs: DataFrame, path: str | None = None, capacity: int = CAPACITY, **limits) -> DataFrame:
+    return pack(pieces(docs, path or tokenizer_path("byte_bpe_50k.json"), capacity, **limits), capacity)

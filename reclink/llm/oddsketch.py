@@ -15,13 +15,13 @@ ASCII white space after lowering A-Z; fewer words than five are one shingle).  T
    error).
 4. Pairs that remain are confirmed on their full sets.
 
-Large groups never emit all their pairs.  First each class is tried against one pivot,
-the smallest class it shares a bucket with; confirmed links give components.  Only
-buckets that still hold several components are looked at again: classes outside the
-bucket's largest component meet the others under the sketch bound, then the closest
-partner in each other component is confirmed, then whatever pair still lies between two
-components.  So every link between different components that the bands can show is
-found, and no partner is capped.
+Large groups never emit all their pairs.  First each class is tried with the closest of the
+pivots (smallest classes) of its buckets; confirmed links give components.  Only buckets
+that still hold several components are looked at again: classes outside the bucket's
+largest component are tried with a second pivot, the smallest of them; then those still
+outside meet the others under the sketch bound, each is tried with the closest, and at
+last every pair that still lies between two components is confirmed.  So every link
+between different components that the bands can show is found, and no partner is capped.
 
 Null, empty and blank texts have the empty set and are linked with nothing.  Rows with
 equal doc_ids are told apart; null doc_ids are kept, and a component's id is its smallest
@@ -235,32 +235,44 @@ def near_copies(docs: DataFrame, percent: int = 85, broadcast_rows: int = BROADC
     shared = members.groupBy("key").agg(F.min("c").alias("pivot"), F.count(F.lit(1)).alias("m")).where("m > 1")
     buckets = materialise(members.join(shared.drop("m"), "key"), "buckets")
 
-    def with_sketches(pairs: DataFrame) -> DataFrame:
-        """pairs (x, y) that the sketches leave."""
+    def tried(pairs: DataFrame, tag: str) -> DataFrame:
+        """Confirmed links of pairs (x, y): of those that the sketches leave, each x is tried
+        with its closest y only."""
         a = sketch.select(F.col("c").alias("x"), F.col("k").alias("kx"))
         b = sketch.select(F.col("c").alias("y"), F.col("k").alias("ky"))
-        return pairs.join(a, "x").join(b, "y").where(run.near("kx", "ky"))
-
-    stars = buckets.where("c <> pivot").groupBy("c").agg(F.min("pivot").alias("y")).select(F.col("c").alias("x"), "y")
-    links = run.confirm(with_sketches(stars).select("x", "y"), "star")
-    labels = components(links)
+        near = pairs.distinct().join(a, "x").join(b, "y").where(run.near("kx", "ky")).select("x", "y", apart.alias("apart"))
+        return run.confirm(near.groupBy("x").agg(F.min_by("y", F.struct("apart", "y")).alias("y")), tag)
 
     def label(frame: DataFrame, known: DataFrame, vertex: str, out: str) -> DataFrame:
         named = known.select(F.col("v").alias(vertex), F.col("l").alias("_l"))
         return frame.join(named, vertex, "left").withColumn(out, F.coalesce("_l", vertex)).drop("_l")
 
-    placed = materialise(label(buckets.select("key", "c"), labels, "c", "l"), "placed")
-    each = placed.groupBy("key", "l").agg(F.count(F.lit(1)).alias("m"))
-    mixed = each.groupBy("key").agg(F.max_by("l", F.struct("m", "l")).alias("major"), F.count(F.lit(1)).alias("parts")).where("parts > 1").drop("parts")
-    open_ = materialise(placed.join(mixed, "key").join(sketch, "c"), "open-buckets")
+    def unsettled(known: DataFrame) -> DataFrame:
+        """key, c, l, major of all members of buckets with several components; major is the
+        bucket's largest one."""
+        placed = materialise(label(buckets.select("key", "c"), known, "c", "l"), "placed")
+        each = placed.groupBy("key", "l").agg(F.count(F.lit(1)).alias("m"))
+        mixed = each.groupBy("key").agg(F.max_by("l", F.struct("m", "l")).alias("major"), F.count(F.lit(1)).alias("parts")).where("parts > 1").drop("parts")
+        return placed.join(mixed, "key")
+
+    apart = _differing("kx.parity", "ky.parity", SET_BITS // 64)
+    links = tried(buckets.where("c <> pivot").select(F.col("c").alias("x"), F.col("pivot").alias("y")), "star")
+    labels = components(links)
+
+    minor = materialise(unsettled(labels).where("l <> major").select("key", "c"), "minor")
+    pivots = minor.groupBy("key").agg(F.min("c").alias("y"))
+    more = tried(minor.join(pivots, "key").where("c <> y").select(F.col("c").alias("x"), "y"), "second")
+    links = materialise(links.unionByName(more), "links")
+    labels = components(links)
+
+    open_ = materialise(unsettled(labels).join(sketch, "c"), "open-buckets")
     x = open_.where("l <> major").select("key", F.col("c").alias("x"), F.col("l").alias("lx"), F.col("k").alias("kx"), "major")
-    y = open_.select("key", F.col("c").alias("y"), F.col("l").alias("ly"), F.col("k").alias("ky"))
+    y = open_.select(F.col("key").alias("key_y"), F.col("c").alias("y"), F.col("l").alias("ly"), F.col("k").alias("ky"))
     once = (F.col("ly") == F.col("major")) | (F.col("x") < F.col("y"))
-    apart = _differing("kx.parity", "ky.parity", SET_BITS // 64)
     meet = (F.col("key") == F.col("key_y")) & (F.col("lx") != F.col("ly")) & once & run.near("kx", "ky")
-    rest = materialise(x.join(y.withColumnRenamed("key", "key_y"), meet).select("x", "y", "lx", "ly", apart.alias("apart")).distinct(), "rest")
-    closest = rest.groupBy("x", "ly").agg(F.min_by("y", F.struct("apart", "y")).alias("y")).select("x", "y")
-    links = materialise(links.unionByName(run.confirm(closest, "closest")), "links")
+    rest = materialise(x.join(y, meet).select("x", "y", apart.alias("apart")).distinct(), "rest")
+    closest = run.confirm(rest.groupBy("x").agg(F.min_by("y", F.struct("apart", "y")).alias("y")), "closest")
+    links = materialise(links.unionByName(closest), "links")
     labels = components(links)
     between = label(label(rest.select("x", "y"), labels, "x", "lx"), labels, "y", "ly").where("lx <> ly").select("x", "y")
     last = run.confirm(between, "between")
