@@ -15,12 +15,13 @@ ASCII white space after lowering A-Z; fewer words than five are one shingle).  T
    error).
 4. Pairs that remain are confirmed on their full sets.
 
-Large groups never emit all their pairs.  First each class is tried with the closest of the
-pivots (smallest classes) of its buckets; confirmed links give components.  Only buckets
-that still hold several components are looked at again: classes outside the bucket's
-largest component are tried with a second pivot, the smallest of them; then those still
-outside meet the others under the sketch bound, each is tried with the closest, and at
-last every pair that still lies between two components is confirmed.  So every link
+Large groups never emit all their pairs.  First each class is tried against one pivot, the
+smallest class it shares a bucket with; confirmed links give components.  Only buckets that
+still hold several components are looked at again.  They are dealt over tiles of bounded
+size, in which the sketches of classes outside the bucket's largest component are compared
+with the others'; a tile gives as few pairs as join the components that its sketches would
+join, so at most one less than its classes.  After two such rounds (a few bands, then all)
+every pair that the sketches leave between two components is confirmed.  So every link
 between different components that the bands can show is found, and no partner is capped.
 
 Null, empty and blank texts have the empty set and are linked with nothing.  Rows with
@@ -34,6 +35,7 @@ from __future__ import annotations
 import math
 
 import numpy as np
+import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -43,6 +45,8 @@ from reclink.llm._common import SpanHasher, bounded, materialise, splitmix, text
 WORDS = 5
 BANDS, ROWS = 20, 5
 SAMPLE_BITS, SET_BITS = 512, 1024
+#: Classes on a side of a tile; bands that the tile rounds look at, in turn.
+TILE, TILE_BANDS = 2048, (3, BANDS)
 #: Ids of texts to be confirmed: 16 bytes each, so at most 16 MB are broadcast.
 BROADCAST_ROWS = 500_000
 
@@ -176,6 +180,42 @@ def _differing(a: str, b: str, words: int):
     return sum((F.bit_count(F.get(a, F.lit(i)).bitwiseXOR(F.get(b, F.lit(i)))) for i in range(1, words)), F.bit_count(F.get(a, F.lit(0)).bitwiseXOR(F.get(b, F.lit(0)))))
 
 
+def _tile(percent: int):
+    """Pairs of a tile that the sketches leave, as few as join the components they would
+    join: the pieces of a bucket of any size are compared without emitting all pairs."""
+
+    def link(rows: pd.DataFrame) -> pd.DataFrame:
+        c, l, minor, n, block = (rows[k].to_numpy() for k in ("c", "l", "minor", "n", "block"))
+        parity, samples = (np.stack(rows[k].to_numpy()).astype(np.int64).view(np.uint64) for k in ("parity", "samples"))
+        cross = rows["t0"].iloc[0] != rows["t1"].iloc[0]
+        root: dict[int, int] = {}
+
+        def find(v: int) -> int:
+            while (up := root.get(v, v)) != v:
+                v = up
+            return v
+
+        out = []
+        for i in np.flatnonzero(minor).tolist():
+            fits = (l != l[i]) & (100 * np.minimum(n, n[i]) >= percent * np.maximum(n, n[i])) & (~minor | (c > c[i]))
+            if cross:
+                fits &= block != block[i]
+            near = np.flatnonzero(fits)
+            apart = np.bitwise_count(parity[near] ^ parity[i]).sum(axis=1, dtype=np.int64)
+            alike = np.bitwise_count(samples[near] ^ samples[i]).sum(axis=1, dtype=np.int64) <= sample_limit(percent / 100)
+            most = (n[near] + n[i]) * (100 - percent) // (100 + percent)
+            good = alike & (apart <= most)
+            near, apart = near[good], apart[good]
+            for j in near[np.argsort(apart, kind="stable")].tolist():
+                a, b = find(int(l[i])), find(int(l[j]))
+                if a != b:
+                    root[max(a, b)] = min(a, b)
+                    out.append((c[i], c[j]))
+        return pd.DataFrame(out, columns=["x", "y"]).astype("int64")
+
+    return link
+
+
 class _Run:
     """The tables that the rounds of one run share."""
 
@@ -231,51 +271,49 @@ def near_copies(docs: DataFrame, percent: int = 85, broadcast_rows: int = BROADC
     n_shingles, component_id, class_id, kept."""
     run = _Run(docs, percent, broadcast_rows)
     sketch = run.classes.select("c", F.struct("n", "samples", "parity").alias("k"))
-    members = run.classes.select(F.explode("keys").alias("key"), "c").distinct()
+    members = run.classes.select(F.posexplode("keys").alias("band", "key"), "c")
     shared = members.groupBy("key").agg(F.min("c").alias("pivot"), F.count(F.lit(1)).alias("m")).where("m > 1")
     buckets = materialise(members.join(shared.drop("m"), "key"), "buckets")
 
-    def tried(pairs: DataFrame, tag: str) -> DataFrame:
-        """Confirmed links of pairs (x, y): of those that the sketches leave, each x is tried
-        with its closest y only."""
+    def with_sketches(pairs: DataFrame) -> DataFrame:
+        """The pairs (x, y) that the sketches leave."""
         a = sketch.select(F.col("c").alias("x"), F.col("k").alias("kx"))
         b = sketch.select(F.col("c").alias("y"), F.col("k").alias("ky"))
-        near = pairs.distinct().join(a, "x").join(b, "y").where(run.near("kx", "ky")).select("x", "y", apart.alias("apart"))
-        return run.confirm(near.groupBy("x").agg(F.min_by("y", F.struct("apart", "y")).alias("y")), tag)
+        return pairs.join(a, "x").join(b, "y").where(run.near("kx", "ky")).select("x", "y")
 
     def label(frame: DataFrame, known: DataFrame, vertex: str, out: str) -> DataFrame:
         named = known.select(F.col("v").alias(vertex), F.col("l").alias("_l"))
         return frame.join(named, vertex, "left").withColumn(out, F.coalesce("_l", vertex)).drop("_l")
 
-    def unsettled(known: DataFrame) -> DataFrame:
-        """key, c, l, major of all members of buckets with several components; major is the
-        bucket's largest one."""
-        placed = materialise(label(buckets.select("key", "c"), known, "c", "l"), "placed")
+    def unsettled(known: DataFrame, bands: int = BANDS) -> DataFrame:
+        """key, c, l, major, m, k of all members of buckets with several components; major is
+        the bucket's largest one, m its members, k their sketches."""
+        placed = materialise(label(buckets.where(F.col("band") < bands).select("key", "c"), known, "c", "l"), "placed")
         each = placed.groupBy("key", "l").agg(F.count(F.lit(1)).alias("m"))
-        mixed = each.groupBy("key").agg(F.max_by("l", F.struct("m", "l")).alias("major"), F.count(F.lit(1)).alias("parts")).where("parts > 1").drop("parts")
-        return placed.join(mixed, "key")
+        mixed = each.groupBy("key").agg(F.max_by("l", F.struct("m", "l")).alias("major"), F.count(F.lit(1)).alias("parts"), F.sum("m").alias("m")).where("parts > 1").drop("parts")
+        return placed.join(mixed, "key").join(sketch, "c")
 
-    apart = _differing("kx.parity", "ky.parity", SET_BITS // 64)
-    links = tried(buckets.where("c <> pivot").select(F.col("c").alias("x"), F.col("pivot").alias("y")), "star")
+    stars = buckets.where("c <> pivot").groupBy("c").agg(F.min("pivot").alias("y")).select(F.col("c").alias("x"), "y")
+    links = run.confirm(with_sketches(stars), "star")
     labels = components(links)
 
-    minor = materialise(unsettled(labels).where("l <> major").select("key", "c"), "minor")
-    pivots = minor.groupBy("key").agg(F.min("c").alias("y"))
-    more = tried(minor.join(pivots, "key").where("c <> y").select(F.col("c").alias("x"), "y"), "second")
-    links = materialise(links.unionByName(more), "links")
-    labels = components(links)
+    for bands in TILE_BANDS:
+        open_ = unsettled(labels, bands)
+        blocks = F.ceil(F.col("m") / TILE).cast("int")
+        block = F.pmod(F.xxhash64("c"), blocks).cast("int")
+        tiles = open_.select("key", "c", "l", (F.col("l") != F.col("major")).alias("minor"), "k.*", block.alias("block"), F.explode(F.sequence(F.lit(0), blocks - 1)).alias("other"))
+        tiles = tiles.withColumns({"t0": F.least("block", "other"), "t1": F.greatest("block", "other")}).drop("other")
+        found = tiles.groupBy("key", "t0", "t1").applyInPandas(_tile(percent), "x long, y long")
+        links = materialise(links.unionByName(run.confirm(found.distinct(), "tile")), "links")
+        labels = components(links)
 
-    open_ = materialise(unsettled(labels).join(sketch, "c"), "open-buckets")
+    open_ = materialise(unsettled(labels).drop("m"), "open-buckets")
     x = open_.where("l <> major").select("key", F.col("c").alias("x"), F.col("l").alias("lx"), F.col("k").alias("kx"), "major")
     y = open_.select(F.col("key").alias("key_y"), F.col("c").alias("y"), F.col("l").alias("ly"), F.col("k").alias("ky"))
     once = (F.col("ly") == F.col("major")) | (F.col("x") < F.col("y"))
     meet = (F.col("key") == F.col("key_y")) & (F.col("lx") != F.col("ly")) & once & run.near("kx", "ky")
-    rest = materialise(x.join(y, meet).select("x", "y", apart.alias("apart")).distinct(), "rest")
-    closest = run.confirm(rest.groupBy("x").agg(F.min_by("y", F.struct("apart", "y")).alias("y")), "closest")
-    links = materialise(links.unionByName(closest), "links")
-    labels = components(links)
-    between = label(label(rest.select("x", "y"), labels, "x", "lx"), labels, "y", "ly").where("lx <> ly").select("x", "y")
-    last = run.confirm(between, "between")
+    tested = links.unionByName(links.select(F.col("y").alias("x"), F.col("x").alias("y")))
+    last = run.confirm(x.join(y, meet).select("x", "y").distinct().join(tested, ["x", "y"], "left_anti"), "rest")
     if last.limit(1).count():
         links = materialise(links.unionByName(last), "links")
         labels = components(links)
