@@ -8,6 +8,7 @@ from collections.abc import Sequence
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from reclink.baselines import em
 from reclink.baselines.comparison import AGREE, MISSING
 from reclink.plans.planner import EPSILON
 
@@ -24,13 +25,20 @@ def estimate_mu(levels: DataFrame, truth: DataFrame, attrs: Sequence[str]) -> Da
     return each.groupBy("attr").agg(clamp(F.avg(F.when(F.col("match"), agree))).alias("m"), clamp(F.avg(F.when(~F.col("match"), agree))).alias("u"))
 
 
+def mu_from_mixture(levels: DataFrame, attrs: Sequence[str], **options) -> dict[str, tuple[float, float]]:
+    """attr -> (m, u) without known pairs: the agreement rates of a two-class mixture."""
+    rows = [(r["pattern"], r["cnt"]) for r in em.patterns(levels, attrs).orderBy("pattern").collect()]
+    _, _, m, u = em.fit(rows, len(attrs), **options)
+    clamp = lambda x: min(max(float(x), CLAMP), 1 - CLAMP)
+    return {c: (clamp(m[i, AGREE]), clamp(u[i, AGREE])) for i, c in enumerate(attrs)}
+
+
 def weights(mu: dict[str, tuple[float, float]]) -> dict[str, tuple[float, float]]:
     """attr -> (agreement weight, disagreement weight), in bits."""
     return {c: (math.log2(m / u), math.log2((1 - m) / (1 - u))) for c, (m, u) in mu.items()}
 
 
 def _total(levels: DataFrame, w: dict[str, tuple[float, float]], missing: str, split: str | None) -> Column:
-    full = sum(max(x, y) for x, y in w.values())
     none = F.lit(0.0)
     present = {c: F.col(f"l_{c}") != MISSING for c in w}
     plain = {c: F.when(F.col(f"l_{c}") == AGREE, F.lit(x)).otherwise(F.lit(y)) for c, (x, y) in w.items()}
@@ -44,7 +52,6 @@ def _total(levels: DataFrame, w: dict[str, tuple[float, float]], missing: str, s
     count = sum((present[c].cast("int") for c in w), F.lit(0))
     spare = F.coalesce(F.try_divide(F.lit(sum(agreement.values())) - held, count), none)
     sign = {c: F.when(F.col(f"l_{c}") == AGREE, spare).otherwise(-spare) for c in w}
-    del full
     return sum((F.when(present[c], plain[c] + sign[c]).otherwise(none) for c in w), none)
 
 

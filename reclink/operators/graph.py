@@ -21,7 +21,7 @@ def membership(df: DataFrame, rules: Sequence[Rule]) -> DataFrame:
     for i, rule in enumerate(rules):
         role = F.col(rule.role).cast("string") if rule.role else F.lit(None).cast("string")
         if rule.kind == "overlap":
-            part = df.select("record_id", F.explode(F.array_distinct(F.col(rule.columns[0]))).cast("string").alias("group_key"), role.alias("role"))
+            part = df.select("record_id", F.explode(F.array_distinct(F.col(rule.columns[0]).cast("array<string>"))).alias("group_key"), role.alias("role"))
             if rule.max_df is not None:
                 rare = part.groupBy("group_key").agg(F.count(F.lit(1)).alias("n")).where(F.col("n") <= rule.max_df)
                 part = part.join(rare.select("group_key"), "group_key", "left_semi")
@@ -105,6 +105,14 @@ def neighbours_with_missing(pairs: DataFrame, df: DataFrame, columns: Sequence[s
     return directed(pairs).join(lacking, "neighbour").groupBy("record_id").agg(F.sum("lacks").alias("missing_neighbours"))
 
 
+def neighbour_centroid(pairs: DataFrame, vectors: DataFrame, column: str = "embedding") -> DataFrame:
+    """record_id, centroid: mean vector of the neighbours, summed by position."""
+    each = vectors.select(F.col("record_id").alias("neighbour"), F.posexplode(column).alias("i", "x"))
+    sums = directed(pairs).join(each, "neighbour").groupBy("record_id", "i").agg(F.avg("x").alias("x"))
+    ordered = sums.groupBy("record_id").agg(F.array_sort(F.collect_list(F.struct("i", "x"))).alias("c"))
+    return ordered.select("record_id", F.transform("c", lambda s: s["x"]).alias("centroid"))
+
+
 def components(pairs: DataFrame, checkpoint=None, rounds: int = 50) -> DataFrame:
     """record_id, component (smallest id reached): smallest labels with pointer jumping.
     `checkpoint` writes a frame and reads it back, so lineage stays short."""

@@ -20,19 +20,22 @@ def _hit(key: str, salt: str, share: float) -> Column:
     return portable(F.col(key), salt, THOUSAND) < round(share * THOUSAND)
 
 
-def _chosen(key: str, salt: str, most: int, n: int, j: int) -> Column:
-    """Whether attribute j of n is among the 1..most ones picked for a record: a run of
+def _with_choice(df: DataFrame, salt: str, share: float, most: int, n: int, key: str) -> DataFrame:
+    """Adds _hit, _start and _count once, so the hashes are not computed for each attribute."""
+    return df.withColumns({"_hit": _hit(key, salt, share), "_start": portable(F.col(key), f"{salt}-o", n), "_count": 1 + portable(F.col(key), f"{salt}-k", most)})
+
+
+def _chosen(j: int, n: int) -> Column:
+    """Whether attribute j of n is among the 1..most ones picked for a hit record: a run of
     attributes from a hashed start."""
-    count = 1 + portable(F.col(key), f"{salt}-k", most)
-    start = portable(F.col(key), f"{salt}-o", n)
-    return (F.lit(j) - start + n) % n < count
+    return F.col("_hit") & ((F.lit(j) - F.col("_start") + n) % n < F.col("_count"))
 
 
 def inject_mcar(df: DataFrame, attrs: Sequence[str], share: float, max_missing: int, salt: str = "mcar", key: str = "record_id") -> DataFrame:
     """Completely at random: 1..max_missing of attrs are lost in a share of the records."""
     n = len(attrs)
-    lost = {a: _hit(key, salt, share) & _chosen(key, salt, min(max_missing, n), n, j) for j, a in enumerate(attrs)}
-    return df.withColumns({a: F.when(~lost[a], F.col(a)) for a in attrs})
+    rows = _with_choice(df, salt, share, min(max_missing, n), n, key)
+    return rows.withColumns({a: F.when(~_chosen(j, n), F.col(a)) for j, a in enumerate(attrs)}).drop("_hit", "_start", "_count")
 
 
 def inject_mar(df: DataFrame, attr: str, by: str, share_by_value: dict[str, float], salt: str = "mar", key: str = "record_id") -> DataFrame:
@@ -76,13 +79,12 @@ def corrupt(df: DataFrame, attrs: Sequence[str], share: float = 0.2, most: int =
     """1..most of attrs are damaged in a share of the records: delete, insert, substitute,
     transpose, abbreviate, drop the last word, swap like-sounding letters."""
     n = len(attrs)
-    out = {}
-    for j, a in enumerate(attrs):
-        v = F.col(a)
-        place = (1 + portable(F.col(key), f"{salt}-p-{a}", 97) % F.greatest(F.length(v), F.lit(1))).cast("int")
-        op = portable(F.col(key), f"{salt}-op-{a}", 7)
-        out[a] = F.when(_hit(key, salt, share) & _chosen(key, salt, min(most, n), n, j), _damaged(v, place, op)).otherwise(v)
-    return df.withColumns(out)
+    rows = _with_choice(df, salt, share, min(most, n), n, key)
+    places = {f"_p{j}": F.when(_chosen(j, n), (1 + portable(F.col(key), f"{salt}-p-{a}", 97) % F.greatest(F.length(a), F.lit(1))).cast("int")) for j, a in enumerate(attrs)}
+    ops = {f"_o{j}": F.when(_chosen(j, n), portable(F.col(key), f"{salt}-op-{a}", 7)) for j, a in enumerate(attrs)}
+    rows = rows.withColumns(places | ops)
+    changed = {a: F.when(F.col(f"_o{j}").isNull(), F.col(a)).otherwise(_damaged(F.col(a), F.col(f"_p{j}"), F.col(f"_o{j}"))) for j, a in enumerate(attrs)}
+    return rows.withColumns(changed).drop("_hit", "_start", "_count", *places, *ops)
 
 
 def drift(df: DataFrame, rates: dict[str, float], donors: int = 1024, salt: str = "drift", key: str = "record_id") -> DataFrame:

@@ -100,22 +100,22 @@ def estimated_sums(df: DataFrame, qids: Sequence[Qid], masks: Sequence[int], est
     """Sum of squared shares of each combination without a wide shuffle.
 
     ams: `size` signed sums of hash parities, the mean of whose squares is the second
-    moment.  sample: one record in `size` by hash, unbiased from pairs inside the sample.
+    moment.  sample: the squares of one value in `size` by hash, times `size`.
     """
     total = df.count() or 1
     rows = df.select(*[F.xxhash64(q.token()).alias(f"h{i}") for i, q in enumerate(qids)], null_mask(qids).alias("nulls"))
-    out = {}
-    for m in masks:
-        own = rows.where(F.col("nulls").bitwiseAND(F.lit(m)) == 0).select(F.xxhash64(*[F.col(f"h{i}") for i in range(len(qids)) if m >> i & 1]).alias("v"))
-        if estimator == "ams":
-            signs = [F.sum(F.lit(1) - 2 * F.xxhash64("v", F.lit(s)).bitwiseAND(F.lit(1))).alias(f"s{s}") for s in range(size)]
-            sums = own.agg(*signs).first()
-            out[m] = sum(float(x or 0) ** 2 for x in sums) / size / total**2
-        else:
-            groups = own.where(F.pmod(F.xxhash64("v", F.lit(7)), F.lit(size)) == 0).groupBy("v").agg(F.count(F.lit(1)).alias("f"))
-            sff = groups.agg(F.sum(F.col("f").cast("double") * F.col("f"))).first()[0]
-            out[m] = float(sff or 0) * size / total**2
-    return out
+    each = rows.select("*", F.explode(F.array(*[F.lit(m) for m in masks])).alias("mask")).where(F.col("nulls").bitwiseAND(F.col("mask")) == 0)
+    parts = [F.when(F.col("mask").bitwiseAND(F.lit(1 << i)) != 0, F.col(f"h{i}")).otherwise(F.lit(0)) for i in range(len(qids))]
+    own = each.select("mask", F.xxhash64(*parts).alias("v"))
+    if estimator == "ams":
+        # 64 signs from each of size/64 hashes of a value
+        words = own.select("mask", *[F.xxhash64("v", F.lit(s)).alias(f"w{s}") for s in range(-(-size // 64))])
+        signs = [F.sum(1 - 2 * F.shiftrightunsigned(F.col(f"w{s // 64}"), s % 64).bitwiseAND(F.lit(1))).alias(f"s{s}") for s in range(size)]
+        return {r["mask"]: sum(float(r[f"s{s}"]) ** 2 for s in range(size)) / size / total**2 for r in words.groupBy("mask").agg(*signs).collect()}
+    groups = own.where(F.pmod(F.xxhash64("v", F.lit(7)), F.lit(size)) == 0).groupBy("mask", "v").agg(F.count(F.lit(1)).alias("f"))
+    sums = groups.groupBy("mask").agg(F.sum(F.col("f").cast("double") * F.col("f")).alias("sff"))
+    found = {r["mask"]: r["sff"] * size / total**2 for r in sums.collect()}
+    return {m: found.get(m, 0.0) for m in masks}
 
 
 # ---------------------------------------------------------------- the level loop

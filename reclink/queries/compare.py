@@ -153,6 +153,13 @@ def bl_prob_three_way(spark, sf_dir):
     return probabilistic.decide_three_ways(scored, 0.8, 0.6).groupBy("decision").agg(F.count(F.lit(1)).alias("n"))
 
 
+@query()
+def bl_prob_unsupervised(spark, sf_dir):
+    p, levels = levels_of(spark, sf_dir)
+    w_ = probabilistic.weights(probabilistic.mu_from_mixture(levels, VOTER))
+    return evaluate.precision_recall(probabilistic.weighted(levels, w_).where("s >= 0.8 - 1e-9"), p.truth)
+
+
 @query(_scored_sql(PROPORTIONAL).then(s.accuracy()))
 def bl_redistribute(spark, sf_dir):
     return _probabilistic(spark, sf_dir, split="proportional")
@@ -274,7 +281,7 @@ def _complete_sql() -> str:
 def bl_complete_case(spark, sf_dir):
     p = w.PAIRS["w4"](spark, sf_dir)
     b, _ = simple.complete_case(p.b, VOTER)
-    sa, sb = signatures.kept_signatures(p.a, b, p.qids, select.fixed_combinations(p.combos), p.settings)
+    sa, sb = (keep(x, "s") for x in signatures.kept_signatures(p.a, b, p.qids, select.fixed_combinations(p.combos), p.settings))
     return evaluate.precision_recall(prob_signature.prob_signature_link(sa, sb), p.truth)
 
 
@@ -369,7 +376,7 @@ def ev_grid_avg(spark, sf_dir):
     out = None
     for p_t, _ in _GRID:
         settings = Settings(p_t=p_t)
-        sa, sb = signatures.kept_signatures(p.a, p.b, p.qids, select.fixed_combinations(p.combos), settings)
+        sa, sb = (keep(x, "s") for x in signatures.kept_signatures(p.a, p.b, p.qids, select.fixed_combinations(p.combos), settings))
         one = evaluate.precision_recall(prob_signature.prob_signature_link(sa, sb, settings=settings), p.truth).select(F.lit("signatures").alias("method"), F.lit("w4").alias("workload"), "precision", "recall")
         out = one if out is None else out.unionByName(one)
     return out.groupBy("method", "workload").agg(F.round(F.avg("precision"), 5).alias("precision"), F.round(F.avg("recall"), 5).alias("recall"))

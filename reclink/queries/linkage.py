@@ -237,6 +237,25 @@ def feat_misc(spark, sf_dir):
     return graph.mean_neighbour_degree(_mixed(spark, sf_dir)).select("record_id", F.round("mean_degree", 6).alias("mean_degree"))
 
 
+@query(
+    _home().then("SELECT e.record_id, CAST(sum(CASE WHEN m.given IS NULL OR m.middle IS NULL THEN 1 ELSE 0 END) AS BIGINT) AS missing_neighbours FROM ea e JOIN m ON m.record_id = e.neighbour GROUP BY ALL").replace("ea AS MATERIALIZED", "m AS MATERIALIZED (" + s.mcar("a", w.VOTER, 0.2, 5) + "),\nea AS MATERIALIZED")
+)
+def feat_missing_neighbours(spark, sf_dir):
+    edges = graph.edges(_household(spark, sf_dir))
+    return graph.neighbours_with_missing(edges, gaps(spark, sf_dir), ("given", "middle"))
+
+
+#: Vectors are related if they share a label and a hundred of vec_ids.
+CLOSE = "SELECT a.vec_id AS x, b.vec_id AS y, b.embedding AS e FROM embeddings a JOIN embeddings b ON a.label = b.label AND a.vec_id // 100 = b.vec_id // 100 AND a.vec_id <> b.vec_id"
+
+
+@query(f"SELECT x AS record_id, round(avg(CAST(e[1] AS DOUBLE)), 5) AS c1, round(avg(CAST(e[64] AS DOUBLE)), 5) AS c64 FROM ({CLOSE}) GROUP BY 1")
+def feat_embedding_centroid(spark, sf_dir):
+    rows = spark.read.parquet(f"{sf_dir}/embeddings.parquet").select(F.col("vec_id").alias("record_id"), F.col("embedding").cast("array<double>").alias("embedding"), F.concat_ws("/", "label", F.floor(F.col("vec_id") / 100)).alias("home"))
+    edges = graph.edges(graph.membership(rows, [Rule.group("home")]), max_group=100)
+    return graph.neighbour_centroid(edges, rows).select("record_id", F.round(F.get("centroid", F.lit(0)), 5).alias("c1"), F.round(F.get("centroid", F.lit(63)), 5).alias("c64"))
+
+
 @query(
     _neighbour_sigs()
     .add("deg", "SELECT record_id, count(*) AS degree FROM ea GROUP BY ALL")
@@ -265,7 +284,8 @@ def _w4(spark, sf_dir):
 
 def kept(spark, sf_dir):
     p = _w4(spark, sf_dir)
-    return p, *signatures.kept_signatures(p.a, p.b, p.qids, select.fixed_combinations(p.combos), p.settings)
+    sa, sb = signatures.kept_signatures(p.a, p.b, p.qids, select.fixed_combinations(p.combos), p.settings)
+    return p, keep(sa, "sa"), keep(sb, "sb")
 
 
 def _cand() -> s.Ctes:

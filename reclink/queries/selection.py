@@ -10,6 +10,7 @@ from reclink.queries import _sql as s
 from reclink.queries._registry import query
 from reclink.queries.workloads import VOTER
 from reclink.sources import views
+from reclink.sources.store import keep
 
 QIDS = [Qid(a) for a in VOTER]
 ALPHA, C_T = 0.5, 0.7
@@ -56,7 +57,7 @@ def _frame(spark, combos):
 
 
 def _all(spark, sf_dir, **options):
-    return _frame(spark, select.select_combinations(gaps(spark, sf_dir), QIDS, n_a=99, alpha=ALPHA, c_t=C_T, **options))
+    return _frame(spark, select.select_combinations(keep(gaps(spark, sf_dir)), QIDS, n_a=99, alpha=ALPHA, c_t=C_T, **options))
 
 
 @query(_fresh().then("SELECT round(avg(CASE WHEN given IS NOT NULL AND family IS NOT NULL THEN 1.0 ELSE 0.0 END), 6) AS s_c FROM d"))
@@ -76,14 +77,14 @@ def sel_gini(spark, sf_dir):
 
 @query(_fresh().add("sc", _scores(high=2)).then(f"SELECT {SHOWN} FROM sc"))
 def sel_score_pairs(spark, sf_dir):
-    found = select.select_combinations(gaps(spark, sf_dir), QIDS, n_a=99, alpha=ALPHA, c_t=0.0, max_size=2, subset_policy="keep")
+    found = select.select_combinations(keep(gaps(spark, sf_dir)), QIDS, n_a=99, alpha=ALPHA, c_t=0.0, max_size=2, subset_policy="keep")
     return _frame(spark, found)
 
 
 @query()
 def sel_levels(spark, sf_dir):
     trace = select.Selection()
-    select.select_combinations(gaps(spark, sf_dir), QIDS, alpha=ALPHA, c_t=C_T, trace=trace)
+    select.select_combinations(keep(gaps(spark, sf_dir)), QIDS, alpha=ALPHA, c_t=C_T, trace=trace)
     rows = [(k, ",".join(select.attrs_of(m, QIDS))) for k, level in enumerate(trace.levels, 2) for m in sorted(level)]
     return spark.createDataFrame(rows, "level int, attrs string")
 
@@ -124,12 +125,12 @@ def sel_subset_dominated(spark, sf_dir):
 
 @query(_levels().then(f"SELECT {SHOWN} FROM (SELECT *, {NAME} AS nm FROM passing) ORDER BY round(score, 9) DESC, k, nm LIMIT 3"))
 def sel_top(spark, sf_dir):
-    return _frame(spark, select.select_combinations(gaps(spark, sf_dir), QIDS, n_a=3, alpha=ALPHA, c_t=C_T, subset_policy="keep"))
+    return _frame(spark, select.select_combinations(keep(gaps(spark, sf_dir)), QIDS, n_a=3, alpha=ALPHA, c_t=C_T, subset_policy="keep"))
 
 
 @query(_levels().then(f"SELECT {SHOWN} FROM (SELECT *, {NAME} AS nm FROM passing p WHERE {DROP}) ORDER BY round(score, 9) DESC, k, nm LIMIT 5"))
 def sel_full(spark, sf_dir):
-    return _frame(spark, select.select_combinations(gaps(spark, sf_dir), QIDS, n_a=5, alpha=ALPHA, c_t=C_T))
+    return _frame(spark, select.select_combinations(keep(gaps(spark, sf_dir)), QIDS, n_a=5, alpha=ALPHA, c_t=C_T))
 
 
 @query()
@@ -150,18 +151,18 @@ def sel_criterion(spark, sf_dir):
 @query()
 def sel_gini_ams(spark, sf_dir):
     masks = [m for m in range(64) if m.bit_count() == 2]
-    squares = select.estimated_sums(gaps(spark, sf_dir), QIDS, masks, "ams", 64)
+    squares = select.estimated_sums(keep(gaps(spark, sf_dir)), QIDS, masks, "ams", 64)
     return spark.createDataFrame([(",".join(select.attrs_of(m, QIDS)), v) for m, v in squares.items()], "attrs string, squares double")
 
 
 @query()
 def sel_gini_sample(spark, sf_dir):
     masks = [m for m in range(64) if m.bit_count() == 2]
-    squares = select.estimated_sums(gaps(spark, sf_dir), QIDS, masks, "sample", 16)
+    squares = select.estimated_sums(keep(gaps(spark, sf_dir)), QIDS, masks, "sample", 16)
     return spark.createDataFrame([(",".join(select.attrs_of(m, QIDS)), v) for m, v in squares.items()], "attrs string, squares double")
 
 
 @query(_fresh().add("u", "SELECT * FROM person UNION ALL SELECT * FROM d").add("sc", _scores(high=2, table="u")).then(f"SELECT {SHOWN} FROM sc"))
 def sel_scope(spark, sf_dir):
-    both = views.person(spark, sf_dir).unionByName(gaps(spark, sf_dir))
+    both = keep(views.person(spark, sf_dir).unionByName(gaps(spark, sf_dir)))
     return _frame(spark, select.select_combinations(both, QIDS, n_a=99, alpha=ALPHA, c_t=0.0, max_size=2, subset_policy="keep"))

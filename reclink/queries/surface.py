@@ -94,7 +94,7 @@ def sink_partitioned(spark, d):
 def sink_bucketed(spark, d):
     """A bucketed table answers a group-by on its key without a shuffle."""
     name = f"bucketed_{uuid.uuid4().hex}"
-    orders(spark, d).select("o_custkey", "o_orderkey").write.bucketBy(8, "o_custkey").saveAsTable(name)
+    orders(spark, d).select("o_custkey", "o_orderkey").write.option("path", _place(spark, "bucketed")).bucketBy(8, "o_custkey").saveAsTable(name)
     return spark.table(name).groupBy("o_custkey").agg(F.count(F.lit(1)).alias("n"))
 
 
@@ -347,7 +347,7 @@ def win_range_frame(spark, d):
     return rows.select("o_orderkey", F.count(F.lit(1)).over(Window.partitionBy("o_custkey").orderBy("day").rangeBetween(-30, 0)).alias("n"))
 
 
-@query(f"SELECT o_orderkey, first_value(o_orderkey) OVER (w) AS first, nth_value(o_orderkey, 2) OVER (w) AS second, last_value(o_orderkey) OVER (w) AS last FROM orders WINDOW w AS ({BY} ROWS BETWEEN UNBOUNDED PRECEDING AND UNBOUNDED FOLLOWING)")
+@query(f"SELECT o_orderkey, first_value(o_orderkey) OVER w AS first, nth_value(o_orderkey, 2) OVER w AS second, last_value(o_orderkey) OVER w AS last FROM orders WINDOW w AS ({BY} ROWS BETWEEN UNBOUNDED PRECEDING AND UNBOUNDED FOLLOWING)")
 def win_nth(spark, d):
     whole = _order().rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)
     return orders(spark, d).select("o_orderkey", F.first("o_orderkey").over(whole).alias("first"), F.nth_value("o_orderkey", 2).over(whole).alias("second"), F.last("o_orderkey").over(whole).alias("last"))
@@ -495,7 +495,7 @@ def fn_explode(spark, d):
 
 @query("SELECT c_custkey, c_name AS name, c_mktsegment AS segment, CAST(2 AS INTEGER) AS keys FROM customer")
 def fn_map(spark, d):
-    m = F.map_from_entries(F.array(F.struct(F.lit("name"), C("c_name")), F.struct(F.lit("segment"), C("c_mktsegment"))))
+    m = F.map_from_entries(F.array(F.struct(F.lit("name").alias("k"), C("c_name").alias("v")), F.struct(F.lit("segment").alias("k"), C("c_mktsegment").alias("v"))))
     rows = customer(spark, d).select("c_custkey", F.transform_values(m, lambda k, v: F.concat(v, F.lit(""))).alias("m"))
     return rows.select("c_custkey", C("m")["name"].alias("name"), C("m")["segment"].alias("segment"), F.size("m").alias("keys"))
 

@@ -13,6 +13,7 @@ from reclink.operators import perturb
 from reclink.operators.evaluate import truth_of
 from reclink.plans.model import Qid, Rule, Settings
 from reclink.sources import views
+from reclink.sources.store import keep
 
 VOTER = ("given", "middle", "family", "street", "city", "zip")
 CENSUS = ("given", "middle", "family", "street", "occupation", "gender", "age", "parish")
@@ -45,7 +46,7 @@ class Pair:
 
 
 def _of_persons(a: DataFrame, b: DataFrame, attrs, combos, rules, settings=Settings()) -> Pair:
-    b = perturb.rename_ids(b, "b")
+    a, b = keep(a, "a"), keep(perturb.rename_ids(b, "b"), "b")
     return Pair(a, b, truth_of(a, b), attrs, combos, rules, settings)
 
 
@@ -91,7 +92,7 @@ def _papers(a: DataFrame, b: DataFrame, missing: tuple[float, float]) -> Pair:
     truth = common.join(size(ga, "a"), "a_id").join(size(gb, "b"), "b_id").where("2 * m >= na + nb - m").select("a_id", "b_id")
     lose = ("authors", "venue", "year")
     a, b = perturb.inject_mcar(a, lose, missing[0], 2, "mcar-a"), perturb.inject_mcar(b, lose, missing[1], 2, "mcar-b")
-    return Pair(a, b, truth, PAPERS, PAPER_COMBOS, [Rule.overlap("author_list", 50)], Settings())
+    return Pair(keep(a, "a"), keep(b, "b"), keep(truth, "truth"), PAPERS, PAPER_COMBOS, [Rule.overlap("author_list", 50)], Settings())
 
 
 def bib_large(spark: SparkSession, sf_dir: str) -> Pair:

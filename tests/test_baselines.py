@@ -148,6 +148,21 @@ def test_no_cartesian_product_in_the_plan(spark, small):
     assert "Cartesian" not in plan and "NestedLoop" not in plan
 
 
+def test_scans_read_the_columns_in_use_only(spark, small):
+    p = w.PAIRS["w4"](spark, small)
+    plan = signatures.attribute_signatures(p.a, p.qids, select.fixed_combinations([("given", "family")]))._jdf.queryExecution().executedPlan().toString()
+    scan = next(line for line in plan.splitlines() if "ReadSchema" in line)
+    assert "given" in scan and "family" in scan
+    assert not any(c in scan.split("ReadSchema")[1] for c in ("occupation", "parish", "street"))
+
+
+def test_joining_candidates_filters_before_the_exchange(spark, small):
+    """Signatures without all their parts are dropped in the scan's stage, not after a shuffle."""
+    p = w.PAIRS["w4"](spark, small)
+    sigs = signatures.attribute_signatures(p.a, p.qids, select.fixed_combinations(p.combos))
+    assert "Exchange" not in sigs._jdf.queryExecution().executedPlan().toString()
+
+
 def test_unknown_column_is_refused(spark, small):
     with pytest.raises(ValueError):
         select.select_combinations(views.person(spark, small), [Qid("no")])
