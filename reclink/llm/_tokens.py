@@ -46,7 +46,9 @@ def spaced_chunks(data: np.ndarray, offsets: np.ndarray):
     cut[offsets] = True
     if n > 1:
         safe = _SAFE[data]
-        cut[: n - 1] |= ((data[:-1] == 0x20) | (data[:-1] == 0x0A)) & safe[1:]
+        inside = np.ones(n + 1, bool)
+        inside[offsets] = False  # what follows the last byte of a text is another text
+        cut[: n - 1] |= ((data[:-1] == 0x20) | (data[:-1] == 0x0A)) & safe[1:] & inside[1:n]
         cut[1:n] |= (data[:-1] == 0x0A) & safe[1:]
         cut[1:n] |= (data[1:] == 0x0A) & (data[:-1] > 0x20) & (data[:-1] < 0x7F)
     cut[n] = True
