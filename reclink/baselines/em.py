@@ -29,10 +29,12 @@ def fit(rows: Sequence[tuple[str, int]], width: int, iterations: int = 50, toler
     least_m: lower bounds of m's agreement, from expected change rates; prior: a Beta prior
     of the match share.  m starts leaning to agreement, so the classes cannot swap.
     """
-    codes = np.array([[-1 if x == "-" else int(x) for x in p] for p, _ in rows]).reshape(-1, width)
+    codes = np.array([[-1 if x == "-" else int(x) for x in p] for p, _ in rows], int).reshape(-1, width)
     counts = np.array([n for _, n in rows], float)
     m = np.tile([0.1, 0.2, 0.7], (width, 1))
     u = np.tile([0.8, 0.1, 0.1], (width, 1))
+    if not len(counts):
+        return {}, share, m, u
     seen = codes >= 0
     pick = np.where(seen, codes, 0)
     columns = np.arange(width)
@@ -41,7 +43,7 @@ def fit(rows: Sequence[tuple[str, int]], width: int, iterations: int = 50, toler
         log_u = np.where(seen, np.log(u[columns, pick]), 0).sum(axis=1) + np.log1p(-share)
         r = 1 / (1 + np.exp(np.clip(log_u - log_m, -700, 700)))
         a, b = prior or (0.0, 0.0)
-        new = float(np.clip(((counts * r).sum() + a) / (counts.sum() + a + b), 1e-9, 1 - 1e-9)) if len(counts) else share
+        new = float(np.clip(((counts * r).sum() + a) / (counts.sum() + a + b), 1e-9, 1 - 1e-9))
         for table, weight in ((m, counts * r), (u, counts * (1 - r))):
             for c in range(width):
                 sums = np.bincount(pick[:, c], weight * seen[:, c], 3) + 1e-6
@@ -55,7 +57,7 @@ def fit(rows: Sequence[tuple[str, int]], width: int, iterations: int = 50, toler
             share = new
             break
         share = new
-    return dict(zip((p for p, _ in rows), r.tolist())) if len(counts) else {}, share, m, u
+    return dict(zip((p for p, _ in rows), r.tolist())), share, m, u
 
 
 def em_link(levels: DataFrame, attrs: Sequence[str], s_t: float = 0.8, **options) -> DataFrame:

@@ -82,7 +82,7 @@ def census_nat(spark: SparkSession, sf_dir: str) -> Pair:
 def _papers(a: DataFrame, b: DataFrame, missing: tuple[float, float]) -> Pair:
     """One record per text and side; true pairs share half of their rarer three-word runs."""
     first = lambda df: df.join(df.groupBy("entity_id").agg(F.min(F.col("record_id").cast("long")).cast("string").alias("record_id")), ["entity_id", "record_id"], "left_semi")
-    a, b = first(a), perturb.rename_ids(first(b), "b")
+    a, b = keep(first(a), "a"), keep(perturb.rename_ids(first(b), "b"), "b")
     runs = lambda df: df.select("record_id", F.explode("runs").alias("g"))
     ga, gb = runs(a), runs(b)
     rare = ga.unionByName(gb).groupBy("g").agg(F.count(F.lit(1)).alias("n")).where("n < 50").select("g")

@@ -7,6 +7,7 @@ import datetime
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from reclink.sources.store import keep
 from reclink.sources.tables import read
 
 EXAMPLE_SCHEMA = "database string, record_id string, entity_id string, first_name string, last_name string, birth_date date, street string, city string, phone string"
@@ -52,13 +53,14 @@ def person(spark: SparkSession, sf_dir: str) -> DataFrame:
 def publication(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Documents as publications: first words as title, longest words as authors."""
     words = F.filter(F.split(F.lower("text"), r"[^\p{L}\p{N}_]+"), lambda w: F.length(w) > 0)
-    rows = read(spark, sf_dir, "documents").select(F.col("doc_id"), "text", "lang", "source", "n_chars", words.alias("w")).where(F.size("w") > 0)
+    # written once: the optimizer would put the splitting into each step of the lambdas below
+    rows = keep(read(spark, sf_dir, "documents").select("doc_id", "lang", "source", "n_chars", words.alias("w"), F.md5("text").alias("entity_id")), "words").where(F.size("w") > 0)
     ranked = F.array_sort(F.transform(F.array_distinct("w"), lambda x: F.struct((-F.length(x)).alias("n"), x.alias("x"))))
     authors = F.transform(F.slice(ranked, 1, 3), lambda s: s["x"])
     last = F.slice("w", F.greatest(F.size("w") - 2, F.lit(1)), 3)
     return rows.select(
         F.col("doc_id").cast("string").alias("record_id"), F.array_join(F.slice("w", 1, 3), " ").alias("title"), F.array_join(F.array_sort(authors), " ").alias("authors"), authors.alias("author_list"),
-        F.array_join(last, " ").alias("venue"), (1950 + F.floor(F.col("n_chars") / 200) % 70).cast("string").alias("year"), "lang", "source", F.md5("text").alias("entity_id"),
+        F.array_join(last, " ").alias("venue"), (1950 + F.floor(F.col("n_chars") / 200) % 70).cast("string").alias("year"), "lang", "source", "entity_id",
         F.array_distinct(F.when(F.size("w") >= 3, F.transform(F.sequence(F.lit(1), F.greatest(F.size("w") - 2, F.lit(1))), lambda i: F.array_join(F.slice("w", i, 3), " "))).otherwise(F.array(F.array_join("w", " ")))).alias("runs"),
     )
 
