@@ -14,12 +14,9 @@ import time
 HERE = os.path.dirname(os.path.abspath(__file__))
 sys.path.insert(0, HERE)
 
-HEADLINE = (
-    "sel_full", "sig_filter", "wl_w1", "wl_w2", "wl_w3", "wl_w4", "wl_w5", "wl_w6", "wl_w7",
-    "bl_prob_link", "bl_redistribute", "bl_probsig", "bl_em_link", "join_similarity", "st_incremental_link",
-)
+HEADLINE = ("sel_full", "sig_filter", "wl_w2", "wl_w4", "wl_w6", "wl_w7", "bl_prob_link", "bl_probsig")
 #: Workloads that are also run step by step, with the selection.
-WORKLOADS = tuple(os.environ.get("BENCH_WORKLOADS", "w2,w4,w7").split(","))
+WORKLOADS = tuple(os.environ.get("BENCH_WORKLOADS", "w4").split(","))
 
 
 def session(cpus: str):
