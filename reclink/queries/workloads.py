@@ -9,7 +9,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from reclink.functions.hashing import portable
-from reclink.operators import perturb
+from reclink.operators import joins, perturb
 from reclink.operators.evaluate import truth_of
 from reclink.plans.model import Qid, Rule, Settings
 from reclink.sources import views
@@ -79,17 +79,22 @@ def census_nat(spark: SparkSession, sf_dir: str) -> Pair:
     return _of_persons(a, b, NATIONAL, NATIONAL_COMBOS, [Rule.group("household")])
 
 
+def papers_truth(a: DataFrame, b: DataFrame) -> DataFrame:
+    """a_id, b_id with a similarity of runs of at least 0.5.  Records with the same runs are
+    compared as one, and sets meet in their rarest runs, so common runs count but are no key."""
+    key = F.sha2(F.array_join(F.array_sort("runs"), "\u001f"), 256)
+    classes = lambda df, side: keep(df.select(F.col("record_id").alias(f"{side}_id"), key.alias(f"{side}_key"), "runs"), "runs")
+    ca, cb = classes(a, "a"), classes(b, "b")
+    one = lambda df, side: df.groupBy(f"{side}_key").agg(F.first("runs").alias("runs"))
+    alike = joins.similarity_join(one(ca, "a"), one(cb, "b"), "a_key", "b_key", "runs", 0.5)
+    return alike.join(ca.select("a_id", "a_key"), "a_key").join(cb.select("b_id", "b_key"), "b_key").select("a_id", "b_id")
+
+
 def _papers(a: DataFrame, b: DataFrame, missing: tuple[float, float]) -> Pair:
-    """One record per text and side; true pairs share half of their rarer three-word runs."""
+    """One record per text and side; true pairs share half of their three-word runs."""
     first = lambda df: df.join(df.groupBy("entity_id").agg(F.min(F.col("record_id").cast("long")).cast("string").alias("record_id")), ["entity_id", "record_id"], "left_semi")
     a, b = keep(first(a), "a"), keep(perturb.rename_ids(first(b), "b"), "b")
-    runs = lambda df: df.select("record_id", F.explode("runs").alias("g"))
-    ga, gb = runs(a), runs(b)
-    rare = ga.unionByName(gb).groupBy("g").agg(F.count(F.lit(1)).alias("n")).where("n < 50").select("g")
-    ga, gb = ga.join(rare, "g", "left_semi"), gb.join(rare, "g", "left_semi")
-    size = lambda g, side: g.groupBy(F.col("record_id").alias(f"{side}_id")).agg(F.count(F.lit(1)).alias(f"n{side}"))
-    common = ga.withColumnRenamed("record_id", "a_id").join(gb.withColumnRenamed("record_id", "b_id"), "g").groupBy("a_id", "b_id").agg(F.count(F.lit(1)).alias("m"))
-    truth = common.join(size(ga, "a"), "a_id").join(size(gb, "b"), "b_id").where("2 * m >= na + nb - m").select("a_id", "b_id")
+    truth = papers_truth(a, b)
     lose = ("authors", "venue", "year")
     a, b = perturb.inject_mcar(a, lose, missing[0], 2, "mcar-a"), perturb.inject_mcar(b, lose, missing[1], 2, "mcar-b")
     return Pair(keep(a, "a"), keep(b, "b"), keep(truth, "truth"), PAPERS, PAPER_COMBOS, [Rule.overlap("author_list", 50)], Settings())
