@@ -458,10 +458,14 @@ def compare_methods(spark, sf_dir, name: str):
     return out
 
 
+#: The workloads that the methods are compared on.
+COMPARED = ("w1", "w2", "w3", "w4", "w5", "w6")
+
+
 @query()
 def wl_w9(spark, sf_dir):
     out = None
-    for name in ("w2", "w4"):
+    for name in COMPARED:
         one = compare_methods(spark, sf_dir, name)
         out = one if out is None else out.unionByName(one)
     return out
