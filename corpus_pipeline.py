@@ -19,7 +19,8 @@ def language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Keeps the smallest doc_id of each group of near copies."""
+    """Keeps the smallest doc_id of each group of near copies: texts are linked that share
+    0.85 or more of their five-word shingles."""
     return oddsketch.drop_near_copies(docs)
 
 

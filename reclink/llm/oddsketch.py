@@ -5,8 +5,9 @@ ASCII white space after lowering A-Z; fewer words than five are one shingle).  T
 
 1. Texts with the same set are one class (set size and two independent 64-bit sums), so
    groups of exact copies are one row from here on, however large.
-2. MinHash: `BANDS` bands of `ROWS` minima put classes into buckets.  At a similarity of
-   0.85 a pair misses all bands with a chance of about 1e-5, at 0.9 of 2e-8.
+2. MinHash: bands of `ROWS` minima put classes into buckets, as many as `bands` says for
+   the threshold: 20 for 0.85, 29 for 0.8.  A pair at the threshold misses all bands with a
+   chance of about 1e-5.
 3. Odd sketches are parity bitmaps: two sketches differ in at most as many bits as the
    folded sets differ in elements.  One folds the MinHash samples, whose count of
    differing bits estimates the similarity (pairs more than six deviations under the
@@ -32,6 +33,7 @@ non-null doc_id.  Empty tables give no rows.  Further columns are kept by
 
 from __future__ import annotations
 
+import functools
 import math
 
 import numpy as np
@@ -43,16 +45,29 @@ from pyspark.sql import functions as F
 from reclink.llm._common import SpanHasher, bounded, materialise, splitmix, text_steps, tidy, word_spans
 
 WORDS = 5
+#: BANDS is for a threshold of 0.85.
 BANDS, ROWS = 20, 5
+#: Chance that a pair at a lower threshold may miss all bands.
+MISS = 1.3e-5
 SAMPLE_BITS, SET_BITS = 512, 1024
-#: Classes on a side of a tile; bands that the tile rounds look at, in turn.
-TILE, TILE_BANDS = 2048, (3, BANDS)
+#: Classes on a side of a tile; bands that the first tile round looks at.
+TILE, TILE_BANDS = 2048, 3
 #: Ids of texts to be confirmed: 16 bytes each, so at most 16 MB are broadcast.
 BROADCAST_ROWS = 500_000
 
 U64 = np.uint64
-_MULTIPLIERS = splitmix(np.arange(BANDS * ROWS, dtype=np.uint64) + U64(5001)) | U64(1)
-_ADDENDS = splitmix(np.arange(BANDS * ROWS, dtype=np.uint64) + U64(9001))
+
+
+@functools.lru_cache
+def _coefficients(samples: int) -> tuple[np.ndarray, np.ndarray]:
+    """Multipliers and addends of the MinHash functions."""
+    numbers = np.arange(samples, dtype=np.uint64)[:, None]
+    return splitmix(numbers + U64(5001)) | U64(1), splitmix(numbers + U64(9001))
+
+
+def bands(percent: int) -> int:
+    """Bands that a pair at the threshold misses with a chance of at most MISS."""
+    return BANDS if percent >= 85 else math.ceil(math.log(MISS) / math.log(1 - (percent / 100) ** ROWS))
 
 
 # ---------------------------------------------------------------- sets and sketches
@@ -80,12 +95,13 @@ def shingle_sets(data: np.ndarray, offsets: np.ndarray, hasher: SpanHasher, widt
     return out
 
 
-def minima(values: np.ndarray, block: int = 4096) -> np.ndarray:
-    """The BANDS * ROWS MinHash samples of a non-empty set."""
-    best = np.full(len(_MULTIPLIERS), np.iinfo(np.uint64).max, np.uint64)
+def minima(values: np.ndarray, block: int = 4096, samples: int = BANDS * ROWS) -> np.ndarray:
+    """The MinHash samples of a non-empty set."""
+    best = np.full(samples, np.iinfo(np.uint64).max, np.uint64)
+    multipliers, addends = _coefficients(samples)
     with np.errstate(over="ignore"):
         for at in range(0, len(values), block):
-            np.minimum(best, (values[None, at : at + block] * _MULTIPLIERS[:, None] + _ADDENDS[:, None]).min(axis=1), out=best)
+            np.minimum(best, (values[None, at : at + block] * multipliers + addends).min(axis=1), out=best)
     return best
 
 
@@ -115,9 +131,9 @@ def sample_limit(threshold: float, samples: int = BANDS * ROWS, size: int = SAMP
 _SIGNATURE = "row long, doc_id long, k long, n long, s1 long, s2 long, keys array<long>, samples array<long>, parity array<long>"
 
 
-def signatures(docs: DataFrame) -> DataFrame:
-    """Per row: k (hash of the text), n (set size), s1 and s2 (sums that name the set), band
-    keys and sketches."""
+def signatures(docs: DataFrame, count: int = BANDS) -> DataFrame:
+    """Per row: k (hash of the text), n (set size), s1 and s2 (sums that name the set), keys
+    of `count` bands and sketches."""
 
     def sign(batches):
         from pyspark import TaskContext
@@ -125,7 +141,7 @@ def signatures(docs: DataFrame) -> DataFrame:
         row = TaskContext.get().partitionId() << 40
         hasher = SpanHasher(5)
         weights = splitmix(np.arange(ROWS, dtype=np.uint64) + U64(301)) | U64(1)
-        band = splitmix(np.arange(BANDS, dtype=np.uint64) + U64(401))
+        band = splitmix(np.arange(count, dtype=np.uint64) + U64(401))
         for batch in batches:
             for at, to, data, offsets in text_steps(batch.column(1), 2 << 20):
                 rows = []
@@ -134,8 +150,8 @@ def signatures(docs: DataFrame) -> DataFrame:
                         if len(values) == 0:
                             rows.append((0, 0, 0, [], [], []))
                             continue
-                        best = minima(values)
-                        keys = splitmix((best.reshape(BANDS, ROWS) * weights).sum(axis=1, dtype=np.uint64) ^ band)
+                        best = minima(values, samples=count * ROWS)
+                        keys = splitmix((best.reshape(count, ROWS) * weights).sum(axis=1, dtype=np.uint64) ^ band)
                         sums = [int(splitmix(values ^ U64(seed)).sum(dtype=np.uint64).astype(np.int64)) for seed in (17, 1717)]
                         parity = fold((values % U64(SET_BITS)).astype(np.int64), SET_BITS)
                         rows.append((len(values), *sums, keys.view(np.int64), sample_sketch(best), parity))
@@ -202,7 +218,7 @@ def _tile(percent: int):
                 fits &= block != block[i]
             near = np.flatnonzero(fits)
             apart = np.bitwise_count(parity[near] ^ parity[i]).sum(axis=1, dtype=np.int64)
-            alike = np.bitwise_count(samples[near] ^ samples[i]).sum(axis=1, dtype=np.int64) <= sample_limit(percent / 100)
+            alike = np.bitwise_count(samples[near] ^ samples[i]).sum(axis=1, dtype=np.int64) <= sample_limit(percent / 100, bands(percent) * ROWS)
             most = (n[near] + n[i]) * (100 - percent) // (100 + percent)
             good = alike & (apart <= most)
             near, apart = near[good], apart[good]
@@ -221,7 +237,7 @@ class _Run:
 
     def __init__(self, docs: DataFrame, percent: int, broadcast_rows: int):
         self.docs, self.percent, self.broadcast_rows = docs, percent, broadcast_rows
-        self.rows = materialise(signatures(docs), "signatures")
+        self.rows = materialise(signatures(docs, bands(percent)), "signatures")
         live = self.rows.where("n > 0")
         heads = live.groupBy("n", "s1", "s2").agg(F.min("row").alias("c"), F.min("doc_id").alias("lowest"))
         self.names = materialise(heads, "classes")
@@ -233,7 +249,7 @@ class _Run:
         most = F.floor((F.col(f"{x}.n") + F.col(f"{y}.n")) * (100 - self.percent) / (100 + self.percent))
         sizes = 100 * F.least(f"{x}.n", f"{y}.n") >= self.percent * F.greatest(f"{x}.n", f"{y}.n")
         close = _differing(f"{x}.parity", f"{y}.parity", SET_BITS // 64) <= most
-        alike = _differing(f"{x}.samples", f"{y}.samples", SAMPLE_BITS // 64) <= sample_limit(self.percent / 100)
+        alike = _differing(f"{x}.samples", f"{y}.samples", SAMPLE_BITS // 64) <= sample_limit(self.percent / 100, bands(self.percent) * ROWS)
         return sizes & close & alike
 
     def confirm(self, pairs: DataFrame, tag: str) -> DataFrame:
@@ -285,10 +301,10 @@ def near_copies(docs: DataFrame, percent: int = 85, broadcast_rows: int = BROADC
         named = known.select(F.col("v").alias(vertex), F.col("l").alias("_l"))
         return frame.join(named, vertex, "left").withColumn(out, F.coalesce("_l", vertex)).drop("_l")
 
-    def unsettled(known: DataFrame, bands: int = BANDS) -> DataFrame:
+    def unsettled(known: DataFrame, first: int) -> DataFrame:
         """key, c, l, major, m, k of all members of buckets with several components; major is
         the bucket's largest one, m its members, k their sketches."""
-        placed = materialise(label(buckets.where(F.col("band") < bands).select("key", "c"), known, "c", "l"), "placed")
+        placed = materialise(label(buckets.where(F.col("band") < first).select("key", "c"), known, "c", "l"), "placed")
         each = placed.groupBy("key", "l").agg(F.count(F.lit(1)).alias("m"))
         mixed = each.groupBy("key").agg(F.max_by("l", F.struct("m", "l")).alias("major"), F.count(F.lit(1)).alias("parts"), F.sum("m").alias("m")).where("parts > 1").drop("parts")
         return placed.join(mixed, "key").join(sketch, "c")
@@ -297,8 +313,8 @@ def near_copies(docs: DataFrame, percent: int = 85, broadcast_rows: int = BROADC
     links = run.confirm(with_sketches(stars), "star")
     labels = components(links)
 
-    for bands in TILE_BANDS:
-        open_ = unsettled(labels, bands)
+    for first in (TILE_BANDS, bands(percent)):
+        open_ = unsettled(labels, first)
         blocks = F.ceil(F.col("m") / TILE).cast("int")
         block = F.pmod(F.xxhash64("c"), blocks).cast("int")
         tiles = open_.select("key", "c", "l", (F.col("l") != F.col("major")).alias("minor"), "k.*", block.alias("block"), F.explode(F.sequence(F.lit(0), blocks - 1)).alias("other"))
@@ -307,7 +323,7 @@ def near_copies(docs: DataFrame, percent: int = 85, broadcast_rows: int = BROADC
         links = materialise(links.unionByName(run.confirm(found.distinct(), "tile")), "links")
         labels = components(links)
 
-    open_ = materialise(unsettled(labels).drop("m"), "open-buckets")
+    open_ = materialise(unsettled(labels, bands(percent)).drop("m"), "open-buckets")
     x = open_.where("l <> major").select("key", F.col("c").alias("x"), F.col("l").alias("lx"), F.col("k").alias("kx"), "major")
     y = open_.select(F.col("key").alias("key_y"), F.col("c").alias("y"), F.col("l").alias("ly"), F.col("k").alias("ky"))
     once = (F.col("ly") == F.col("major")) | (F.col("x") < F.col("y"))
