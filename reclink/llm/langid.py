@@ -206,7 +206,8 @@ def train(docs: DataFrame, **bounds) -> tuple[list[str], dict[str, np.ndarray] |
 
 
 def _judge(column, tables: Tables | None, languages: int, block: int):
-    """Per step of texts: (first row, end, index of the language or `languages`, score)."""
+    """Per step of texts: (first row, end, index of the language or `languages`, score, whether
+    there is a letter)."""
     for at, to, data, offsets in text_steps(column, 1 << 20):
         known = _lettered(data, offsets)
         best, score = np.full(to - at, languages), np.zeros(to - at)
@@ -219,7 +220,7 @@ def _judge(column, tables: Tables | None, languages: int, block: int):
             mean = (sums[stop] - sums[stop - count]) / np.maximum(np.diff(offsets), 1)[:, None]
             best = np.where(known, mean.argmax(axis=1), best)
             score = np.where(known, np.clip(mean.max(axis=1), 0, 1), 0)
-        yield at, to, best, np.round(score, 9)
+        yield at, to, best, np.round(score, 9), known
 
 
 def predict(docs: DataFrame, model: tuple[list[str], dict[str, np.ndarray] | None], block: int = 256 << 10) -> DataFrame:
@@ -230,7 +231,7 @@ def predict(docs: DataFrame, model: tuple[list[str], dict[str, np.ndarray] | Non
         tables = Tables(parameters) if parameters else None
         names = np.array([*languages, UNKNOWN], object)
         for batch in batches:
-            for at, to, best, score in _judge(batch.column(1), tables, len(languages), block):
+            for at, to, best, score, _ in _judge(batch.column(1), tables, len(languages), block):
                 yield pa.RecordBatch.from_arrays([batch.column(0).slice(at, to - at), pa.array(names[best], pa.string()), pa.array(score)], names=["doc_id", "lang_pred", "score"])
 
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(tidy(apply), "doc_id long, lang_pred string, score double")
@@ -238,15 +239,15 @@ def predict(docs: DataFrame, model: tuple[list[str], dict[str, np.ndarray] | Non
 
 def keep_known(docs: DataFrame, model, least: float = 0.3, block: int = 256 << 10) -> DataFrame:
     """The rows of docs, with all their columns, whose text has a language: not `und`, and
-    no score under `least`.  Only keys of the others come out of the network; they are
-    broadcast if they are few."""
+    no score under `least`; without a model (no labelled text), all that have a letter.  Only
+    keys of the others come out of the network; they are broadcast if they are few."""
     languages, parameters = model
 
     def judge(batches):
         tables = Tables(parameters) if parameters else None
         for batch in batches:
-            for at, to, best, score in _judge(batch.column(1), tables, len(languages), block):
-                gone = pa.array((best == len(languages)) | (score < least))
+            for at, to, best, score, known in _judge(batch.column(1), tables, len(languages), block):
+                gone = pa.array((best == len(languages)) | (score < least) if tables else ~known)
                 yield pa.RecordBatch.from_arrays([batch.column(k).slice(at, to - at).filter(gone) for k in (0, 2)], names=["_gone", "_k"])
 
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text", F.xxhash64("text").alias("k"))
