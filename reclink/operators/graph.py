@@ -1,7 +1,8 @@
 """Record graphs: membership in star form, edges, and features of a record's neighbourhood.
 
 A relation is kept as (record, group); edges are only made of groups up to `max_group`
-records, as a group of g records has g*(g-1)/2 edges.
+records, as a group of g records has g*(g-1)/2 edges.  Roles take groups of any size; what
+is counted on edges leaves larger groups out.
 """
 
 from __future__ import annotations
@@ -86,13 +87,15 @@ def neighbour_values(pairs: DataFrame, df: DataFrame, columns: Sequence[str]) ->
     return directed(pairs).join(values, "neighbour").groupBy("record_id").agg(F.array_sort(F.collect_set("value")).alias("nbr_values"))
 
 
-def neighbour_roles(members: DataFrame, max_group: int = 50) -> DataFrame:
-    """Distinct 'own>other' role labels over shared groups."""
-    small = _bounded(members.where("role IS NOT NULL"), max_group)
-    left = small.select("rule_id", "group_key", "record_id", "role")
-    right = small.select("rule_id", "group_key", F.col("record_id").alias("other"), F.col("role").alias("other_role"))
-    joined = left.join(right, ["rule_id", "group_key"]).where("record_id <> other")
-    return joined.groupBy("record_id").agg(F.array_sort(F.collect_set(F.concat_ws(">", "role", "other_role"))).alias("roles"))
+def neighbour_roles(members: DataFrame) -> DataFrame:
+    """Distinct 'own>other' role labels over shared groups of any size: from the roles of the
+    group and how many records have each, without the record's own."""
+    rows = members.where("role IS NOT NULL")
+    counts = rows.groupBy("rule_id", "group_key", "role").agg(F.count(F.lit(1)).alias("n"))
+    groups = counts.groupBy("rule_id", "group_key").agg(F.collect_list(F.struct("role", "n")).alias("others"))
+    each = rows.join(groups, ["rule_id", "group_key"]).select("record_id", "role", F.explode("others").alias("o"))
+    found = each.where((F.col("o.role") != F.col("role")) | (F.col("o.n") > 1))
+    return found.groupBy("record_id").agg(F.array_sort(F.collect_set(F.concat_ws(">", "role", "o.role"))).alias("roles"))
 
 
 def mean_neighbour_degree(pairs: DataFrame) -> DataFrame:

@@ -123,7 +123,7 @@ def relations(df: DataFrame, kept: DataFrame, rules: Sequence[Rule], qids: Seque
     pairs = graph.edges(members, settings.max_group)
     tables = {
         "degree": lambda: graph.degree(pairs), "density": lambda: graph.egonet_density(pairs), "nbr_sigs": lambda: graph.neighbour_signatures(pairs, kept),
-        "nbr_values": lambda: graph.neighbour_values(pairs, df, [q.name for q in qids]), "roles": lambda: graph.neighbour_roles(members, settings.max_group),
+        "nbr_values": lambda: graph.neighbour_values(pairs, df, [q.name for q in qids]), "roles": lambda: graph.neighbour_roles(members),
     }
     out = None
     for name in settings.features:

@@ -80,7 +80,7 @@ def signature_database(df: DataFrame, qids: Sequence[Qid], combos: Sequence[Comb
         "density": lambda: graph.egonet_density(edges),
         "nbr_sigs": lambda: graph.neighbour_signatures(edges, kept),
         "nbr_values": lambda: graph.neighbour_values(edges, df, [q.name for q in qids]),
-        "roles": lambda: graph.neighbour_roles(members, settings.max_group),
+        "roles": lambda: graph.neighbour_roles(members),
     }
     defaults = {"degree": F.lit(0).cast("long"), "density": F.lit(0.0), "nbr_sigs": F.array().cast("array<long>"), "nbr_values": F.array().cast("array<string>"), "roles": F.array().cast("array<string>")}
     for name in settings.features:
