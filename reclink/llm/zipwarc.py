@@ -262,7 +262,8 @@ def write_packages(pages: DataFrame, folder: str, least: int = LEAST, broadcast_
 
 def read_packages(packages: DataFrame) -> DataFrame:
     """Per record of the packages: page_id, url, payload_bytes, payload_digest (of responses
-    computed from what was read), record_type, refers_to."""
+    computed from what was read), record_type, refers_to.  Each package is a task of its own:
+    the count is given, as tasks would else be joined by the size of their few names."""
     kind = pa.schema([("page_id", pa.int64()), ("url", pa.string()), ("payload_bytes", pa.int64()), ("payload_digest", pa.string()), ("record_type", pa.string()), ("refers_to", pa.int64())])
     number = lambda text: None if text == "<urn:page:null>" else int(text[10:-1])
 
@@ -287,7 +288,7 @@ def read_packages(packages: DataFrame) -> DataFrame:
                         out = []
                 yield pa.RecordBatch.from_pylist(out, schema=kind)
 
-    spread = packages.select("uri").repartition("uri")
+    spread = packages.select("uri").repartition(max(1, packages.count()))
     return spread.mapInArrow(tidy(read), "page_id long, url string, payload_bytes long, payload_digest string, record_type string, refers_to long")
 
 
