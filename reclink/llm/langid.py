@@ -13,8 +13,9 @@ through gathers, maxima and one matrix product.  A text's probabilities are the
 its windows', weighted by their bytes.
 
 Null texts and texts without a letter get `und` and score 0; so do all if no labelled
-text is there to learn from.  Empty tables give no rows.  Further columns are kept by
-`keep_known` and ignored by `predict`.
+text is there to learn from.  Of languages with equal probabilities the first by name wins.
+Repeated rows are judged row by row.  Empty tables give no rows.  Further columns, whatever
+their names, are kept by `keep_known` and ignored by `predict`.
 """
 
 from __future__ import annotations
@@ -29,7 +30,7 @@ from reclink.llm._common import bounded, materialise, text_steps, tidy
 WINDOW = 128
 WIDTHS = (2, 3, 4)
 FILTERS, EMBED = 12, 12
-DOCS_PER_LANGUAGE, WINDOWS_PER_DOC, MAX_LANGUAGES = 500, 6, 256
+DOCS_PER_LANGUAGE, WINDOWS_PER_DOC = 500, 6
 UNKNOWN = "und"
 #: Keys of 16 bytes each, so at most 8 MB are broadcast.
 BROADCAST_ROWS = 500_000
@@ -164,14 +165,14 @@ def _lettered(data: np.ndarray, offsets: np.ndarray) -> np.ndarray:
     return out
 
 
-def sample(docs: DataFrame, docs_per_language: int = DOCS_PER_LANGUAGE, windows_per_doc: int = WINDOWS_PER_DOC, max_languages: int = MAX_LANGUAGES) -> tuple[list[str], np.ndarray, np.ndarray]:
+def sample(docs: DataFrame, docs_per_language: int = DOCS_PER_LANGUAGE, windows_per_doc: int = WINDOWS_PER_DOC) -> tuple[list[str], np.ndarray, np.ndarray]:
     """(languages, windows, labels) of a bounded sample of docs (doc_id, text, lang).
 
     Each language gives its texts by the hash of their doc_id, about docs_per_language of
-    them; languages beyond the max_languages most frequent ones are not learned.
+    them; every language that labels a text is learned.
     """
     known = docs.where(F.col("lang").isNotNull() & F.col("text").isNotNull())
-    counts = known.groupBy("lang").count().orderBy(F.desc("count"), "lang").limit(max_languages).collect()
+    counts = known.groupBy("lang").count().collect()
     if not counts:
         return [], np.zeros((0, WINDOW), np.uint8), np.zeros(0, np.int64)
     languages = sorted(r["lang"] for r in counts)
@@ -251,6 +252,6 @@ def keep_known(docs: DataFrame, model, least: float = 0.3, block: int = 256 << 1
                 yield pa.RecordBatch.from_arrays([batch.column(k).slice(at, to - at).filter(gone) for k in (0, 2)], names=["_gone", "_k"])
 
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text", F.xxhash64("text").alias("k"))
-    gone = materialise(rows.mapInArrow(tidy(judge), "_gone long, _k long").distinct(), "no-language")
-    same = docs["doc_id"].eqNullSafe(F.col("_gone")) & (F.xxhash64(docs["text"]) == F.col("_k"))
-    return docs.join(bounded(gone, BROADCAST_ROWS), same, "left_anti")
+    gone = bounded(materialise(rows.mapInArrow(tidy(judge), "_gone long, _k long").distinct(), "no-language"), BROADCAST_ROWS)
+    same = docs["doc_id"].eqNullSafe(gone["_gone"]) & (F.xxhash64(docs["text"]) == gone["_k"])
+    return docs.join(gone, same, "left_anti")
