@@ -7,16 +7,17 @@ prefix: texts are joined on that rarest word, and at each place where it occurs
 length bound (the text has room for the window) and the positional bound (the window
 starts inside the text) come before the exact comparison of the words.
 
-Rarity counts the benchmark's words over all texts; words of the corpus that no item has
-are of no use and never leave the join.  Both word tables are as large as the benchmark;
-they are broadcast only if they have at most `broadcast_rows` rows and are shuffled
-otherwise.
+Rarity counts the benchmark's words over all texts.  Both word tables are as large as the
+benchmark; they are broadcast only if they have at most `broadcast_rows` rows and are
+shuffled under salts otherwise, so that a frequent word is dealt over tasks.
 
 Null texts and texts without words have no words and no hits.  Rows are told apart by
 (doc_id, hash and length of the text), so repeated rows each get the same result and null
-doc_ids are kept.  Items without words or with a null item_id give no windows.
-Empty tables on either side are fine.  Further columns are kept by `clean_documents` and
-dropped by `contamination`.
+doc_ids are kept.  Items without words give no windows; windows of items with a null item_id
+count as hits, but the list of items leaves them out.  Items that repeat an item_id are one
+item with the windows of all.  Of words that are equally rare the first in order is the
+prefix, which changes no result.  Empty tables on either side are fine.  Further columns,
+whatever their names, are kept by `clean_documents` and dropped by `contamination`.
 """
 
 from __future__ import annotations
@@ -30,6 +31,8 @@ SEPARATORS = r"[\x00-\x2F\x3A-\x60\x7B-\x7F]+"
 WIDTH = 13
 #: With about 200 bytes a row (13 words) at most 40 MB are broadcast.
 BROADCAST_ROWS = 200_000
+#: Times that a table is repeated where its words are joined by a shuffle.
+SALTS = 8
 
 
 def words(text: Column) -> Column:
@@ -38,20 +41,36 @@ def words(text: Column) -> Column:
 
 def windows(benchmark: DataFrame, width: int = WIDTH) -> DataFrame:
     """Distinct windows (array of words) with the sorted ids of the items that have them."""
-    items = benchmark.where(F.col("item_id").isNotNull()).select(F.col("item_id"), words(F.col("text")).alias("w")).where(F.size("w") > 0)
+    items = benchmark.select(F.col("item_id"), words(F.col("text")).alias("w")).where(F.size("w") > 0)
     size = F.least(F.lit(width), F.size("w"))
     starts = F.sequence(F.lit(1), F.size("w") - size + 1)
     each = items.select("item_id", F.explode(F.transform(starts, lambda i: F.slice(F.col("w"), i, size))).alias("window"))
     return each.groupBy("window").agg(F.collect_set("item_id").alias("items"))
 
 
+def salted(rows: DataFrame, table: DataFrame, broadcast_rows: int, *by: str) -> DataFrame:
+    """Inner join on word: table is broadcast if it is small, else repeated under SALTS salts
+    that rows get by a hash of the columns `by`, so that no word's rows meet in one task."""
+    small = bounded(table, broadcast_rows)
+    if small is not table:
+        return rows.join(small, "word")
+    salt = F.pmod(F.xxhash64(*by), F.lit(SALTS)).cast("int")
+    return rows.withColumn("salt", salt).join(table.withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1)))), ["word", "salt"]).drop("salt")
+
+
 def prefixes(docs: DataFrame, wins: DataFrame, broadcast_rows: int = BROADCAST_ROWS) -> DataFrame:
     """Per window its rarest word in the corpus and the place of that word in the window."""
-    placed = wins.select("window", "items", F.posexplode("window").alias("shift", "word"))
-    vocabulary = bounded(placed.select("word").distinct(), broadcast_rows)
-    found = docs.select(F.explode(words(F.col("text"))).alias("word")).join(vocabulary, "word").groupBy("word").agg(F.count(F.lit(1)).alias("n"))
-    rarest = F.min_by(F.struct("word", "shift"), F.struct(F.coalesce("n", F.lit(0)), "word", "shift"))
-    chosen = placed.join(found, "word", "left").groupBy("window").agg(rarest.alias("p"), F.first("items").alias("items"))
+    vocabulary = wins.select(F.explode("window").alias("word")).distinct()
+    found = docs.select(F.explode(words(F.col("text"))).alias("word"))
+    # the words are counted before they meet the vocabulary if that has to be shuffled
+    small = bounded(vocabulary, broadcast_rows)
+    found = found.join(small, "word", "left_semi") if small is not vocabulary else found
+    counts = found.groupBy("word").agg(F.count(F.lit(1)).alias("n"))
+    known = materialise(vocabulary.join(counts, "word", "left").select("word", F.coalesce("n", F.lit(0)).alias("n")), "rarity")
+    placed = wins.select("window", F.posexplode("window").alias("shift", "word"))
+    rarest = F.min_by(F.struct("word", "shift"), F.struct("n", "word", "shift"))
+    chosen = salted(placed, known, broadcast_rows, "window").groupBy("window").agg(rarest.alias("p"))
+    chosen = chosen.join(wins, "window")
     return chosen.select(F.col("p.word").alias("word"), F.col("p.shift").alias("shift"), "window", "items", F.size("window").alias("len"))
 
 
@@ -60,14 +79,24 @@ def _keyed(docs: DataFrame) -> DataFrame:
     return docs.select(F.col("doc_id"), F.xxhash64(text).alias("k1"), F.octet_length(text).alias("k2"), words(text).alias("w"))
 
 
-def hits(docs: DataFrame, prefix: DataFrame) -> DataFrame:
-    """Verified windows: doc_id, k1, k2, the start in words, the length and the items."""
-    places = _keyed(docs).select("doc_id", "k1", "k2", "w", F.posexplode("w").alias("pos", "word"))
-    start = F.col("pos") - F.col("shift")
-    fits = (start >= 0) & (start + F.col("len") <= F.size("w"))
-    same = F.slice("w", F.greatest(start + 1, F.lit(1)), F.col("len")) == F.col("window")
-    joined = places.join(prefix, (places["word"] == prefix["word"]) & fits & same)
-    return joined.select("doc_id", "k1", "k2", start.alias("start"), "len", "items")
+def hits(docs: DataFrame, prefix: DataFrame, width: int = WIDTH, broadcast_rows: int = BROADCAST_ROWS) -> DataFrame:
+    """Verified windows: doc_id, k1, k2, the start in words, the length and the items.
+
+    If the prefixes are broadcast, a text is compared where it is.  If not, a place of a text
+    is shuffled with the words around it that a window can cover, so what is sent grows with
+    the text's length and not with its square.
+    """
+    start, end = F.col("pos") - F.col("shift"), F.col("pos") - F.col("shift") + F.col("len")
+    found = ["doc_id", "k1", "k2", start.alias("start"), "len", "items"]
+    each = _keyed(docs).select("doc_id", "k1", "k2", "w", F.posexplode("w").alias("pos", "word"))
+    small = bounded(prefix, broadcast_rows)
+    if small is not prefix:
+        fits = (start >= 0) & (end <= F.size("w")) & (F.slice("w", F.greatest(start + 1, F.lit(1)), F.col("len")) == F.col("window"))
+        return each.join(small, (each["word"] == small["word"]) & fits).select(*found)
+    low = F.greatest(F.col("pos") - (width - 1), F.lit(0))
+    near = each.select("doc_id", "k1", "k2", "pos", "word", low.alias("low"), F.size("w").alias("total"), F.slice("w", low + 1, F.col("pos") + width - low).alias("near"))
+    met = salted(near, prefix, broadcast_rows, "doc_id", "k1", "pos").where((start >= 0) & (end <= F.col("total")))
+    return met.where(F.slice("near", F.greatest(start - F.col("low") + 1, F.lit(1)), F.col("len")) == F.col("window")).select(*found)
 
 
 def contamination(docs: DataFrame, benchmark: DataFrame, width: int = WIDTH, broadcast_rows: int = BROADCAST_ROWS) -> DataFrame:
@@ -75,14 +104,14 @@ def contamination(docs: DataFrame, benchmark: DataFrame, width: int = WIDTH, bro
     key (k1, k2) of its text."""
     prefix = materialise(prefixes(docs, windows(benchmark, width), broadcast_rows), "prefixes")
     key = ["doc_id", "k1", "k2"]
-    found = materialise(hits(docs, bounded(prefix, broadcast_rows)), "hits")
+    found = materialise(hits(docs, prefix, width, broadcast_rows), "hits")
     order = Window.partitionBy(*key).orderBy("start", "stop").rowsBetween(Window.unboundedPreceding, -1)
     spans = found.groupBy(*key, "start").agg(F.max(F.col("start") + F.col("len")).alias("stop"))
     fresh = F.greatest(F.lit(0), F.col("stop") - F.greatest("start", F.coalesce(F.max("stop").over(order), F.lit(0))))
     covered = spans.withColumn("fresh", fresh).groupBy(*key).agg(F.sum("fresh").alias("n_hit"))
     named = found.select(*key, F.explode("items").alias("item")).distinct().groupBy(*key).agg(F.count(F.lit(1)).alias("n_items"), F.array_sort(F.collect_list(F.col("item").cast("string"))).alias("item_ids"))
     rows = _keyed(docs).select(*key, F.size("w").cast("long").alias("n_words"))
-    marks = covered.join(named, [covered[c].eqNullSafe(named[c]) for c in key]).select(*[covered[c].alias(f"m_{c}") for c in key], "n_hit", "n_items", "item_ids")
+    marks = covered.join(named, [covered[c].eqNullSafe(named[c]) for c in key], "left").select(*[covered[c].alias(f"m_{c}") for c in key], "n_hit", "n_items", "item_ids")
     out = rows.join(marks, [rows[c].eqNullSafe(marks[f"m_{c}"]) for c in key], "left")
     n_hit = F.coalesce("n_hit", F.lit(0)).cast("long")
     return out.select(
@@ -94,8 +123,8 @@ def contamination(docs: DataFrame, benchmark: DataFrame, width: int = WIDTH, bro
 
 def clean_documents(docs: DataFrame, benchmark: DataFrame, width: int = WIDTH, broadcast_rows: int = BROADCAST_ROWS) -> DataFrame:
     """The rows of docs that are not contaminated, with all their columns."""
-    dirty = contamination(docs, benchmark, width, broadcast_rows).where("contaminated")
-    dirty = materialise(dirty.select(F.col("doc_id").alias("_d"), F.col("k1").alias("_k1"), F.col("k2").alias("_k2")).distinct(), "contaminated")
+    dirty = contamination(docs, benchmark, width, broadcast_rows).where("contaminated").select("doc_id", "k1", "k2").distinct()
+    dirty = bounded(materialise(dirty, "contaminated"), broadcast_rows)
     text = F.coalesce(docs["text"], F.lit(""))
-    same = docs["doc_id"].eqNullSafe(F.col("_d")) & (F.xxhash64(text) == F.col("_k1")) & (F.octet_length(text) == F.col("_k2"))
-    return docs.join(bounded(dirty, broadcast_rows), same, "left_anti")
+    same = docs["doc_id"].eqNullSafe(dirty["doc_id"]) & (F.xxhash64(text) == dirty["k1"]) & (F.octet_length(text) == dirty["k2"])
+    return docs.join(dirty, same, "left_anti")

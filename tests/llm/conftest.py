@@ -27,7 +27,7 @@ def rows():
 def docs(spark):
     # further columns whose names the operators use themselves
     frame = spark.createDataFrame(ROWS, "doc_id long, text string, lang string, source string, n_chars long")
-    return frame.selectExpr("*", "1 AS row", "'x' AS k", "2 AS c", "3 AS n", "'y' AS score", "0 AS kept", "1 AS w", "2 AS pos", "'z' AS h")
+    return frame.selectExpr("*", "1 AS row", "'x' AS k", "2 AS c", "3 AS n", "'y' AS score", "0 AS kept", "1 AS w", "2 AS pos", "'z' AS h", "'g' AS _gone", "4 AS _k", "5 AS _d", "6 AS k1", "7 AS m", "'q' AS name", "8 AS item_id")
 
 
 @pytest.fixture(scope="session")
