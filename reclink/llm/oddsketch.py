@@ -27,8 +27,9 @@ between different components that the bands can show is found, and no partner is
 
 Null, empty and blank texts have the empty set and are linked with nothing.  Rows with
 equal doc_ids are told apart; null doc_ids are kept, and a component's id is its smallest
-non-null doc_id.  Empty tables give no rows.  Further columns are kept by
-`drop_near_copies` and ignored by `near_copies`.
+non-null doc_id.  Empty tables give no rows.  Further columns, whatever their names, are kept
+by `drop_near_copies` and ignored by `near_copies`.  Buckets and classes of very many rows
+are joined without a shuffle on their key, or salted (`hot_join`).
 """
 
 from __future__ import annotations
@@ -42,7 +43,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from reclink.llm._common import SpanHasher, bounded, materialise, splitmix, text_steps, tidy, word_spans
+from reclink.llm._common import SpanHasher, bounded, hot_join, materialise, splitmix, text_steps, tidy, word_spans
 
 WORDS = 5
 #: BANDS is for a threshold of 0.85.
@@ -50,8 +51,9 @@ BANDS, ROWS = 20, 5
 #: Chance that a pair at a lower threshold may miss all bands.
 MISS = 1.3e-5
 SAMPLE_BITS, SET_BITS = 512, 1024
-#: Classes on a side of a tile; bands that the first tile round looks at.
-TILE, TILE_BANDS = 2048, 3
+#: Classes on a side of a tile; bands that the first tile round looks at; rows of tiles a task.
+TILE, TILE_BANDS, TASK_ROWS = 2048, 3, 4096
+MOST_TASKS = 50_000
 #: Ids of texts to be confirmed: 16 bytes each, so at most 16 MB are broadcast.
 BROADCAST_ROWS = 500_000
 
@@ -196,14 +198,12 @@ def _differing(a: str, b: str, words: int):
     return sum((F.bit_count(F.get(a, F.lit(i)).bitwiseXOR(F.get(b, F.lit(i)))) for i in range(1, words)), F.bit_count(F.get(a, F.lit(0)).bitwiseXOR(F.get(b, F.lit(0)))))
 
 
-def _tile(percent: int):
-    """Pairs of a tile that the sketches leave, as few as join the components they would
+def _tiles(percent: int):
+    """Pairs of tiles that the sketches leave, as few as join the components they would
     join: the pieces of a bucket of any size are compared without emitting all pairs."""
+    limit = sample_limit(percent / 100, bands(percent) * ROWS)
 
-    def link(rows: pd.DataFrame) -> pd.DataFrame:
-        c, l, minor, n, block = (rows[k].to_numpy() for k in ("c", "l", "minor", "n", "block"))
-        parity, samples = (np.stack(rows[k].to_numpy()).astype(np.int64).view(np.uint64) for k in ("parity", "samples"))
-        cross = rows["t0"].iloc[0] != rows["t1"].iloc[0]
+    def one(c, l, minor, n, block, cross, parity, samples) -> list[tuple]:
         root: dict[int, int] = {}
 
         def find(v: int) -> int:
@@ -217,16 +217,31 @@ def _tile(percent: int):
             if cross:
                 fits &= block != block[i]
             near = np.flatnonzero(fits)
+            if not len(near):
+                continue
             apart = np.bitwise_count(parity[near] ^ parity[i]).sum(axis=1, dtype=np.int64)
-            alike = np.bitwise_count(samples[near] ^ samples[i]).sum(axis=1, dtype=np.int64) <= sample_limit(percent / 100, bands(percent) * ROWS)
-            most = (n[near] + n[i]) * (100 - percent) // (100 + percent)
-            good = alike & (apart <= most)
+            good = apart <= (n[near] + n[i]) * (100 - percent) // (100 + percent)
+            near, apart = near[good], apart[good]
+            good = np.bitwise_count(samples[near] ^ samples[i]).sum(axis=1, dtype=np.int64) <= limit
             near, apart = near[good], apart[good]
             for j in near[np.argsort(apart, kind="stable")].tolist():
                 a, b = find(int(l[i])), find(int(l[j]))
                 if a != b:
                     root[max(a, b)] = min(a, b)
                     out.append((c[i], c[j]))
+        return out
+
+    def link(rows: pd.DataFrame) -> pd.DataFrame:
+        key, t0, t1 = (rows[k].to_numpy() for k in ("key", "t0", "t1"))
+        order = np.lexsort([rows["c"].to_numpy(), t1, t0, key])
+        key, t0, t1 = key[order], t0[order], t1[order]
+        c, l, minor, n, block = (rows[k].to_numpy()[order] for k in ("c", "l", "minor", "n", "block"))
+        parity, samples = (np.stack(rows[k].to_numpy()[order]).astype(np.int64).view(np.uint64) for k in ("parity", "samples"))
+        cuts = np.flatnonzero((key[1:] != key[:-1]) | (t0[1:] != t0[:-1]) | (t1[1:] != t1[:-1])) + 1
+        out = []
+        for at, to in zip([0, *cuts.tolist()], [*cuts.tolist(), len(key)]):
+            part = slice(at, to)
+            out += one(c[part], l[part], minor[part], n[part], block[part], t0[at] != t1[at], parity[part], samples[part])
         return pd.DataFrame(out, columns=["x", "y"]).astype("int64")
 
     return link
@@ -239,7 +254,7 @@ class _Run:
         self.docs, self.percent, self.broadcast_rows = docs, percent, broadcast_rows
         self.rows = materialise(signatures(docs, bands(percent)), "signatures")
         live = self.rows.where("n > 0")
-        heads = live.groupBy("n", "s1", "s2").agg(F.min("row").alias("c"), F.min("doc_id").alias("lowest"))
+        heads = live.groupBy("n", "s1", "s2").agg(F.min("row").alias("c"), F.min("doc_id").alias("lowest"), F.count(F.lit(1)).alias("copies"))
         self.names = materialise(heads, "classes")
         own = self.names.select("c")
         self.classes = materialise(live.join(own, live["row"] == own["c"]).select("c", "doc_id", "n", "s1", "s2", "keys", "samples", "parity"), "class-signatures")
@@ -289,7 +304,8 @@ def near_copies(docs: DataFrame, percent: int = 85, broadcast_rows: int = BROADC
     sketch = run.classes.select("c", F.struct("n", "samples", "parity").alias("k"))
     members = run.classes.select(F.posexplode("keys").alias("band", "key"), "c")
     shared = members.groupBy("key").agg(F.min("c").alias("pivot"), F.count(F.lit(1)).alias("m")).where("m > 1")
-    buckets = materialise(members.join(shared.drop("m"), "key"), "buckets")
+    shared = materialise(shared, "shared")
+    buckets = materialise(hot_join(members, shared, "key", "m").drop("m"), "buckets")
 
     def with_sketches(pairs: DataFrame) -> DataFrame:
         """The pairs (x, y) that the sketches leave."""
@@ -303,31 +319,38 @@ def near_copies(docs: DataFrame, percent: int = 85, broadcast_rows: int = BROADC
 
     def unsettled(known: DataFrame, first: int) -> DataFrame:
         """key, c, l, major, m, k of all members of buckets with several components; major is
-        the bucket's largest one, m its members, k their sketches."""
+        the bucket's largest one, m all its members, minors those of its others, k sketches."""
         placed = materialise(label(buckets.where(F.col("band") < first).select("key", "c"), known, "c", "l"), "placed")
         each = placed.groupBy("key", "l").agg(F.count(F.lit(1)).alias("m"))
-        mixed = each.groupBy("key").agg(F.max_by("l", F.struct("m", "l")).alias("major"), F.count(F.lit(1)).alias("parts"), F.sum("m").alias("m")).where("parts > 1").drop("parts")
-        return placed.join(mixed, "key").join(sketch, "c")
+        mixed = each.groupBy("key").agg(F.max_by("l", F.struct("m", "l")).alias("major"), F.count(F.lit(1)).alias("parts"), F.sum("m").alias("m"), F.max("m").alias("most")).where("parts > 1")
+        mixed = materialise(mixed.select("key", "major", "m", (F.col("m") - F.col("most")).alias("minors")), "mixed")
+        return hot_join(placed, mixed, "key", "m").join(sketch, "c")
 
     stars = buckets.where("c <> pivot").groupBy("c").agg(F.min("pivot").alias("y")).select(F.col("c").alias("x"), "y")
     links = run.confirm(with_sketches(stars), "star")
     labels = components(links)
 
     for first in (TILE_BANDS, bands(percent)):
-        open_ = unsettled(labels, first)
+        open_ = materialise(unsettled(labels, first), "open-buckets")
         blocks = F.ceil(F.col("m") / TILE).cast("int")
         block = F.pmod(F.xxhash64("c"), blocks).cast("int")
+        rows = open_.agg(F.sum(blocks)).first()[0] or 0
+        tasks = min(-(-rows // TASK_ROWS), MOST_TASKS) or 1
         tiles = open_.select("key", "c", "l", (F.col("l") != F.col("major")).alias("minor"), "k.*", block.alias("block"), F.explode(F.sequence(F.lit(0), blocks - 1)).alias("other"))
         tiles = tiles.withColumns({"t0": F.least("block", "other"), "t1": F.greatest("block", "other")}).drop("other")
-        found = tiles.groupBy("key", "t0", "t1").applyInPandas(_tile(percent), "x long, y long")
+        dealt = tiles.withColumn("task", F.pmod(F.xxhash64("key", "t0", "t1"), F.lit(tasks))).repartition(tasks, "task")
+        found = dealt.groupBy("task").applyInPandas(_tiles(percent), "x long, y long")
         links = materialise(links.unionByName(run.confirm(found.distinct(), "tile")), "links")
         labels = components(links)
 
-    open_ = materialise(unsettled(labels, bands(percent)).drop("m"), "open-buckets")
-    x = open_.where("l <> major").select("key", F.col("c").alias("x"), F.col("l").alias("lx"), F.col("k").alias("kx"), "major")
-    y = open_.select(F.col("key").alias("key_y"), F.col("c").alias("y"), F.col("l").alias("ly"), F.col("k").alias("ky"))
+    # what is left meets in tiles too: members outside the largest component against all
+    open_ = materialise(unsettled(labels, bands(percent)), "open-buckets")
+    tile = lambda n, salt: (F.ceil(F.col(n) / TILE).cast("int"), F.pmod(F.xxhash64("c", F.lit(salt)), F.ceil(F.col(n) / TILE).cast("int")).cast("int"))
+    (bx, px), (by, py) = tile("minors", 1), tile("m", 2)
+    x = open_.where("l <> major").select("key", F.col("c").alias("x"), F.col("l").alias("lx"), F.col("k").alias("kx"), "major", px.alias("px"), F.explode(F.sequence(F.lit(0), by - 1)).alias("py"))
+    y = open_.select(F.col("key").alias("key_y"), F.col("c").alias("y"), F.col("l").alias("ly"), F.col("k").alias("ky"), py.alias("py_y"), F.explode(F.sequence(F.lit(0), bx - 1)).alias("px_y"))
     once = (F.col("ly") == F.col("major")) | (F.col("x") < F.col("y"))
-    meet = (F.col("key") == F.col("key_y")) & (F.col("lx") != F.col("ly")) & once & run.near("kx", "ky")
+    meet = (F.col("key") == F.col("key_y")) & (F.col("px") == F.col("px_y")) & (F.col("py") == F.col("py_y")) & (F.col("lx") != F.col("ly")) & once & run.near("kx", "ky")
     tested = links.unionByName(links.select(F.col("y").alias("x"), F.col("x").alias("y")))
     last = run.confirm(x.join(y, meet).select("x", "y").distinct().join(tested, ["x", "y"], "left_anti"), "rest")
     if last.limit(1).count():
@@ -336,17 +359,39 @@ def near_copies(docs: DataFrame, percent: int = 85, broadcast_rows: int = BROADC
 
     named = label(run.names, labels, "c", "l")
     lowest = named.groupBy("l").agg(F.min("lowest").alias("component_id"))
-    named = materialise(named.join(lowest, "l").select("n", "s1", "s2", F.col("l").alias("class_id"), "component_id"), "membership")
-    rows = run.rows.select("row", "doc_id", "k", "n", "s1", "s2")
-    out = rows.join(named, ["n", "s1", "s2"], "left")
-    component = F.when(F.col("n") > 0, F.col("component_id")).otherwise(F.col("doc_id"))
-    return out.select("row", "doc_id", "k", F.col("n").alias("n_shingles"), component.alias("component_id"), "class_id", component.eqNullSafe(F.col("doc_id")).alias("kept"))
+    name = F.struct("n", "s1", "s2").alias("name")
+    named = materialise(named.join(lowest, "l").select(name, F.col("l").alias("class_id"), "component_id", "copies"), "membership")
+    rows = run.rows.select("row", "doc_id", "k", name)
+    found = hot_join(rows.where("name.n > 0"), named, "name", "copies").drop("copies")
+    alone = rows.where("name.n = 0").select("*", F.lit(None).cast("long").alias("class_id"), F.col("doc_id").alias("component_id"))
+    out = found.unionByName(alone)
+    return out.select("row", "doc_id", "k", F.col("name.n").alias("n_shingles"), "component_id", "class_id", F.col("component_id").eqNullSafe(F.col("doc_id")).alias("kept"))
 
 
 def drop_near_copies(docs: DataFrame, percent: int = 85) -> DataFrame:
-    """docs without the rows that a component keeps another row for, with all columns.
+    """docs with one row of each component, with all columns.
 
-    Of rows with the same doc_id in one component, all stay.
+    The row with the smallest doc_id stays (null is the largest; of rows with that doc_id the
+    one with the smallest hash of its text); of rows that agree in doc_id and text one stays,
+    which one is open.  Texts without words are in no component and all stay.
     """
-    gone = near_copies(docs, percent).where(~F.col("kept")).select(F.col("doc_id").alias("_gone"), F.col("k").alias("_k")).distinct()
-    return docs.join(bounded(materialise(gone, "gone"), BROADCAST_ROWS), docs["doc_id"].eqNullSafe(F.col("_gone")) & (F.xxhash64(docs["text"]) == F.col("_k")), "left_anti")
+    linked = materialise(near_copies(docs, percent).where("n_shingles > 0").select("class_id", F.struct(F.col("doc_id").isNull().alias("absent"), "doc_id", "k").alias("name")), "linked")
+    rows = linked.groupBy("class_id", "name").agg(F.count(F.lit(1)).alias("m"))
+    rows = materialise(rows, "linked-names")
+    heads = rows.groupBy("class_id").agg(F.min("name").alias("head"), F.count(F.lit(1)).alias("names")).where("names > 1")
+    away = hot_join(rows.select("class_id", "name"), materialise(heads, "heads"), "class_id", "names").where("name <> head").select("name.*")
+    twice = rows.where("m > 1").select("name.*")
+
+    def matching(keys: DataFrame, tag: str):
+        keys = bounded(materialise(keys.distinct(), tag), BROADCAST_ROWS)
+        return keys, lambda frame: frame["doc_id"].eqNullSafe(keys["doc_id"]) & (F.xxhash64(frame["text"]) == keys["k"])
+
+    gone, same = matching(away, "gone")
+    left = docs.join(gone, same(docs), "left_anti")
+    again, same = matching(twice, "twice")
+    if not again.limit(1).count():
+        return left
+    once = left.join(again, same(docs), "left_anti")
+    text = F.struct("doc_id", F.xxhash64("text"))
+    first = left.join(again, same(docs), "left_semi").groupBy(text.alias("key")).agg(F.first(F.struct(*[F.col(f"`{c}`") for c in docs.columns])).alias("one"))
+    return once.unionByName(first.select("one.*"))

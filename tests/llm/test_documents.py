@@ -12,7 +12,7 @@ import numpy as np
 import pytest
 
 from reclink.llm import binpack, classlm, dac, decontam, langid, oddsketch
-from reclink.llm._common import SpanHasher, word_spans
+from reclink.llm._common import SpanHasher, hot_join, word_spans
 from reclink.llm._tokens import ChunkEncoder, tokenizer_path
 
 LOWER = str.maketrans("ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz")
@@ -161,6 +161,7 @@ def contaminated(rows, items):
                 if tuple(w[i : i + len(win)]) == win:
                     hit |= set(range(i, i + len(win)))
                     found |= owners
+        found.discard(None)
         names = ",".join(sorted(map(str, found)))
         out.append((doc, len(w), len(hit), len(found), hashlib.sha256(names.encode()).hexdigest(), len(hit) > 0 and 20 * len(hit) >= len(w)))
     return sorted(out, key=repr)
@@ -175,8 +176,8 @@ def test_contamination(spark, docs, empty, rows, broadcast_rows):
     more = [(100, "intro " + " ".join(f"w{i}" for i in range(5, 25)) + " outro w1 w2", None, None, 1), (101, "w0 w1 w2", None, None, 1)]
     frame = docs.unionByName(spark.createDataFrame(more, "doc_id long, text string, lang string, source string, n_chars long"), allowMissingColumns=True)
     got = rows_of(decontam.contamination(frame, bench, broadcast_rows=broadcast_rows).drop("k1", "k2"))
-    assert got == contaminated([*rows, *more], [x for x in ITEMS if x[0] is not None])
-    clean = decontam.clean_documents(frame, bench)
+    assert got == contaminated([*rows, *more], ITEMS)
+    clean = decontam.clean_documents(frame, bench, broadcast_rows=broadcast_rows)
     assert clean.columns == frame.columns
     assert clean.count() == sum(not r[-1] for r in got)
     assert decontam.contamination(empty, bench).count() == 0
@@ -217,7 +218,30 @@ def test_near_copies_of_awkward_rows(docs, empty, rows):
     assert oddsketch.near_copies(empty).count() == 0
     kept = oddsketch.drop_near_copies(docs)
     assert kept.columns == docs.columns
-    assert kept.count() == sum(r[-1] for r in components(rows))
+    # one row of each group stays, and every row without words
+    found = components(rows)
+    alone = [(r[0],) for r in found if not r[1]]
+    one_each = {r[2] if r[2] is not None else "null" for r in found if r[1]}
+    assert kept.count() == len(alone) + len(one_each)
+    assert oddsketch.drop_near_copies(empty).count() == 0
+
+
+def test_rows_with_the_same_doc_id(spark):
+    """Repeated rows and equal doc_ids with different texts: one row of the group stays."""
+    text = " ".join(f"w{i}" for i in range(100))
+    near = text.replace("w50 ", "x ")
+    rows = [(1, text), (1, text), (1, near), (2, near), (None, text), (None, text), (3, ""), (3, ""), (None, "only null"), (None, "only null")]
+    docs = spark.createDataFrame(rows, "doc_id long, text string").selectExpr("*", "1 AS m", "'x' AS name", "0 AS head")
+    kept = [(r["doc_id"], r["text"]) for r in oddsketch.drop_near_copies(docs).collect()]
+    assert len(kept) == 4 and sorted(kept, key=repr) == sorted([(3, ""), (3, ""), (None, "only null"), next(x for x in kept if x[0] == 1)], key=repr)
+
+
+@pytest.mark.parametrize(("hot", "broadcast_rows"), [(1, 100), (1, 0), (100, 100)])
+def test_hot_join(spark, hot, broadcast_rows):
+    rows = spark.range(40).selectExpr("id", "if(id < 30, 0, id) AS key")
+    keyed = rows.groupBy("key").count()
+    got = hot_join(rows, keyed, "key", "count", hot, broadcast_rows)
+    assert sorted(map(tuple, got.select("key", "id", "count").collect())) == sorted((min(i, 0) if i < 30 else i, i, 30 if i < 30 else 1) for i in range(40))
 
 
 def test_near_copies_against_brute_force(spark):
