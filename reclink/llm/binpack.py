@@ -2,20 +2,24 @@
 
 Texts become token ids plus an end id.  A text longer than the sequence is cut so that
 every piece but the first fills a sequence by itself.  The remaining pieces are dealt over
-islands by a hash of their row; an island evolves packings of its own pieces:
+groups of bounded size by a hash of their row.  Each group is packed by several islands, which
+are Spark groups of their own:
 
 * a packing is a list of bins; the first ones come from best fit in falling length and
   from best fit in disturbed orders;
 * crossover injects whole well-filled bins of one parent into the other, drops the bins
   that then hold a piece twice, and best-fits the displaced pieces;
-* colonies inside an island pass their best packing round a ring after each epoch.
+* after each epoch the populations are written, and the best packing of each island moves to
+  the next island of its group.
 
-Between islands the well-filled bins stay and the pieces of the others migrate to a joint
-island, where they are packed anew.  Islands have a bounded number of pieces, whatever
-the size of the corpus, so no task or driver holds more than that.
+A group whose best fit meets the bound (tokens over capacity, or pieces over half of it) has
+a packing that nothing can better and is left as it is.  Between groups well-filled bins stay,
+and the pieces of the others are dealt to joint groups and packed in the same way.  No task or
+driver holds more than a group, whatever the size of the corpus.
 
 Null and empty texts give one piece, the end id alone.  Repeated rows are packed each for
-itself; sequence numbers are any distinct numbers.  An empty table gives no rows.
+itself; sequence numbers are any distinct numbers, and of equally good packings that of the
+first island counts.  An empty table gives no rows.  Further columns are ignored.
 """
 
 from __future__ import annotations
@@ -33,8 +37,13 @@ from reclink.llm._common import materialise, text_steps, tidy, worker_cache
 from reclink.llm._tokens import CACHE_CHUNKS, ChunkEncoder, tokenizer_path
 
 CAPACITY = 2048
-ISLAND_PIECES = 4096
+#: Pieces that are packed together.
+GROUP_PIECES = 4096
 WELL_FILLED = 0.995
+#: Islands of a group, packings of an island, epochs between which elites move, and
+#: generations of an epoch.
+ISLANDS, SIZE, EPOCHS, GENERATIONS = 2, 4, 2, 10
+MOST_TASKS = 50_000
 
 PIECES = "doc_id long, piece int, start long, length long, ids_crc32 long"
 
@@ -78,15 +87,18 @@ def best_fit(order: list[int], lengths: list[int], capacity: int, bins: list[lis
     return packer.bins
 
 
-def _fitness(bins: list[list[int]], lengths: list[int], capacity: int) -> tuple[int, float]:
+def fitness(bins: list[list[int]], lengths: list[int], capacity: int) -> tuple[int, float]:
     """Fewer bins are better; among equals, unevenly filled ones."""
     return -len(bins), sum((sum(lengths[i] for i in one) / capacity) ** 2 for one in bins)
 
 
 def crossover(receiver: list[list[int]], donor: list[list[int]], lengths: list[int], capacity: int, share: float, rng: random.Random) -> list[list[int]]:
-    """Inject a share of the donor's bins, fullest first among those drawn."""
+    """Inject whole bins of the donor: of a drawn share of them those that are well filled, or
+    else the fullest.  Bins of the receiver that hold one of their items go, and their other
+    items are best-fitted in falling length."""
     drawn = rng.sample(donor, max(1, int(share * len(donor))))
-    full = [one for one in drawn if sum(lengths[i] for i in one) >= WELL_FILLED * capacity] or drawn[:1]
+    fill = [sum(lengths[i] for i in one) for one in drawn]
+    full = [one for one, f in zip(drawn, fill) if f >= WELL_FILLED * capacity] or [drawn[fill.index(max(fill))]]
     injected = {i for one in full for i in one}
     kept, displaced = [list(one) for one in full], []
     for one in receiver:
@@ -98,39 +110,55 @@ def crossover(receiver: list[list[int]], donor: list[list[int]], lengths: list[i
     return best_fit(displaced, lengths, capacity, kept)
 
 
-def evolve(lengths: list[int], capacity: int = CAPACITY, colonies: int = 2, size: int = 3, epochs: int = 2, generations: int = 3, seed: int = 7) -> list[list[int]]:
-    """Pack items 0..n-1; stops as soon as the bound ceil(sum / capacity) is met."""
+def least_bins(lengths: list[int], capacity: int) -> int:
+    """Bins that any packing needs."""
+    large = sum(2 * x > capacity for x in lengths)
+    return max(-(-sum(lengths) // capacity), large)
+
+
+def settle(lengths: list[int], capacity: int, size: int, rng: random.Random) -> list[list[list[int]]]:
+    """A first population: best fit in falling length, and in disturbed orders."""
+    people = [best_fit(sorted(range(len(lengths)), key=lambda i: -lengths[i]), lengths, capacity)]
+    while len(people) < size:
+        noise = [x * rng.uniform(0.8, 1.2) for x in lengths]
+        people.append(best_fit(sorted(range(len(lengths)), key=lambda i: -noise[i]), lengths, capacity))
+    return people
+
+
+def epoch(people: list[list[list[int]]], lengths: list[int], capacity: int, generations: int, rng: random.Random) -> list[list[list[int]]]:
+    """The population after so many generations, best first; the worst makes room for each
+    child.  It stops where no packing can do with fewer bins."""
+    score = lambda bins: fitness(bins, lengths, capacity)
+    least, size = least_bins(lengths, capacity), len(people)
+    ranked = sorted(((score(p), p) for p in people), key=lambda x: x[0], reverse=True)
+    for _ in range(generations):
+        if size < 2 or -ranked[0][0][0] == least:
+            break
+        # both parents are drawn in tournaments of two, each receives once
+        a, b = (min(rng.sample(range(size), 2)) for _ in range(2))
+        if a == b:
+            b = (a + 1) % size
+        for receiver, donor in ((a, b), (b, a)):
+            child = crossover(ranked[receiver][1], ranked[donor][1], lengths, capacity, rng.choice((0.15, 0.3, 0.6)), rng)
+            ranked.append((score(child), child))
+        ranked.sort(key=lambda x: x[0], reverse=True)
+        # of packings that are filled alike one stays
+        ranked = [x for k, x in enumerate(ranked) if k == 0 or x[0] != ranked[k - 1][0]][:size] + [x for k, x in enumerate(ranked) if k and x[0] == ranked[k - 1][0]]
+        ranked = ranked[:size]
+    return [p for _, p in ranked]
+
+
+def evolve(lengths: list[int], capacity: int = CAPACITY, islands: int = ISLANDS, size: int = SIZE, epochs: int = EPOCHS, generations: int = GENERATIONS, seed: int = 7) -> list[list[int]]:
+    """What `pack` does with a group of items, in one process: islands evolve apart, and after
+    each epoch the best packing of each joins the next one's population."""
     if not lengths:
         return []
-    rng = random.Random(seed)
-    bound = -(-sum(lengths) // capacity)
-    falling = sorted(range(len(lengths)), key=lambda i: -lengths[i])
-    first = best_fit(falling, lengths, capacity)
-    if len(first) == bound:
-        return first
-
-    def disturbed() -> list[list[int]]:
-        noise = [lengths[i] * rng.uniform(0.9, 1.1) for i in range(len(lengths))]
-        return best_fit(sorted(range(len(lengths)), key=lambda i: -noise[i]), lengths, capacity)
-
-    score = lambda bins: _fitness(bins, lengths, capacity)
-    people = [sorted([first] * (c == 0) + [disturbed() for _ in range(size - (c == 0))], key=score, reverse=True) for c in range(colonies)]
+    rngs = [random.Random(f"{seed}/{k}") for k in range(islands)]
+    people = [settle(lengths, capacity, size, rng) for rng in rngs]
     for _ in range(epochs):
-        for colony in people:
-            for _ in range(generations):
-                a, b = rng.sample(range(len(colony)), 2)
-                child = crossover(colony[min(a, b)], colony[max(a, b)], lengths, capacity, 0.3, rng)
-                colony.append(child)
-                colony.sort(key=score, reverse=True)
-                colony.pop()
-        elites = [colony[0] for colony in people]
-        for c, colony in enumerate(people):
-            colony[-1] = elites[c - 1]
-            colony.sort(key=score, reverse=True)
-        best = max(elites, key=score)
-        if len(best) == bound:
-            return best
-    return max((colony[0] for colony in people), key=score)
+        people = [epoch(p, lengths, capacity, generations, rng) for p, rng in zip(people, rngs)]
+        people = [p[:-1] + [people[k - 1][0]] if size > 1 else p for k, p in enumerate(people)]
+    return max((one for p in people for one in p), key=lambda bins: fitness(bins, lengths, capacity))
 
 
 # ---------------------------------------------------------------- Spark
@@ -164,39 +192,113 @@ def pieces(docs: DataFrame, path: str, capacity: int = CAPACITY, end_id: int = 0
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(tidy(cut), PIECES)
 
 
-def _pack_island(capacity: int, last: bool):
-    def pack(key, rows: pd.DataFrame) -> pd.DataFrame:
-        rows = rows.sort_values(["doc_id", "piece", "row"], kind="stable", ignore_index=True)
-        lengths = rows["length"].tolist()
-        bins = evolve(lengths, capacity)
-        home, place, stays = (np.zeros(len(rows), np.int64) for _ in range(3))
-        for k, one in enumerate(bins):
-            at = 0
-            for i in one:
-                home[i], place[i] = k, at
-                at += lengths[i]
-            if last or at >= WELL_FILLED * capacity:
-                stays[one] = 1
-        return rows.assign(bin=home, offset=place, stays=stays)
-
-    return pack
-
-
-def pack(items: DataFrame, capacity: int = CAPACITY, island_pieces: int = ISLAND_PIECES) -> DataFrame:
+def _code(bins: list[list[int]], n: int) -> bytes:
+    """A packing as the bin number of each item."""
+    out = np.zeros(n, "<i4")
+    for k, one in enumerate(bins):
+        out[one] = k
+    return out.tobytes()
+
+
+def _bins(code: bytes) -> list[list[int]]:
+    home = np.frombuffer(code, "<i4")
+    order = np.argsort(home, kind="stable")
+    return [x.tolist() for x in np.split(order, np.flatnonzero(np.diff(home[order])) + 1)]
+
+
+def _found(capacity: int):
+    """Of a group's pieces: lengths, the best fit, and whether no packing can be better."""
+
+    def found(rows: pd.DataFrame) -> pd.DataFrame:
+        lengths = rows.sort_values("row", kind="stable")["length"].tolist()
+        bins = best_fit(sorted(range(len(lengths)), key=lambda i: -lengths[i]), lengths, capacity)
+        proven = len(bins) == least_bins(lengths, capacity)
+        return pd.DataFrame({"group": rows["group"][:1], "lengths": [np.array(lengths, "<i4").tobytes()], "packing": [_code(bins, len(lengths))], "proven": [proven]})
+
+    return found
+
+
+def _live(capacity: int, size: int, generations: int, number: int):
+    """An epoch of an island: its population and the elite that has come, if any."""
+
+    def live(rows: pd.DataFrame) -> pd.DataFrame:
+        group, island = int(rows["group"].iloc[0]), int(rows["island"].iloc[0])
+        rng = random.Random(f"{group}/{island}/{number}")
+        lengths = np.frombuffer(rows["lengths"].iloc[0], "<i4").tolist()
+        codes = rows.sort_values(["place", "packing"], kind="stable")["packing"]
+        people = settle(lengths, capacity, size, rng) if number == 0 else [_bins(x) for x in codes][: size + 1]
+        people = epoch(people, lengths, capacity, generations, rng)[:size]
+        scores = [fitness(p, lengths, capacity) for p in people]
+        n = len(people)
+        return pd.DataFrame({"group": [group] * n, "island": [island] * n, "place": range(n), "lengths": [rows["lengths"].iloc[0]] * n, "packing": [_code(p, len(lengths)) for p in people], "bins": [-s[0] for s in scores], "fill": [s[1] for s in scores]})
+
+    return live
+
+
+def _place(capacity: int, last: bool):
+    """Bin, offset and whether the bin is filled, of each piece of a group."""
+
+    def place(rows: pd.DataFrame, packing: pd.DataFrame) -> pd.DataFrame:
+        rows = rows.sort_values("row", kind="stable", ignore_index=True)
+        lengths = rows["length"].to_numpy()
+        home = np.frombuffer(packing["packing"].iloc[0], "<i4").astype(np.int64)
+        order = np.argsort(home, kind="stable")
+        ends = np.cumsum(lengths[order])
+        first = np.flatnonzero(np.concatenate([[True], home[order][1:] != home[order][:-1]]))
+        begin = ends[first] - lengths[order][first]
+        offset = np.empty(len(rows), np.int64)
+        offset[order] = ends - lengths[order] - np.repeat(begin, np.diff(np.append(first, len(rows))))
+        fill = np.bincount(home, lengths)
+        stays = np.full(len(rows), 1) if last else (fill[home] >= WELL_FILLED * capacity).astype(int)
+        return rows.assign(bin=home, offset=offset, stays=stays)
+
+    return place
+
+
+def _evolve_groups(short: DataFrame, capacity: int, islands: int, size: int, epochs: int, generations: int, last: bool, tag: str) -> DataFrame:
+    """short (with a column group) with the bin and offset of each piece, and stays: 0 where
+    the bin is not well filled (never if `last`).
+
+    A group is packed by `islands` islands, each a Spark group of its own with the group's
+    lengths.  After an epoch the populations are written, and the elite of each island moves
+    to the next one of the group.  A group whose best fit is proven to need no bin too many
+    has nothing to evolve.
+    """
+    state = "group long, island int, place int, lengths binary, packing binary, bins int, fill double"
+    first = materialise(short.groupBy("group").applyInPandas(_found(capacity), "group long, lengths binary, packing binary, proven boolean"), f"{tag}-groups")
+    chosen = first.select("group", "packing")
+    open_ = first.where("NOT proven")
+    count = open_.count()
+    if count and epochs:
+        live = open_.select("group", "lengths", "packing", F.lit(0).alias("place"), F.explode(F.sequence(F.lit(0), F.lit(islands - 1))).alias("island"))
+        for number in range(epochs):
+            dealt = live.repartition(min(count * islands, MOST_TASKS), "group", "island")
+            live = materialise(dealt.groupBy("group", "island").applyInPandas(_live(capacity, size, generations, number), state), f"{tag}-epoch")
+            best = live
+            elite = live.where("place = 0").withColumn("island", F.pmod(F.col("island") + 1, F.lit(islands))).withColumn("place", F.lit(-1))
+            live = live.unionByName(elite)
+        best = best.groupBy("group").agg(F.max_by("packing", F.struct(-F.col("bins"), "fill", -F.col("island"))).alias("better"))
+        chosen = chosen.join(best, "group", "left").select("group", F.coalesce("better", "packing").alias("packing"))
+    out = PIECES + ", row long, group long, bin long, offset long, stays long"
+    return short.groupBy("group").cogroup(chosen.groupBy("group")).applyInPandas(_place(capacity, last), out)
+
+
+def pack(items: DataFrame, capacity: int = CAPACITY, group_pieces: int = GROUP_PIECES, islands: int = ISLANDS, size: int = SIZE, epochs: int = EPOCHS, generations: int = GENERATIONS) -> DataFrame:
     """Give every piece a sequence_id and an offset.  items are read several times, so they
     should come from files; a row's number is then the same each time."""
     items = materialise(items.withColumn("row", F.monotonically_increasing_id()), "pieces")
     whole = items.where(F.col("length") == capacity).select("*", (-F.col("row") - 1).alias("sequence_id"), F.lit(0).cast("long").alias("offset"))
     short = items.where(F.col("length") < capacity)
-    islands = max(1, -(-short.count() // island_pieces))
-    out = PIECES + ", row long, island long, bin long, offset long, stays long"
+    groups = max(1, -(-short.count() // group_pieces))
     deal = lambda n: F.pmod(F.xxhash64("row"), F.lit(n))
-    first = materialise(short.withColumn("island", deal(islands)).groupBy("island").applyInPandas(_pack_island(capacity, islands == 1), out), "islands")
-    settled = first.where("stays = 1")
-    migrants = first.where("stays = 0").drop("bin", "offset", "stays")
-    joint = max(1, -(-migrants.count() // island_pieces))
-    second = migrants.withColumn("island", F.lit(islands) + deal(joint)).groupBy("island").applyInPandas(_pack_island(capacity, True), out)
-    named = settled.unionByName(second).withColumn("sequence_id", F.col("island") * F.lit(1 << 24) + F.col("bin"))
+    ways = capacity, islands, size, epochs, generations
+    one = materialise(_evolve_groups(short.withColumn("group", deal(groups)), *ways, groups == 1, "pack"), "packed")
+    named = one.where("stays = 1")
+    if groups > 1:
+        rest = materialise(one.where("stays = 0").drop("bin", "offset", "stays", "group"), "poor")
+        joint = max(1, -(-rest.count() // group_pieces))
+        named = named.unionByName(_evolve_groups(rest.withColumn("group", F.lit(groups) + deal(joint)), *ways, True, "joint"))
+    named = named.withColumn("sequence_id", F.col("group") * F.lit(1 << 24) + F.col("bin"))
     columns = ["doc_id", "piece", "start", "length", "ids_crc32", "sequence_id", "offset"]
     return named.select(columns).unionByName(whole.select(columns))
 
