@@ -32,7 +32,7 @@ from pyspark.sql import functions as F
 
 from reclink.llm._common import SpanHasher, materialise, text_steps, tidy, word_spans
 
-ITEMS, ENDINGS, CLASSES, FREQUENT = 512, 511, 64, 1 << 18
+ITEMS, ENDINGS, CLASSES, FREQUENT = 2048, 511, 64, 1 << 18
 ADD, BACK = 0.5, 5.0
 #: What stands for the end of a text among word hashes.
 END = np.uint64(0x9E3779B97F4A7C15)
@@ -111,18 +111,18 @@ class Items:
 
 
 def count_pairs(texts: DataFrame, items: Items) -> np.ndarray:
-    """Matrix of neighbouring items over all texts; before a text stands an end."""
+    """Matrix of neighbouring items over all texts; before a text stands an end.  Tasks count
+    the pairs they see; only the matrix, whose size is that of the items, comes to the driver."""
     size = items.size
 
     def count(batches):
-        hasher, total = SpanHasher(31), np.zeros(size * size, np.int64)
+        hasher = SpanHasher(31)
         for batch in batches:
             for _, _, data, offsets in text_steps(batch.column(0)):
                 line, _ = items.sequence(data, offsets, hasher)
                 before = np.concatenate([[items.end], line[:-1]])
-                total += np.bincount(before * size + line, minlength=size * size)
-        cells = np.flatnonzero(total)
-        yield pa.RecordBatch.from_arrays([pa.array(cells), pa.array(total[cells])], names=["cell", "c"])
+                cells, c = np.unique(before * size + line, return_counts=True)
+                yield pa.RecordBatch.from_arrays([pa.array(cells), pa.array(c)], names=["cell", "c"])
 
     table = texts.select("text").mapInArrow(tidy(count), "cell long, c long").groupBy("cell").agg(F.sum("c").alias("c")).toArrow()
     out = np.zeros(size * size, np.int64)
@@ -164,7 +164,8 @@ def exchange(pairs: np.ndarray, classes: int = CLASSES, rounds: int = 4) -> np.n
             a[old] -= out
             a[:, old] -= into
             a[old, old] -= own
-            rows, columns = a.sum(axis=1), a.sum(axis=0)
+            # class totals with the item's neighbours in them, wherever the item goes
+            rows, columns = a.sum(axis=1) + into, a.sum(axis=0) + out
             now = _xlogx(a)
             gain = (_xlogx(a + out) - now).sum(axis=1) + (_xlogx(a + into[:, None]) - now).sum(axis=0)
             d = np.arange(classes)
