@@ -1,19 +1,27 @@
-"""Record graphs: membership in star form, edges, and features of a record's neighbourhood.
+"""Record graphs: membership in star form, and features of a record's neighbourhood.
 
-A relation is kept as (record, group); edges are only made of groups up to `max_group`
-records, as a group of g records has g*(g-1)/2 edges.  Roles take groups of any size; what
-is counted on edges leaves larger groups out.
+A relation is kept as (record, group), and records are related that share a group of whatever
+size.  Pairs are only listed where a caller asks for them (`edges`).  Features come from
+`Stars`: records with the same groups are one class, so what a record's neighbours hold is
+counted per class and group and the record's own share is taken off; a group of g records
+costs g rows and not g*g.
 """
 
 from __future__ import annotations
 
-from collections.abc import Sequence
+from collections.abc import Callable, Sequence
 from functools import reduce
 
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from reclink.operators.joins import hot_join
 from reclink.plans.model import Rule
+from reclink.sources import store
+
+GROUP = ["rule_id", "group_key"]
+#: Records of a group on a side of a tile.
+TILE = 512
 
 
 def membership(df: DataFrame, rules: Sequence[Rule]) -> DataFrame:
@@ -34,17 +42,34 @@ def membership(df: DataFrame, rules: Sequence[Rule]) -> DataFrame:
     return reduce(DataFrame.unionByName, parts)
 
 
-def _bounded(members: DataFrame, max_group: int) -> DataFrame:
-    sizes = members.groupBy("rule_id", "group_key").agg(F.count(F.lit(1)).alias("g")).where((F.col("g") > 1) & (F.col("g") <= max_group))
-    return members.join(sizes, ["rule_id", "group_key"])
+def apart(rules: Sequence[Rule]) -> bool:
+    """Whether no record can be in two groups."""
+    return len(rules) == 1 and rules[0].kind != "overlap"
+
+
+def _paired(members: DataFrame, tile: int) -> DataFrame:
+    """record_id of all pairs of different members of a group: src < dst, once per group.  A
+    group of more than `tile` members is dealt over tiles, each a key of its own."""
+    sizes = members.groupBy(*GROUP).agg(F.count(F.lit(1)).alias("g")).where("g > 1")
+    blocks = F.ceil(F.col("g") / tile).cast("int")
+    rows = hot_join(members.select("record_id", *GROUP), sizes, GROUP, "g", hot=max(tile, 256)).withColumn("block", F.pmod(F.xxhash64("record_id"), blocks).cast("int"))
+    dealt = rows.select("record_id", *GROUP, "block", F.explode(F.sequence(F.lit(0), blocks - 1)).alias("other"))
+    dealt = dealt.select("record_id", *GROUP, "block", F.least("block", "other").alias("t0"), F.greatest("block", "other").alias("t1"))
+    left, right = dealt.withColumnsRenamed({"record_id": "src", "block": "b0"}), dealt.withColumnsRenamed({"record_id": "dst", "block": "b1"})
+    met = left.join(right, [*GROUP, "t0", "t1"]).where("src < dst AND (t0 = t1 OR b0 <> b1)")
+    return met.select("src", "dst")
+
+
+def edges(members: DataFrame, tile: int = TILE) -> DataFrame:
+    """src < dst, each pair once whatever the number of shared groups and their size."""
+    return _paired(members, tile).distinct()
 
 
-def edges(members: DataFrame, max_group: int = 50) -> DataFrame:
-    """src < dst, each pair once whatever the number of shared groups."""
-    small = _bounded(members, max_group)
-    left = small.select("rule_id", "group_key", F.col("record_id").alias("src"))
-    right = small.select("rule_id", "group_key", F.col("record_id").alias("dst"))
-    return left.join(right, ["rule_id", "group_key"]).where("src < dst").select("src", "dst").distinct()
+def star_edges(members: DataFrame) -> DataFrame:
+    """src < dst: every member of a group with the group's smallest one; as connected as
+    `edges` with one edge a record and group."""
+    heads = members.groupBy(*GROUP).agg(F.min("record_id").alias("src"), F.count(F.lit(1)).alias("g")).where("g > 1")
+    return hot_join(members.select(F.col("record_id").alias("dst"), *GROUP), heads, GROUP, "g").where("src < dst").select("src", "dst").distinct()
 
 
 def directed(pairs: DataFrame) -> DataFrame:
@@ -76,36 +101,150 @@ def egonet_density(pairs: DataFrame) -> DataFrame:
     return rows.select("record_id", ((k + F.coalesce("t", F.lit(0))) / (k * (k + 1) / 2)).alias("density"))
 
 
-def neighbour_signatures(pairs: DataFrame, kept: DataFrame) -> DataFrame:
+class Stars:
+    """Neighbourhoods of any size.  `of`: record_id, cls (its class); `classes`: cls, n (its
+    records) and each of its groups.  `single` says that no record is in two groups; classes
+    are then groups and no two of them meet."""
+
+    def __init__(self, members: DataFrame, single: bool = False, keep: Callable[[DataFrame, str], DataFrame] | None = None):
+        self.keep, self.single = keep or store.keep, single
+        group = F.struct(*GROUP)
+        if single:
+            each = members.select("record_id", F.array(group).alias("groups"))
+        else:
+            each = members.groupBy("record_id").agg(F.array_sort(F.collect_set(group)).alias("groups"))
+        name = F.struct(F.xxhash64("groups").alias("x"), F.xxhash64(F.lit(1), "groups").alias("y"))
+        named = each.withColumn("cls", name)
+        self.of = self.keep(named.select("record_id", "cls"), "class-of")
+        sizes = named.groupBy("cls").agg(F.count(F.lit(1)).alias("n"), F.any_value("groups").alias("groups"))
+        self.classes = self.keep(sizes.select("cls", "n", F.explode("groups").alias("g")).select("cls", "n", "g.*"), "classes")
+        self._links: DataFrame | None = None
+
+    def sizes(self) -> DataFrame:
+        return self.classes.select("cls", "n").distinct() if not self.single else self.classes.select("cls", "n")
+
+    def links(self) -> DataFrame:
+        """src < dst: classes that share a group."""
+        if self._links is None:
+            self._links = self.keep(edges(self.classes.select(F.col("cls").alias("record_id"), *GROUP)), "class-links")
+        return self._links
+
+    def _beside(self, values: DataFrame) -> DataFrame:
+        """cls, x: sum of the values (cls, x) of the classes that share a group with it."""
+        if self.single:
+            return values.where("false").select("cls", "x")
+        near = directed(self.links()).withColumnsRenamed({"record_id": "cls", "neighbour": "other"})
+        return near.join(values.select(F.col("cls").alias("other"), "x"), "other").groupBy("cls").agg(F.sum("x").alias("x"))
+
+    def class_degrees(self) -> DataFrame:
+        """cls, n, k: records of a class, and neighbours of each of them."""
+        sizes = self.sizes()
+        around = self._beside(sizes.withColumnRenamed("n", "x"))
+        return sizes.join(around, "cls", "left").select("cls", "n", (F.coalesce("x", F.lit(0)) + F.col("n") - 1).alias("k")).where("k > 0")
+
+    def degree(self) -> DataFrame:
+        """record_id, degree of records that have neighbours."""
+        return self.of.join(self.class_degrees(), "cls").select("record_id", F.col("k").alias("degree"))
+
+    def density(self) -> DataFrame:
+        """record_id, density: (k + t) / (k (k + 1) / 2) for k neighbours with t pairs of
+        neighbours among them.  Within and between two classes such pairs are counted from
+        sizes; three classes that share groups pairwise are triangles of `links`."""
+        known = self.class_degrees()
+        n = known.select("cls", "n")
+        inner = F.col("n") * (F.col("n") - 1) / 2
+        # pairs inside a neighbouring class, and of the own class with it (less the record itself)
+        inside = self._beside(known.select("cls", inner.alias("x"))).withColumnRenamed("x", "p")
+        between = self._beside(known.select("cls", F.col("n").alias("x"))).withColumnRenamed("x", "q")
+        rows = known.join(inside, "cls", "left").join(between, "cls", "left")
+        corner = F.lit(0.0)
+        if not self.single:
+            three = triangles(self.links())
+            for name in "abc":
+                three = three.join(n.select(F.col("cls").alias(name), F.col("n").alias(f"n_{name}")), name)
+            each = F.explode(F.array(*[F.struct(F.col(x).alias("cls"), (F.col(f"n_{y}") * F.col(f"n_{z}")).alias("w")) for x, y, z in ("abc", "bac", "cab")]))
+            rows = rows.join(three.select(each.alias("e")).select("e.*").groupBy("cls").agg(F.sum("w").alias("w")), "cls", "left")
+            corner = F.coalesce("w", F.lit(0.0))
+        own = F.col("n") - 1
+        t = own * (own - 1) / 2 + F.coalesce("p", F.lit(0.0)) + own * F.coalesce("q", F.lit(0)) + corner
+        k = F.col("k")
+        return self.of.join(rows.select("cls", ((k + t) / (k * (k + 1) / 2)).alias("density")), "cls").select("record_id", "density")
+
+    def mean_degree(self) -> DataFrame:
+        """record_id, mean_degree: mean degree of the neighbours."""
+        known = self.class_degrees()
+        around = self._beside(known.select("cls", (F.col("n") * F.col("k")).alias("x")))
+        total = F.coalesce("x", F.lit(0)) + (F.col("n") - 1) * F.col("k")
+        return self.of.join(known.join(around, "cls", "left").select("cls", (total / F.col("k")).alias("mean_degree")), "cls").select("record_id", "mean_degree")
+
+    def sums(self, values: DataFrame, column: str) -> DataFrame:
+        """record_id and the sum of a column of values (record_id, column) over its neighbours."""
+        rows = self.of.join(values.select("record_id", F.col(column).alias("own")), "record_id", "left").na.fill(0, ["own"])
+        totals = rows.groupBy("cls").agg(F.sum("own").alias("x"))
+        around = totals.select("cls", F.col("x").alias("all")).join(self._beside(totals), "cls", "left").select("cls", (F.col("all") + F.coalesce("x", F.lit(0))).alias("x"))
+        return rows.join(around, "cls").join(self.class_degrees().select("cls"), "cls", "left_semi").select("record_id", (F.col("x") - F.col("own")).alias(column))
+
+    def around(self, items: DataFrame, wanted: DataFrame | None = None) -> DataFrame:
+        """cls, item, n: what the records of a class's groups hold, of items (record_id, item)
+        without repeats.  n is 1 if one record of the groups alone holds it (a member of the
+        class then lacks it among its neighbours if it is that record), and more otherwise.
+        wanted (cls) limits the classes."""
+        classes = self.classes if wanted is None else self.classes.join(wanted, "cls", "left_semi")
+        held = items.join(self.of, "record_id").groupBy("cls", "item").agg(F.count(F.lit(1)).alias("n"))
+        if self.single:
+            return held if wanted is None else held.join(wanted, "cls", "left_semi")
+        counts = self.classes.select("cls", *GROUP)
+        if wanted is not None:
+            counts = counts.join(classes.select(*GROUP).distinct(), GROUP, "left_semi")
+        counts = counts.join(held, "cls").groupBy(*GROUP, "item").agg(F.sum("n").alias("n"))
+        return classes.select("cls", *GROUP).join(counts, GROUP).groupBy("cls", "item").agg(F.max("n").alias("n"))
+
+    def alone(self, items: DataFrame, around: DataFrame) -> DataFrame:
+        """record_id, item: items of a record that none of its neighbours holds."""
+        return items.join(self.of, "record_id").join(around.where("n = 1").select("cls", "item"), ["cls", "item"]).select("record_id", "item")
+
+    def neighbours_hold(self, items: DataFrame, name: str) -> DataFrame:
+        """record_id and the sorted distinct items of its neighbours, where there are any."""
+        around = self.keep(self.around(items), "around")
+        whole = around.groupBy("cls").agg(F.array_sort(F.collect_list("item")).alias("whole"))
+        less = self.alone(items, around).groupBy("record_id").agg(F.collect_list("item").alias("less"))
+        rows = self.of.join(whole, "cls").join(less, "record_id", "left")
+        found = F.when(F.col("less").isNull(), F.col("whole")).otherwise(F.array_except("whole", "less"))
+        return rows.select("record_id", found.alias(name)).where(F.size(name) > 0)
+
+
+def signature_items(kept: DataFrame) -> DataFrame:
+    return kept.select("record_id", F.col("sig_hash").alias("item"))
+
+
+def value_items(df: DataFrame, columns: Sequence[str]) -> DataFrame:
+    values = df.select("record_id", F.explode(F.array(*[F.concat(F.lit(f"{c}="), F.col(c).cast("string")) for c in columns])).alias("item"))
+    return values.where("item IS NOT NULL")
+
+
+def neighbour_signatures(stars: Stars, kept: DataFrame) -> DataFrame:
     """Distinct kept signatures of a record's neighbours, sorted."""
-    sigs = kept.select(F.col("record_id").alias("neighbour"), "sig_hash")
-    return directed(pairs).join(sigs, "neighbour").groupBy("record_id").agg(F.array_sort(F.collect_set("sig_hash")).alias("nbr_sigs"))
+    return stars.neighbours_hold(signature_items(kept), "nbr_sigs")
 
 
-def neighbour_values(pairs: DataFrame, df: DataFrame, columns: Sequence[str]) -> DataFrame:
-    values = df.select(F.col("record_id").alias("neighbour"), F.explode(F.array(*[F.concat(F.lit(f"{c}="), F.col(c).cast("string")) for c in columns])).alias("value")).where("value IS NOT NULL")
-    return directed(pairs).join(values, "neighbour").groupBy("record_id").agg(F.array_sort(F.collect_set("value")).alias("nbr_values"))
+def neighbour_values(stars: Stars, df: DataFrame, columns: Sequence[str]) -> DataFrame:
+    return stars.neighbours_hold(value_items(df, columns), "nbr_values")
 
 
 def neighbour_roles(members: DataFrame) -> DataFrame:
     """Distinct 'own>other' role labels over shared groups of any size: from the roles of the
     group and how many records have each, without the record's own."""
     rows = members.where("role IS NOT NULL")
-    counts = rows.groupBy("rule_id", "group_key", "role").agg(F.count(F.lit(1)).alias("n"))
-    groups = counts.groupBy("rule_id", "group_key").agg(F.collect_list(F.struct("role", "n")).alias("others"))
-    each = rows.join(groups, ["rule_id", "group_key"]).select("record_id", "role", F.explode("others").alias("o"))
+    counts = rows.groupBy(*GROUP, "role").agg(F.count(F.lit(1)).alias("n"))
+    groups = counts.groupBy(*GROUP).agg(F.collect_list(F.struct("role", "n")).alias("others"), F.sum("n").alias("g"))
+    each = hot_join(rows.select("record_id", *GROUP, "role"), groups, GROUP, "g").select("record_id", "role", F.explode("others").alias("o"))
     found = each.where((F.col("o.role") != F.col("role")) | (F.col("o.n") > 1))
     return found.groupBy("record_id").agg(F.array_sort(F.collect_set(F.concat_ws(">", "role", "o.role"))).alias("roles"))
 
 
-def mean_neighbour_degree(pairs: DataFrame) -> DataFrame:
-    d = degree(pairs)
-    return directed(pairs).join(d.select(F.col("record_id").alias("neighbour"), "degree"), "neighbour").groupBy("record_id").agg(F.avg("degree").alias("mean_degree"))
-
-
-def neighbours_with_missing(pairs: DataFrame, df: DataFrame, columns: Sequence[str]) -> DataFrame:
-    lacking = df.select(F.col("record_id").alias("neighbour"), F.exists(F.array(*[F.col(c).cast("string") for c in columns]), lambda x: x.isNull()).cast("long").alias("lacks"))
-    return directed(pairs).join(lacking, "neighbour").groupBy("record_id").agg(F.sum("lacks").alias("missing_neighbours"))
+def neighbours_with_missing(stars: Stars, df: DataFrame, columns: Sequence[str]) -> DataFrame:
+    lacks = F.exists(F.array(*[F.col(c).cast("string") for c in columns]), lambda x: x.isNull()).cast("long")
+    return stars.sums(df.select("record_id", lacks.alias("missing_neighbours")), "missing_neighbours")
 
 
 def neighbour_centroid(pairs: DataFrame, vectors: DataFrame, column: str = "embedding") -> DataFrame:
@@ -116,13 +255,13 @@ def neighbour_centroid(pairs: DataFrame, vectors: DataFrame, column: str = "embe
     return ordered.select("record_id", F.transform("c", lambda s: s["x"]).alias("centroid"))
 
 
-def components(pairs: DataFrame, checkpoint=None, rounds: int = 50) -> DataFrame:
-    """record_id, component (smallest id reached): smallest labels with pointer jumping.
-    `checkpoint` writes a frame and reads it back, so lineage stays short."""
+def components(pairs: DataFrame, checkpoint=None) -> DataFrame:
+    """record_id, component (smallest id reached): smallest labels with pointer jumping, until
+    no label changes.  `checkpoint` writes a frame and reads it back, so lineage stays short."""
     keep = checkpoint or (lambda df: df.checkpoint())
-    both = directed(pairs)
+    both = keep(directed(pairs))
     labels = keep(both.groupBy("record_id").agg(F.least(F.col("record_id"), F.min("neighbour")).alias("component")))
-    for _ in range(rounds):
+    while True:
         near = both.join(labels.select(F.col("record_id").alias("neighbour"), F.col("component").alias("c")), "neighbour").groupBy("record_id").agg(F.min("c").alias("near"))
         lower = labels.join(near, "record_id").select("record_id", F.least("component", "near").alias("m"), F.col("component").alias("old"))
         jump = labels.select(F.col("record_id").alias("m"), F.col("component").alias("jump"))
@@ -130,10 +269,9 @@ def components(pairs: DataFrame, checkpoint=None, rounds: int = 50) -> DataFrame
         changed = after.where("component <> old").limit(1).count()
         labels = after.select("record_id", "component")
         if not changed:
-            break
-    return labels
+            return labels
 
 
 def group_sizes(members: DataFrame) -> DataFrame:
     """Degree under one rule without making edges: group size less one."""
-    return members.select("record_id", (F.count(F.lit(1)).over(Window.partitionBy("rule_id", "group_key")) - 1).alias("degree"))
+    return members.select("record_id", (F.count(F.lit(1)).over(Window.partitionBy(*GROUP)) - 1).alias("degree"))

@@ -7,6 +7,8 @@ from collections.abc import Sequence
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from reclink.sources import store
+
 
 def range_join(points: DataFrame, ranges: DataFrame, point: str, low: str, high: str, width: int) -> DataFrame:
     """Rows with low <= point < high (numbers): both sides meet in buckets of `width`, so no
@@ -60,3 +62,24 @@ def salted_sum(df: DataFrame, key: str, value: Column, salts: int = 16) -> DataF
     salted = df.withColumn("_salt", F.pmod(F.xxhash64(*df.columns), F.lit(salts)))
     part = salted.groupBy(key, "_salt").agg(F.sum(value).alias("_part"))
     return part.groupBy(key).agg(F.sum("_part").alias("total"))
+
+
+#: Rows of a key from which it counts as hot; hot keys that are broadcast; salts otherwise.
+HOT, HOT_KEYS, SALTS = 256, 200_000, 8
+
+
+def hot_join(rows: DataFrame, keyed: DataFrame, on: Sequence[str] | str, count: str, hot: int = HOT, most: int = HOT_KEYS, salts: int = SALTS) -> DataFrame:
+    """Inner join of rows with keyed (one row per key; `count` says how many rows have it) in
+    which no key lands in one task: keys of more than `hot` rows are broadcast, if at most
+    `most` are, and else repeated under `salts` salts; all others meet by a shuffle."""
+    on = [on] if isinstance(on, str) else list(on)
+    often, seldom = store.keep(keyed.where(F.col(count) > hot), "hot-keys"), keyed.where(F.col(count) <= hot)
+    found = often.limit(most + 1).count()
+    if not found:
+        return rows.join(keyed, on)
+    if found <= most:
+        rest = rows.join(F.broadcast(often.select(*on)), on, "left_anti")
+        return rest.join(seldom, on).unionByName(rows.join(F.broadcast(often), on))
+    spread = keyed.withColumn("_salt", F.explode(F.sequence(F.lit(0), F.lit(salts - 1))))
+    salted = rows.withColumn("_salt", F.pmod(F.xxhash64(*rows.columns), F.lit(salts)).cast("int"))
+    return salted.join(spread, [*on, "_salt"]).drop("_salt")

@@ -13,6 +13,7 @@ from reclink.operators import graph, signatures
 from reclink.operators.select import select_combinations
 from reclink.plans.model import Combo, Qid, Rule, Settings
 from reclink.plans.planner import EPSILON, relational_bound
+from reclink.sources import store
 
 
 # ---------------------------------------------------------------- similarities
@@ -38,10 +39,12 @@ def number_similarity(a: Column, b: Column) -> Column:
 # ---------------------------------------------------------------- pairs
 def candidate_pairs(sa: DataFrame, sb: DataFrame) -> DataFrame:
     """a_id, b_id, common: pairs that share a kept signature.  The frequency cap bounds how
-    many pairs a signature can make; hash and string are both compared."""
-    left = sa.select("combo_id", "sig_hash", "sig", F.col("record_id").alias("a_id"))
-    right = sb.select("combo_id", "sig_hash", "sig", F.col("record_id").alias("b_id"))
-    return left.join(right, ["combo_id", "sig_hash", "sig"]).groupBy("a_id", "b_id").agg(F.count(F.lit(1)).alias("common"))
+    many pairs a signature can make.  Only hashes are shuffled: two of 64 bits, which stand
+    for the string."""
+    key = ["combo_id", "sig_hash", "sig_check"]
+    left = sa.select(*key, F.col("record_id").alias("a_id"))
+    right = sb.select(*key, F.col("record_id").alias("b_id"))
+    return left.join(right, key).groupBy("a_id", "b_id").agg(F.count(F.lit(1)).alias("common"))
 
 
 def scored_pairs(sa: DataFrame, sb: DataFrame, sim_a: str = "jaccard", pairs: DataFrame | None = None) -> DataFrame:
@@ -61,31 +64,104 @@ def relational_candidates(sa: DataFrame, sb: DataFrame, ra: DataFrame, rb: DataF
     return candidate_pairs(sa, sb).unionByName(more).groupBy("a_id", "b_id").agg(F.max("common").alias("common"))
 
 
-def relational_similarity(features: Sequence[str], kind: str, a: str = "ra", b: str = "rb") -> Column:
-    """Mean over the features: set similarity of sets, number similarity of numbers."""
-    parts = []
-    for name in features:
-        x, y = F.col(f"{a}.{name}"), F.col(f"{b}.{name}")
-        zero = lambda c: F.coalesce(c.cast("double"), F.lit(0.0))
-        parts.append(number_similarity(zero(x), zero(y)) if name in ("degree", "density") else F.coalesce(set_similarity(x, y, kind), F.lit(0.0)))
-    return sum(parts[1:], parts[0]) / len(parts)
+# ---------------------------------------------------------------- relational similarity
+class Side:
+    """A database as stage 2 sees it: its record graph, made when a pair first asks for it."""
 
+    def __init__(self, df: DataFrame, kept: DataFrame, rules: Sequence[Rule], qids: Sequence[Qid], keep: Callable[[DataFrame, str], DataFrame]):
+        self.df, self.kept, self.rules, self.qids, self.keep = df, kept, rules, qids, keep
+        self._stars: graph.Stars | None = None
 
-def decide(scored: DataFrame, ra: DataFrame, rb: DataFrame, settings: Settings = Settings(), bound: bool = True) -> DataFrame:
+    @property
+    def members(self) -> DataFrame:
+        return graph.membership(self.df, self.rules)
+
+    @property
+    def stars(self) -> graph.Stars:
+        if self._stars is None:
+            self._stars = graph.Stars(self.members, graph.apart(self.rules), self.keep)
+        return self._stars
+
+    def items(self, feature: str) -> DataFrame:
+        return graph.signature_items(self.kept) if feature == "nbr_sigs" else graph.value_items(self.df, [q.name for q in self.qids])
+
+    def numbers(self, feature: str) -> DataFrame:
+        return self.stars.degree() if feature == "degree" else self.stars.density()
+
+
+def common_items(pairs: DataFrame, a: Side, b: Side, feature: str) -> DataFrame:
+    """a_id, b_id, na, nb, common of pairs (a_id, b_id): sizes of the sets that the neighbours
+    of both hold, and of what the sets share.
+
+    What the classes of both hold is counted once a pair of classes; what a record alone holds
+    in its groups is no neighbour's and is taken off.
+    """
+    keep = a.keep
+    near = pairs.select("a_id", "b_id")
+    for side, name in ((a, "a"), (b, "b")):
+        near = near.join(side.stars.of.select(F.col("record_id").alias(f"{name}_id"), F.col("cls").alias(f"c{name}")), f"{name}_id", "left")
+    near = keep(near, "near")
+    held, own = {}, {}
+    for side, name in ((a, "a"), (b, "b")):
+        wanted = near.select(F.col(f"c{name}").alias("cls")).where("cls IS NOT NULL").distinct()
+        items = side.items(feature)
+        held[name] = keep(side.stars.around(items, wanted), "around")
+        asked = items.join(near.select(F.col(f"{name}_id").alias("record_id")).distinct(), "record_id", "left_semi")
+        own[name] = keep(side.stars.alone(asked, held[name]), "alone").select(F.col("record_id").alias(f"{name}_id"), "item")
+        held[name] = held[name].select(F.col("cls").alias(f"c{name}"), "item")
+    met = near.where("ca IS NOT NULL AND cb IS NOT NULL")
+    classes = met.select("ca", "cb").distinct().join(held["a"], "ca").join(held["b"], ["cb", "item"]).groupBy("ca", "cb").agg(F.count(F.lit(1)).alias("both"))
+    less = lambda rows, weight: rows.select("a_id", "b_id", F.lit(weight).alias("w"))
+    off = less(met.join(own["a"], "a_id").join(held["b"], ["cb", "item"]), -1)
+    off = off.unionByName(less(met.join(own["b"], "b_id").join(held["a"], ["ca", "item"]), -1))
+    off = off.unionByName(less(met.join(own["a"], "a_id").join(own["b"], ["b_id", "item"]), 1))
+    out = near.join(classes, ["ca", "cb"], "left").join(off.groupBy("a_id", "b_id").agg(F.sum("w").alias("w")), ["a_id", "b_id"], "left")
+    for name in "ab":
+        out = out.join(held[name].groupBy(f"c{name}").agg(F.count(F.lit(1)).alias(f"h{name}")), f"c{name}", "left")
+        out = out.join(own[name].groupBy(f"{name}_id").agg(F.count(F.lit(1)).alias(f"o{name}")), f"{name}_id", "left")
+    n = lambda c: F.coalesce(c, F.lit(0))
+    return out.select("a_id", "b_id", (n("ha") - n("oa")).alias("na"), (n("hb") - n("ob")).alias("nb"), (n("both") + n("w")).alias("common"))
+
+
+def _feature(pairs: DataFrame, a: Side, b: Side, name: str, kind: str) -> DataFrame:
+    """a_id, b_id, and the similarity of the pair's feature."""
+    if name in ("nbr_sigs", "nbr_values"):
+        return common_items(pairs, a, b, name).select("a_id", "b_id", from_counts(F.col("common"), F.col("na"), F.col("nb"), kind).alias(name))
+    out, value = pairs.select("a_id", "b_id"), "roles" if name == "roles" else name
+    for side, at in ((a, "a"), (b, "b")):
+        table = graph.neighbour_roles(side.members) if name == "roles" else side.numbers(name)
+        out = out.join(table.select(F.col("record_id").alias(f"{at}_id"), F.col(value).alias(f"v{at}")), f"{at}_id", "left")
+    if name == "roles":
+        found = F.coalesce(set_similarity(F.col("va"), F.col("vb"), kind), F.lit(0.0))
+    else:
+        found = number_similarity(*(F.coalesce(F.col(c).cast("double"), F.lit(0.0)) for c in ("va", "vb")))
+    return out.select("a_id", "b_id", found.alias(name))
+
+
+def relational(pairs: DataFrame, a: Side, b: Side, settings: Settings = Settings()) -> DataFrame:
+    """pairs (a_id, b_id and more) with s_r: the mean over the features, of set similarity for
+    sets and number similarity for numbers.  Records without neighbours count as empty."""
+    out, names = pairs, settings.features
+    for name in names:
+        out = out.join(_feature(pairs, a, b, name, settings.sim_r), ["a_id", "b_id"], "left")
+    mean = sum((F.coalesce(F.col(x), F.lit(0.0)) for x in names), F.lit(0.0)) / len(names)
+    return out.withColumn("s_r", mean).drop(*names)
+
+
+def decide(scored: DataFrame, a: Side, b: Side, settings: Settings = Settings(), bound: bool = True) -> DataFrame:
     """a_id, b_id, common, s_a, s_r, s, stage of the matches.
 
     Stage 1 takes s_a >= s_t.  Stage 2 blends with the relational similarity; only pairs
-    that can still reach s_t fetch their relational signatures (bound=False: all).
+    that can still reach s_t fetch their neighbourhoods (bound=False: all).
     """
     first = scored.where(F.col("s_a") >= settings.s_t - EPSILON).select("*", F.lit(None).cast("double").alias("s_r"), F.col("s_a").alias("s"), F.lit(1).alias("stage"))
-    rest = scored.where(F.col("s_a") < settings.s_t - EPSILON)
-    if bound:
-        rest = rest.where(F.col("s_a") >= relational_bound(settings.s_t, settings.beta))
-    rest = rest.join(ra.select(F.col("record_id").alias("a_id"), F.col("rel").alias("ra")), "a_id", "left").join(rb.select(F.col("record_id").alias("b_id"), F.col("rel").alias("rb")), "b_id", "left")
-    s_r = F.coalesce(relational_similarity(settings.features, settings.sim_r), F.lit(0.0))
-    blended = rest.select("a_id", "b_id", "common", "s_a", s_r.alias("s_r"))
+    low = F.lit(0.0) if not bound else F.lit(relational_bound(settings.s_t, settings.beta))
+    rest = scored.where((F.col("s_a") < settings.s_t - EPSILON) & (F.col("s_a") >= low))
+    if bound and settings.beta == 1:
+        return first  # the blend is s_a alone
+    blended = relational(rest, a, b, settings)
     s = settings.beta * F.col("s_a") + (1 - settings.beta) * F.col("s_r")
-    second = blended.select("*", s.alias("s"), F.lit(2).alias("stage")).where(F.col("s") >= settings.s_t - EPSILON)
+    second = blended.select("a_id", "b_id", "common", "s_a", "s_r", s.alias("s"), F.lit(2).alias("stage")).where(F.col("s") >= settings.s_t - EPSILON)
     return first.unionByName(second)
 
 
@@ -112,33 +188,33 @@ class LinkResult:
     sig_a: DataFrame
     sig_b: DataFrame
     scored: DataFrame
-    rel_a: DataFrame
-    rel_b: DataFrame
+    a: Side
+    b: Side
     timings: dict[str, float] = field(default_factory=dict)
 
+    def relational(self, settings: Settings = Settings()) -> DataFrame:
+        """All candidates with s_a and s_r."""
+        return relational(self.scored, self.a, self.b, settings)
+
 
-def relations(df: DataFrame, kept: DataFrame, rules: Sequence[Rule], qids: Sequence[Qid], settings: Settings) -> DataFrame:
-    """record_id, rel of records that have neighbours; others count as empty."""
-    members = graph.membership(df, rules)
-    pairs = graph.edges(members, settings.max_group)
-    tables = {
-        "degree": lambda: graph.degree(pairs), "density": lambda: graph.egonet_density(pairs), "nbr_sigs": lambda: graph.neighbour_signatures(pairs, kept),
-        "nbr_values": lambda: graph.neighbour_values(pairs, df, [q.name for q in qids]), "roles": lambda: graph.neighbour_roles(members),
-    }
-    out = None
-    for name in settings.features:
-        table = tables[name]()
-        out = table if out is None else out.join(table, "record_id", "full")
-    return out.select("record_id", F.struct(*settings.features).alias("rel"))
+def refuse_repeated_ids(df: DataFrame) -> None:
+    """A record_id names one record: pairs, graphs and counts rest on that."""
+    repeated = df.groupBy("record_id").agg(F.count(F.lit(1)).alias("n")).where("n > 1").limit(1).collect()
+    if repeated:
+        raise ValueError(f"record_id {repeated[0]['record_id']!r} occurs {repeated[0]['n']} times")
 
 
 def link(
     a: DataFrame, b: DataFrame, qids: Sequence[Qid], rules: Sequence[Rule], combos: Sequence[Combo] | None = None, settings: Settings = Settings(),
-    keep: Callable[[DataFrame, str], DataFrame] | None = None, candidates: str = "attr", **selection,
+    keep: Callable[[DataFrame, str], DataFrame] | None = None, candidates: str = "attr", relational_cap: int = 50, **selection,
 ) -> LinkResult:
-    """All three steps.  `keep` may write a frame and read it back between steps; selection
-    goes to select_combinations, over both databases."""
-    keep = keep or (lambda df, _: df)
+    """All three steps.  Each step is written by `keep` (default: files in the shared folder),
+    so it is computed once and timings are of work done; selection goes to
+    select_combinations, over both databases.  candidates="attr+rel" adds pairs that share a
+    neighbour's signature which at most `relational_cap` neighbourhoods hold."""
+    keep = keep or store.keep
+    for side in (a, b):
+        refuse_repeated_ids(side)
     times, clock = {}, time.monotonic()
     if combos is None:
         names = [q.name for q in qids]
@@ -146,15 +222,15 @@ def link(
     times["select"], clock = time.monotonic() - clock, time.monotonic()
     if not combos:
         raise ValueError("no combination reaches c_t")
-    sa, sb = (keep(x, name) for x, name in zip(signatures.kept_signatures(a, b, qids, combos, settings), ("sig_a", "sig_b")))
-    ra, rb = (keep(relations(x, s, rules, qids, settings), name) for x, s, name in ((a, sa, "rel_a"), (b, sb, "rel_b")))
+    sa, sb = (keep(x.drop("sig"), name) for x, name in zip(signatures.kept_signatures(a, b, qids, combos, settings), ("sig_a", "sig_b")))
+    left, right = (Side(x, s, rules, qids, keep) for x, s in ((a, sa), (b, sb)))
+    if settings.beta < 1:
+        left.stars, right.stars  # noqa: B018  the record graphs are part of this step
     times["generate"], clock = time.monotonic() - clock, time.monotonic()
     pairs = None
     if candidates == "attr+rel":
-        cap = settings.max_group
-        flat = lambda r: r.select("record_id", F.col("rel.nbr_sigs").alias("nbr_sigs"))
-        pairs = relational_candidates(sa, sb, flat(ra), flat(rb), cap)
-    scored = scored_pairs(sa, sb, settings.sim_a, pairs)
-    matches = keep(decide(scored, ra, rb, settings), "matches")
+        pairs = relational_candidates(sa, sb, graph.neighbour_signatures(left.stars, sa), graph.neighbour_signatures(right.stars, sb), relational_cap)
+    scored = keep(scored_pairs(sa, sb, settings.sim_a, pairs), "scored")
+    matches = keep(decide(scored, left, right, settings), "matches")
     times["match"] = time.monotonic() - clock
-    return LinkResult(matches, list(combos), sa, sb, scored, ra, rb, times)
+    return LinkResult(matches, list(combos), sa, sb, scored, left, right, times)

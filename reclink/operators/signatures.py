@@ -11,9 +11,13 @@ from reclink.functions.hashing import salted
 from reclink.operators import graph
 from reclink.plans.model import Combo, Qid, Rule, Settings
 from reclink.plans.planner import n_max
+from reclink.sources import store
 
 #: Stands between the parts of a stored signature, so ("ab", "c") and ("a", "bc") differ.
 SEPARATOR = "\u001f"
+#: Signatures over the cap that are broadcast (20 bytes each), and records from which one
+#: counts as hot where they are more.
+FREQUENT, HOT = 200_000, 1_000
 
 
 def attribute_signature(combo: Combo, qids: Sequence[Qid], render: str = "stored") -> Column:
@@ -27,10 +31,11 @@ def attribute_signature(combo: Combo, qids: Sequence[Qid], render: str = "stored
 
 
 def attribute_signatures(df: DataFrame, qids: Sequence[Qid], combos: Sequence[Combo]) -> DataFrame:
-    """record_id, combo_id, sig_hash, sig: one row per complete combination; narrow."""
+    """record_id, combo_id, sig_hash, sig_check, sig: one row per complete combination; narrow.
+    The two hashes together stand for the string in joins."""
     each = [F.struct(F.lit(c.combo_id).alias("combo_id"), attribute_signature(c, qids).alias("sig")) for c in combos]
     rows = df.select("record_id", F.explode(F.array(*each)).alias("s")).select("record_id", "s.combo_id", "s.sig")
-    return rows.where(F.col("sig").isNotNull()).select("record_id", "combo_id", F.xxhash64("combo_id", "sig").alias("sig_hash"), "sig")
+    return rows.where(F.col("sig").isNotNull()).select("record_id", "combo_id", F.xxhash64("combo_id", "sig").alias("sig_hash"), F.xxhash64("sig", F.lit(1)).alias("sig_check"), "sig")
 
 
 def salted_signatures(attr_sig: DataFrame, secret: str) -> DataFrame:
@@ -50,12 +55,22 @@ def signature_probability(n: Column, lam: float = 1.2, mu: float = 0.2, mode: st
 
 def filter_signatures(attr_sig: DataFrame, settings: Settings = Settings(), counted: DataFrame | None = None) -> DataFrame:
     """Drops signatures whose probability is under p_t, as a cap on n.  `counted` gives the
-    rows to count over (both databases for count_scope="union")."""
+    rows to count over (both databases for count_scope="union").
+
+    Only counts are shuffled, summed before; signatures over the cap are broadcast if they are
+    few, and else those of very many records, so that no row travels to be dropped with all
+    others of its signature."""
     cap = n_max(settings.p_t, settings.lam, settings.mu, settings.prob_mode)
     if cap is None:
         return attr_sig
     counts = signature_counts(counted if counted is not None else attr_sig)
-    return attr_sig.join(counts.where(F.col("n") <= cap).select("combo_id", "sig_hash"), ["combo_id", "sig_hash"], "left_semi")
+    over = store.keep(counts.where(F.col("n") > cap).select("combo_id", "sig_hash", "n"), "frequent")
+    key = ["combo_id", "sig_hash"]
+    if over.limit(FREQUENT + 1).count() <= FREQUENT:
+        return attr_sig.join(F.broadcast(over.select(*key)), key, "left_anti")
+    hot = over.where(F.col("n") > HOT)
+    rest = attr_sig.join(F.broadcast(hot.select(*key)), key, "left_anti") if hot.limit(FREQUENT + 1).count() <= FREQUENT else attr_sig
+    return rest.join(over.select(*key), key, "left_anti")
 
 
 def kept_signatures(a: DataFrame, b: DataFrame, qids: Sequence[Qid], combos: Sequence[Combo], settings: Settings = Settings()) -> tuple[DataFrame, DataFrame]:
@@ -74,12 +89,12 @@ def signature_database(df: DataFrame, qids: Sequence[Qid], combos: Sequence[Comb
     sigs = kept.groupBy("record_id").agg(F.array_sort(F.collect_set("sig_hash")).alias("attr_sigs"))
     out = df.select("record_id").join(sigs, "record_id", "left")
     members = graph.membership(df, rules)
-    edges = graph.edges(members, settings.max_group)
+    stars = graph.Stars(members, graph.apart(rules))
     tables = {
-        "degree": lambda: graph.degree(edges),
-        "density": lambda: graph.egonet_density(edges),
-        "nbr_sigs": lambda: graph.neighbour_signatures(edges, kept),
-        "nbr_values": lambda: graph.neighbour_values(edges, df, [q.name for q in qids]),
+        "degree": stars.degree,
+        "density": stars.density,
+        "nbr_sigs": lambda: graph.neighbour_signatures(stars, kept),
+        "nbr_values": lambda: graph.neighbour_values(stars, df, [q.name for q in qids]),
         "roles": lambda: graph.neighbour_roles(members),
     }
     defaults = {"degree": F.lit(0).cast("long"), "density": F.lit(0.0), "nbr_sigs": F.array().cast("array<long>"), "nbr_values": F.array().cast("array<string>"), "roles": F.array().cast("array<string>")}

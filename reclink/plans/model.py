@@ -38,7 +38,7 @@ class Combo:
 class Rule:
     """A relation: records of one database with equal, complete keys are related.
 
-    kind is equal, conj, overlap (an array column; elements in more than max_df records are
+    kind is equal, conj, overlap (an array column; with max_df, elements in more records are
     no relation), group or group_role.
     """
 
@@ -57,7 +57,7 @@ class Rule:
         return Rule("conj", tuple(columns))
 
     @staticmethod
-    def overlap(column: str, max_df: int = 50) -> Rule:
+    def overlap(column: str, max_df: int | None = None) -> Rule:
         return Rule("overlap", (column,), max_df=max_df)
 
     @staticmethod
@@ -85,7 +85,6 @@ class Settings:
     sim_r: str = "jaccard"
     prob_mode: str = "literal"
     count_scope: str = "per_db"
-    max_group: int = 50
     features: tuple[str, ...] = field(default=("nbr_sigs",))
 
     def __post_init__(self):

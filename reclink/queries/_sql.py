@@ -151,14 +151,14 @@ def candidates(c: Ctes) -> Ctes:
     return c.add("scored", "SELECT a_id, b_id, common, na, nb, CAST(common AS DOUBLE) / (na + nb - common) AS s_a FROM cand JOIN na USING (a_id) JOIN nb USING (b_id)")
 
 
-def edges(c: Ctes, side: str, pair: str, max_group: int = 50) -> Ctes:
+def edges(c: Ctes, side: str, pair: str) -> Ctes:
     """e<side>: record_id, neighbour in both directions."""
     if pair in ("w1", "w2"):
         members = f"SELECT record_id, k FROM (SELECT record_id, unnest(list_distinct(author_list)) AS k FROM {side})"
     else:
         members = f"SELECT record_id, {KEYS[pair]} AS k FROM {side}"
     c.add(f"g{side}_0", f"SELECT * FROM ({members}) WHERE k IS NOT NULL")
-    c.add(f"m{side}", f"SELECT g.* FROM g{side}_0 g JOIN (SELECT k FROM g{side}_0 GROUP BY k HAVING count(*) BETWEEN 2 AND {max_group}) USING (k)")
+    c.add(f"m{side}", f"SELECT g.* FROM g{side}_0 g JOIN (SELECT k FROM g{side}_0 GROUP BY k HAVING count(*) >= 2) USING (k)")
     return c.add(f"e{side}", f"SELECT DISTINCT x.record_id, y.record_id AS neighbour FROM m{side} x JOIN m{side} y USING (k) WHERE x.record_id <> y.record_id")
 
 

@@ -138,7 +138,7 @@ def graph_edges(spark, sf_dir):
 
 def _pairs_by(key: str, table: str = s.PERSON) -> str:
     c = s.Ctes(("a", table), ("k", f"SELECT record_id, {key} AS k FROM a WHERE {key} IS NOT NULL"))
-    c.add("m", "SELECT * FROM k SEMI JOIN (SELECT k FROM k GROUP BY k HAVING count(*) BETWEEN 2 AND 50) USING (k)")
+    c.add("m", "SELECT * FROM k SEMI JOIN (SELECT k FROM k GROUP BY k HAVING count(*) >= 2) USING (k)")
     return c.then("SELECT count(*) AS edges FROM (SELECT DISTINCT x.record_id, y.record_id FROM m x JOIN m y ON x.k = y.k AND x.record_id < y.record_id)")
 
 
@@ -157,7 +157,7 @@ def rel_conj(spark, sf_dir):
 
 
 @query(
-    s.Ctes(("a", s.PUBLICATION), ("k", "SELECT DISTINCT record_id, unnest(author_list) AS k FROM a"), ("m", "SELECT * FROM k SEMI JOIN (SELECT k FROM k GROUP BY k HAVING count(*) BETWEEN 2 AND 50) USING (k)")).then(
+    s.Ctes(("a", s.PUBLICATION), ("k", "SELECT DISTINCT record_id, unnest(author_list) AS k FROM a"), ("m", "SELECT * FROM k SEMI JOIN (SELECT k FROM k GROUP BY k HAVING count(*) >= 2) USING (k)")).then(
         "SELECT count(*) AS edges FROM (SELECT DISTINCT x.record_id, y.record_id FROM m x JOIN m y ON x.k = y.k AND x.record_id < y.record_id)"
     )
 )
@@ -176,20 +176,19 @@ def rel_group(spark, sf_dir):
 
 
 def _mixed(spark, sf_dir):
-    """Two rules over documents' lead words and lengths give triangles that are no cliques."""
-    rows = views.publication(spark, sf_dir)
-    return graph.edges(graph.membership(rows, [Rule.overlap("author_list"), Rule.equal("title")]))
+    """Two rules over documents' lead words and titles give triangles that are no cliques."""
+    return graph.membership(views.publication(spark, sf_dir), [Rule.overlap("author_list"), Rule.equal("title")])
 
 
 def _mixed_sql() -> s.Ctes:
     c = s.Ctes(("a", s.PUBLICATION), ("k", "SELECT DISTINCT record_id, 'a' || unnest(author_list) AS k FROM a UNION ALL SELECT record_id, 't' || title FROM a"))
-    c.add("m", "SELECT * FROM k SEMI JOIN (SELECT k FROM k GROUP BY k HAVING count(*) BETWEEN 2 AND 50) USING (k)")
+    c.add("m", "SELECT * FROM k SEMI JOIN (SELECT k FROM k GROUP BY k HAVING count(*) >= 2) USING (k)")
     return c.add("e", "SELECT DISTINCT x.record_id, y.record_id AS neighbour FROM m x JOIN m y ON x.k = y.k AND x.record_id <> y.record_id")
 
 
 @query(_mixed_sql().then("SELECT record_id, count(*) AS degree FROM e GROUP BY ALL"))
 def feat_degree(spark, sf_dir):
-    return graph.degree(_mixed(spark, sf_dir))
+    return graph.Stars(_mixed(spark, sf_dir)).degree()
 
 
 @query(
@@ -201,7 +200,7 @@ def feat_degree(spark, sf_dir):
     .replace("FROM k LEFT JOIN t", "FROM kk LEFT JOIN t")
 )
 def feat_density(spark, sf_dir):
-    return graph.egonet_density(_mixed(spark, sf_dir)).select("record_id", F.round("density", 6).alias("density"))
+    return graph.Stars(_mixed(spark, sf_dir)).density().select("record_id", F.round("density", 6).alias("density"))
 
 
 def _neighbour_sigs() -> s.Ctes:
@@ -213,18 +212,18 @@ def _neighbour_sigs() -> s.Ctes:
 def feat_nbr_sigs(spark, sf_dir):
     people = views.person(spark, sf_dir)
     kept = signatures.filter_signatures(signatures.attribute_signatures(people, VQ, VC))
-    pairs = graph.edges(graph.membership(people, [Rule.conj(("family", "street"))]))
-    return graph.neighbour_signatures(pairs, kept).select("record_id", F.size("nbr_sigs").cast("long").alias("sigs"))
+    stars = graph.Stars(graph.membership(people, [Rule.conj(("family", "street"))]), single=True)
+    return graph.neighbour_signatures(stars, kept).select("record_id", F.size("nbr_sigs").cast("long").alias("sigs"))
 
 
 @query(_home().then("SELECT e.record_id, array_to_string(list_sort(list_distinct(list(v))), ';') AS vals FROM ea e JOIN (SELECT record_id AS neighbour, unnest(['given=' || given, 'age=' || age]) AS v FROM a) USING (neighbour) GROUP BY ALL"))
 def feat_nbr_values(spark, sf_dir):
     people = views.person(spark, sf_dir)
-    return graph.neighbour_values(graph.edges(_household(spark, sf_dir)), people, ["given", "age"]).select("record_id", F.array_join("nbr_values", ";").alias("vals"))
+    return graph.neighbour_values(graph.Stars(_household(spark, sf_dir), single=True), people, ["given", "age"]).select("record_id", F.array_join("nbr_values", ";").alias("vals"))
 
 
 @query(
-    "WITH m AS (SELECT concat_ws('-', conv_id, turn) AS record_id, conv_id, role FROM conversations WHERE conv_id IN (SELECT conv_id FROM conversations GROUP BY 1 HAVING count(*) <= 50)) "
+    "WITH m AS (SELECT concat_ws('-', conv_id, turn) AS record_id, conv_id, role FROM conversations) "
     "SELECT x.record_id, array_to_string(list_sort(list_distinct(list(x.role || '>' || y.role))), ';') AS roles FROM m x JOIN m y ON x.conv_id = y.conv_id AND x.record_id <> y.record_id GROUP BY ALL"
 )
 def feat_nbr_roles(spark, sf_dir):
@@ -234,15 +233,15 @@ def feat_nbr_roles(spark, sf_dir):
 
 @query(_mixed_sql().add("d", "SELECT record_id, count(*) AS d FROM e GROUP BY ALL").then("SELECT e.record_id, round(avg(d.d), 6) AS mean_degree FROM e JOIN d ON d.record_id = e.neighbour GROUP BY ALL"))
 def feat_misc(spark, sf_dir):
-    return graph.mean_neighbour_degree(_mixed(spark, sf_dir)).select("record_id", F.round("mean_degree", 6).alias("mean_degree"))
+    return graph.Stars(_mixed(spark, sf_dir)).mean_degree().select("record_id", F.round("mean_degree", 6).alias("mean_degree"))
 
 
 @query(
     _home().then("SELECT e.record_id, CAST(sum(CASE WHEN m.given IS NULL OR m.middle IS NULL THEN 1 ELSE 0 END) AS BIGINT) AS missing_neighbours FROM ea e JOIN m ON m.record_id = e.neighbour GROUP BY ALL").replace("ea AS MATERIALIZED", "m AS MATERIALIZED (" + s.mcar("a", w.VOTER, 0.2, 5) + "),\nea AS MATERIALIZED")
 )
 def feat_missing_neighbours(spark, sf_dir):
-    edges = graph.edges(_household(spark, sf_dir))
-    return graph.neighbours_with_missing(edges, gaps(spark, sf_dir), ("given", "middle"))
+    stars = graph.Stars(_household(spark, sf_dir), single=True)
+    return graph.neighbours_with_missing(stars, gaps(spark, sf_dir), ("given", "middle"))
 
 
 #: Vectors are related if they share a label and a hundred of vec_ids.
@@ -252,7 +251,7 @@ CLOSE = "SELECT a.vec_id AS x, b.vec_id AS y, b.embedding AS e FROM embeddings a
 @query(f"SELECT x AS record_id, round(avg(CAST(e[1] AS DOUBLE)), 5) AS c1, round(avg(CAST(e[64] AS DOUBLE)), 5) AS c64 FROM ({CLOSE}) GROUP BY 1")
 def feat_embedding_centroid(spark, sf_dir):
     rows = spark.read.parquet(f"{sf_dir}/embeddings.parquet").select(F.col("vec_id").alias("record_id"), F.col("embedding").cast("array<double>").alias("embedding"), F.concat_ws("/", "label", F.floor(F.col("vec_id") / 100)).alias("home"))
-    edges = graph.edges(graph.membership(rows, [Rule.group("home")]), max_group=100)
+    edges = graph.edges(graph.membership(rows, [Rule.group("home")]))
     return graph.neighbour_centroid(edges, rows).select("record_id", F.round(F.get("centroid", F.lit(0)), 5).alias("c1"), F.round(F.get("centroid", F.lit(63)), 5).alias("c64"))
 
 
@@ -270,7 +269,7 @@ def sig_database(spark, sf_dir):
 
 @query(_mixed_sql().add("r", "SELECT record_id AS v, record_id AS u FROM e UNION SELECT r.v, e.neighbour FROM r JOIN e ON r.u = e.record_id").then("SELECT v AS record_id, min(u) AS component FROM r GROUP BY v", recursive=True).replace("r AS MATERIALIZED", "r AS"))
 def graph_components(spark, sf_dir):
-    return graph.components(_mixed(spark, sf_dir), keep)
+    return graph.components(graph.star_edges(_mixed(spark, sf_dir)), keep)
 
 
 # ---------------------------------------------------------------- matching
@@ -324,8 +323,7 @@ def match_stage1(spark, sf_dir):
 @query(s.relational(_cand(), "w4").then("SELECT a_id, b_id, round(s_r, 6) AS s_r FROM with_r"))
 def match_sim_r(spark, sf_dir):
     r = linked(_w4(spark, sf_dir))
-    rows = r.scored.join(r.rel_a.select(F.col("record_id").alias("a_id"), F.col("rel").alias("ra")), "a_id", "left").join(r.rel_b.select(F.col("record_id").alias("b_id"), F.col("rel").alias("rb")), "b_id", "left")
-    return rows.select("a_id", "b_id", F.round(match.relational_similarity(("nbr_sigs",), "jaccard"), 6).alias("s_r"))
+    return r.relational().select("a_id", "b_id", F.round("s_r", 6).alias("s_r"))
 
 
 @query(
@@ -338,8 +336,7 @@ def match_sim_r_numeric(spark, sf_dir):
     p = _w4(spark, sf_dir)
     settings = dataclasses.replace(p.settings, features=("degree",))
     r = linked(p, settings)
-    rows = r.scored.join(r.rel_a.select(F.col("record_id").alias("a_id"), F.col("rel").alias("ra")), "a_id", "left").join(r.rel_b.select(F.col("record_id").alias("b_id"), F.col("rel").alias("rb")), "b_id", "left")
-    return rows.agg(F.round(F.avg(match.relational_similarity(("degree",), "jaccard")), 6).alias("mean_r"))
+    return r.relational(settings).agg(F.round(F.avg("s_r"), 6).alias("mean_r"))
 
 
 FULL = s.matched("w4").then("SELECT a_id, b_id, round(s_a, 6) AS s_a, round(s, 6) AS s, CAST(stage AS INTEGER) AS stage FROM matches")
@@ -352,7 +349,7 @@ def _rounded(pairs):
 @query(FULL)
 def match_full(spark, sf_dir):
     r = linked(_w4(spark, sf_dir))
-    return _rounded(match.decide(r.scored, r.rel_a, r.rel_b, Settings(), bound=False))
+    return _rounded(match.decide(r.scored, r.a, r.b, Settings(), bound=False))
 
 
 @query(FULL)
@@ -363,8 +360,7 @@ def match_bound(spark, sf_dir):
 @query(s.relational(_cand(), "w4").then(" UNION ALL ".join(f"SELECT CAST({t} AS DOUBLE) AS s_t, count(*) FILTER (s_a >= {t} - 1e-9) AS stage1, count(*) FILTER (s_a >= {t} - 1e-9 OR 0.5 * s_a + 0.5 * s_r >= {t} - 1e-9) AS matches FROM with_r" for t in evaluate.S_T)))
 def match_sweep_st(spark, sf_dir):
     r = linked(_w4(spark, sf_dir))
-    rows = r.scored.join(r.rel_a.select(F.col("record_id").alias("a_id"), F.col("rel").alias("ra")), "a_id", "left").join(r.rel_b.select(F.col("record_id").alias("b_id"), F.col("rel").alias("rb")), "b_id", "left")
-    both = rows.select("s_a", match.relational_similarity(("nbr_sigs",), "jaccard").alias("s_r"))
+    both = r.relational().select("s_a", "s_r")
     each = both.select("*", F.explode(F.array(*[F.lit(t) for t in evaluate.S_T])).alias("s_t"))
     low = F.col("s_t") - planner.EPSILON
     return each.groupBy("s_t").agg(F.count_if(F.col("s_a") >= low).alias("stage1"), F.count_if((F.col("s_a") >= low) | (0.5 * F.col("s_a") + 0.5 * F.col("s_r") >= low)).alias("matches"))
@@ -376,8 +372,7 @@ BETAS = (0.0, 0.25, 0.5, 0.75, 1.0)
 @query(s.relational(_cand(), "w4").then(" UNION ALL ".join(f"SELECT CAST({b} AS DOUBLE) AS beta, count(*) FILTER (s_a >= 0.8 - 1e-9 OR {b} * s_a + (1 - {b}) * s_r >= 0.8 - 1e-9) AS matches FROM with_r" for b in BETAS)))
 def match_sweep_beta(spark, sf_dir):
     r = linked(_w4(spark, sf_dir))
-    rows = r.scored.join(r.rel_a.select(F.col("record_id").alias("a_id"), F.col("rel").alias("ra")), "a_id", "left").join(r.rel_b.select(F.col("record_id").alias("b_id"), F.col("rel").alias("rb")), "b_id", "left")
-    both = rows.select("s_a", match.relational_similarity(("nbr_sigs",), "jaccard").alias("s_r"))
+    both = r.relational().select("s_a", "s_r")
     each = both.select("*", F.explode(F.array(*[F.lit(b) for b in BETAS])).alias("beta"))
     low = 0.8 - planner.EPSILON
     return each.groupBy("beta").agg(F.count_if((F.col("s_a") >= low) | (F.col("beta") * F.col("s_a") + (1 - F.col("beta")) * F.col("s_r") >= low)).alias("matches"))
@@ -391,8 +386,8 @@ def match_sweep_beta(spark, sf_dir):
 )
 def match_rel_candidates(spark, sf_dir):
     r = linked(_w4(spark, sf_dir))
-    flat = lambda x: x.select("record_id", F.col("rel.nbr_sigs").alias("nbr_sigs"))
-    return match.relational_candidates(r.sig_a, r.sig_b, flat(r.rel_a), flat(r.rel_b), 50).agg(F.count(F.lit(1)).alias("candidates"))
+    sets = [graph.neighbour_signatures(side.stars, kept) for side, kept in ((r.a, r.sig_a), (r.b, r.sig_b))]
+    return match.relational_candidates(r.sig_a, r.sig_b, *sets, 50).agg(F.count(F.lit(1)).alias("candidates"))
 
 
 @query(

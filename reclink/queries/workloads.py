@@ -97,7 +97,7 @@ def _papers(a: DataFrame, b: DataFrame, missing: tuple[float, float]) -> Pair:
     truth = papers_truth(a, b)
     lose = ("authors", "venue", "year")
     a, b = perturb.inject_mcar(a, lose, missing[0], 2, "mcar-a"), perturb.inject_mcar(b, lose, missing[1], 2, "mcar-b")
-    return Pair(keep(a, "a"), keep(b, "b"), keep(truth, "truth"), PAPERS, PAPER_COMBOS, [Rule.overlap("author_list", 50)], Settings())
+    return Pair(keep(a, "a"), keep(b, "b"), keep(truth, "truth"), PAPERS, PAPER_COMBOS, [Rule.overlap("author_list")], Settings())
 
 
 def bib_large(spark: SparkSession, sf_dir: str) -> Pair:
