@@ -16,6 +16,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from reclink.operators.joins import hot_join  # noqa: F401  used by the operators
+
 #: Bytes of text that one vectorised step looks at; a longer text is a step of its own.
 STEP_BYTES = 4 << 20
 #: Bytes of an Arrow batch on its way to a worker while a step is written.
@@ -277,18 +279,3 @@ def bounded(df: DataFrame, max_rows: int):
     shuffles both sides."""
     return F.broadcast(df) if df.limit(max_rows + 1).count() <= max_rows else df
 
-
-def hot_join(rows: DataFrame, keyed: DataFrame, key: str, count: str, hot: int = 256, broadcast_rows: int = 200_000, salts: int = 8) -> DataFrame:
-    """Inner join of rows with keyed (one row per key; `count` says how many rows have it) in
-    which no key lands in one task: keys of more than `hot` rows are broadcast, if they are
-    few, and else repeated under `salts` salts; all others meet by a shuffle."""
-    often, seldom = keyed.where(F.col(count) > hot), keyed.where(F.col(count) <= hot)
-    found = often.limit(broadcast_rows + 1).count()
-    if not found:
-        return rows.join(keyed, key)
-    if found <= broadcast_rows:
-        rest = rows.join(F.broadcast(often.select(key)), key, "left_anti")
-        return rest.join(seldom, key).unionByName(rows.join(F.broadcast(often), key))
-    spread = keyed.withColumn("_salt", F.explode(F.sequence(F.lit(0), F.lit(salts - 1))))
-    salted = rows.withColumn("_salt", F.pmod(F.xxhash64(*rows.columns), F.lit(salts)).cast("int"))
-    return salted.join(spread, [key, "_salt"]).drop("_salt")
