@@ -95,3 +95,10 @@ def critical_range(level: float, groups: int, df: int) -> float:
         middle = (low + high) / 2
         low, high = (middle, high) if studentised_range_cdf(middle, groups, df) < 1 - level else (low, middle)
     return (low + high) / 2
+
+
+def tukey_test(runs: DataFrame, group: str = "method", value: str = "recall", level: float = 0.05) -> DataFrame:
+    """tukey_statistics with the critical value of q and whether the pair differs."""
+    groups, total = runs.agg(F.count_distinct(group), F.count(value)).first()
+    critical = critical_range(level, groups, total - groups)
+    return tukey_statistics(runs, group, value).withColumn("critical", F.lit(round(critical, 4))).withColumn("differs", F.col("q") > critical)

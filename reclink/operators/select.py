@@ -192,6 +192,14 @@ def select_combinations(
     return top_combinations({m: trace.scores[m] for m in trace.kept}, qids, n_a)
 
 
+def select_by_policies(df: DataFrame, qids: Sequence[Qid], policies: Sequence[str], n_a: int = 5, **options) -> dict[str, list[Combo]]:
+    """The n_a best combinations under each subset policy, from one look at the data."""
+    trace = Selection()
+    select_combinations(df, qids, n_a, subset_policy="keep", trace=trace, **options)
+    scores = lambda policy: {m: trace.scores[m] for m in apply_policy(trace.kept, policy)}
+    return {policy: top_combinations(scores(policy), qids, n_a) for policy in policies}
+
+
 def random_combinations(qids: Sequence[Qid], n_a: int, seed: int, sizes: Sequence[int] | None = None) -> list[Combo]:
     pool = [c for k in (sizes or range(2, len(qids) + 1)) for c in combinations([q.name for q in qids], k)]
     return fixed_combinations(random.Random(seed).sample(pool, min(n_a, len(pool))))

@@ -184,3 +184,54 @@ def matched(pair: str, s_t: float = 0.8, beta: float = 0.5, cap: int | None = 8,
 def accuracy(pairs: str = "matches") -> str:
     return f"""SELECT count(*) AS predicted, count(t.a_id) AS tp, (SELECT count(*) FROM truth) AS truth, round(count(t.a_id) / nullif(count(*), 0), 6) AS precision,
         round(count(t.a_id) / nullif((SELECT count(*) FROM truth), 0), 6) AS recall FROM {pairs} m LEFT JOIN truth t ON t.a_id = m.a_id AND t.b_id = m.b_id"""
+
+
+# ---------------------------------------------------------------- selection
+def named(attrs: Sequence[str], mask: str = "mask") -> str:
+    return "array_to_string(list_filter([" + ", ".join(f"CASE WHEN {mask} & {1 << i} > 0 THEN '{a}' END" for i, a in enumerate(attrs)) + "], lambda x: x IS NOT NULL), ',')"
+
+
+def scores(attrs: Sequence[str], table: str, low: int = 2, high: int = 6, masks=None, alpha: float = 0.5) -> str:
+    """mask, k, s_c, s_g, score of the combinations of `low` to `high` attributes."""
+    parts = []
+    for m in masks or [m for m in range(1, 1 << len(attrs)) if low <= m.bit_count() <= high]:
+        own = [a for i, a in enumerate(attrs) if m >> i & 1]
+        there = " AND ".join(f"{a} IS NOT NULL" for a in own)
+        parts.append(f"SELECT {m} AS mask, {m.bit_count()} AS k, coalesce(sum(f), 0) AS sf, coalesce(sum(CAST(f AS DOUBLE) * f), 0) AS sff FROM (SELECT count(*) AS f FROM {table} WHERE {there} GROUP BY {', '.join(own)})")
+    return f"SELECT mask, k, sf / n AS s_c, sf / n - sff / (CAST(n AS DOUBLE) * n) AS s_g, {alpha} * sf / n + {1 - alpha} * (sf / n - sff / (CAST(n AS DOUBLE) * n)) AS score FROM ({' UNION ALL '.join(parts)}), (SELECT count(*) AS n FROM {table})"
+
+
+def passing(c: Ctes, c_t: float, high: int = 6, how: str = "apriori") -> Ctes:
+    """passing: rows of sc that reach c_t, grown level by level."""
+    c.add("p2", f"SELECT * FROM sc WHERE k = 2 AND score >= {c_t - 1e-9}")
+    for k in range(3, high + 1):
+        parts = f"(SELECT count(*) FROM p{k - 1} p WHERE p.mask & x.mask = p.mask) = {k}"
+        c.add(f"p{k}", f"SELECT * FROM sc x WHERE k = {k} AND score >= {c_t - 1e-9}" + (f" AND {parts}" if how == "apriori" else ""))
+    return c.add("passing", " UNION ALL ".join(f"SELECT * FROM p{k}" for k in range(2, high + 1)))
+
+
+#: Combinations no larger one of which passes.
+LARGEST = "NOT EXISTS (SELECT 1 FROM passing o WHERE o.mask <> p.mask AND o.mask & p.mask = p.mask)"
+
+
+def selected(pair: str, policy: str, n_a: int = 5, c_t: float = 0.6, high: int = 3, cap: int = 8, s_t: float = 0.8) -> str:
+    """All three steps: the n_a best combinations of both sides, then linkage and accuracy."""
+    attrs, c = ATTRS[pair], PAIRS[pair]()
+    c.add("sides", f"SELECT {', '.join(attrs)} FROM a UNION ALL SELECT {', '.join(attrs)} FROM b").add("sc", scores(attrs, "sides", 2, high))
+    passing(c, c_t, high)
+    c.add("chosen", f"SELECT mask, {named(attrs)} AS nm, row_number() OVER (ORDER BY round(score, 9) DESC, k, {named(attrs)}) AS r FROM passing p" + (f" WHERE {LARGEST}" if policy == "drop" else "") + f" QUALIFY r <= {n_a}")
+    for side in "ab":
+        each = []
+        for m in range(1, 1 << len(attrs)):
+            own = [a for i, a in enumerate(attrs) if m >> i & 1]
+            if 2 <= len(own) <= high:
+                each.append(f"SELECT record_id, {m} AS combo_id, {' || '.join(f'chr(31) || {x}' for x in own)} AS sig FROM {side} WHERE {' AND '.join(f'{x} IS NOT NULL' for x in own)} AND {m} IN (SELECT mask FROM chosen)")
+        c.add(f"s{side}_all", " UNION ALL ".join(each))
+        c.add(f"s{side}", f"SELECT s.* FROM s{side}_all s JOIN (SELECT combo_id, sig FROM s{side}_all GROUP BY ALL HAVING count(*) <= {cap}) USING (combo_id, sig)")
+    relational(candidates(c), pair)
+    c.add("matches", f"SELECT a_id, b_id FROM with_r WHERE s_a >= {s_t - 1e-9} OR 0.5 * s_a + 0.5 * s_r >= {s_t - 1e-9}")
+    c.add("found", accuracy())
+    return c.then(f"SELECT '{policy}' AS policy, (SELECT count(*) FROM a) AS records_a, (SELECT count(*) FROM b) AS records_b, (SELECT string_agg(nm, ';' ORDER BY r) FROM chosen) AS combinations, predicted, tp, precision, recall FROM found")
+
+
+ATTRS = {"w1": w.PAPERS, "w2": w.PAPERS, "w3": w.CENSUS, "w4": w.VOTER, "w5": w.VOTER, "w6": w.VOTER, "w7": w.NATIONAL}

@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import dataclasses
+import time
 
 from pyspark.sql import functions as F
 
@@ -286,14 +287,13 @@ def bl_complete_case(spark, sf_dir):
 
 
 _MEAN = "(" + " + ".join(f"coalesce(1 - levenshtein(a.{x}, b.{x}) / CAST(greatest(length(a.{x}), length(b.{x}), 1) AS DOUBLE), 0)" for x in VOTER) + ") / 6"
-#: Brute force compares all pairs, so it runs on one customer's worth of households.
-_FEW = "household <= 200"
 
 
-@query(s.PAIRS["w4"]().add("matches", f"SELECT a.record_id AS a_id, b.record_id AS b_id FROM (SELECT * FROM a WHERE {_FEW}) a, (SELECT * FROM b WHERE {_FEW}) b WHERE {_MEAN} >= 0.8 - 1e-9").then("SELECT a_id, b_id FROM matches"))
+@query(s.PAIRS["w4"]().add("matches", f"SELECT a.record_id AS a_id, b.record_id AS b_id FROM a JOIN b USING (household) WHERE {_MEAN} >= 0.8 - 1e-9").then("SELECT a_id, b_id FROM matches"))
 def bl_brute(spark, sf_dir):
+    """All pairs of a household, which is the block, of all households."""
     p = w.PAIRS["w4"](spark, sf_dir)
-    return simple.brute_force_link(keep(p.a.where(_FEW), "a"), keep(p.b.where(_FEW), "b"), VOTER).select("a_id", "b_id")
+    return simple.brute_force_link(keep(p.a, "a"), keep(p.b, "b"), VOTER, block="household").select("a_id", "b_id")
 
 
 @query(_sig_pairs().add("matches", "SELECT a_id, b_id FROM scored WHERE s_a >= 0.8 - 1e-9").then(s.accuracy()))
@@ -303,14 +303,11 @@ def abl_attr_only(spark, sf_dir):
     return evaluate.precision_recall(r.pairs, p.truth)
 
 
-#: Without the frequency rule only selective combinations can be joined at all.
-_SELECTIVE = (("given", "family", "street"), ("given", "middle", "street"), ("middle", "family", "street"))
-
-
-@query(s.matched("w4", cap=None, combos=_SELECTIVE).then(s.accuracy()))
+@query(s.matched("w4", cap=None).then(s.accuracy()))
 def abl_no_prob(spark, sf_dir):
+    """The same five combinations without the frequency rule."""
     p = w.PAIRS["w4"](spark, sf_dir)
-    r = linked(dataclasses.replace(p, combos=_SELECTIVE), dataclasses.replace(p.settings, p_t=0.0))
+    r = linked(p, dataclasses.replace(p.settings, p_t=0.0))
     return evaluate.precision_recall(r.pairs, p.truth)
 
 
@@ -437,25 +434,50 @@ def ev_counters(spark, sf_dir):
 
 
 # ---------------------------------------------------------------- comparison workloads
+C_TS, P_TS = (0.5, 0.7, 0.9), (0.5, 0.7)
+
+
 def compare_methods(spark, sf_dir, name: str):
-    """method, precision, recall of ours and four baselines on a workload."""
+    """workload, method, settings, precision, recall (means over the settings), seconds.
+
+    The linkage and the signature baseline run over c_t and p_t (a p_t of 0.9 keeps no
+    signature); settings that select the same combinations share a run.  The pairwise
+    baselines do not depend on either and take the candidates of the fixed combinations.
+    """
     p = w.PAIRS[name](spark, sf_dir)
-    truth = keep(p.truth, "truth")
-    r = linked(p)
-    levels = keep(comparison.compared(p.a, p.b, match.candidate_pairs(r.sig_a, r.sig_b), p.attrs, partial=0.5), "levels")
+    a, b, truth = keep(p.a, "a"), keep(p.b, "b"), keep(p.truth, "truth")
+    sides = keep(a.select(*p.attrs).unionByName(b.select(*p.attrs)), "sides")
+    rows = []
+
+    def measured(pairs):
+        clock = time.monotonic()
+        got = evaluate.precision_recall(pairs, truth).first()
+        return got["precision"], got["recall"], time.monotonic() - clock
+
+    clock = time.monotonic()
+    chosen = {c_t: select.select_combinations(sides, p.qids, 5, c_t=c_t, max_size=3) for c_t in C_TS}
+    select_seconds = (time.monotonic() - clock) / len(C_TS)
+    runs = {}
+    for c_t, p_t in ((c, q) for c in C_TS for q in P_TS):
+        job = (frozenset(c.attrs for c in chosen[c_t]), p_t)
+        if job not in runs and chosen[c_t]:
+            settings = Settings(p_t=p_t)
+            r = match.link(a, b, p.qids, p.rules, chosen[c_t], settings)
+            ours, alone = measured(r.pairs), measured(prob_signature.prob_signature_link(r.sig_a, r.sig_b, settings=settings))
+            runs[job] = (*ours[:2], select_seconds + r.timings["generate"] + r.timings["match"]), (*alone[:2], select_seconds + r.timings["generate"] + alone[2])
+        for method, k in (("ours", 0), ("signatures", 1)):
+            rows.append((name, method, *(runs[job][k] if chosen[c_t] else (None, 0.0, select_seconds))))
+    fixed = signatures.kept_signatures(a, b, p.qids, select.fixed_combinations(p.combos), Settings())
+    clock = time.monotonic()
+    levels = keep(comparison.compared(a, b, match.candidate_pairs(*fixed), p.attrs, partial=0.5), "levels")
+    shared = time.monotonic() - clock
     mu = probabilistic.estimate_mu(levels, truth, p.attrs)
-    found = {
-        "ours": r.pairs,
-        "probabilistic": probabilistic.probabilistic_link(levels, mu),
-        "redistributed": probabilistic.probabilistic_link(levels, mu, split="proportional"),
-        "signatures": prob_signature.prob_signature_link(r.sig_a, r.sig_b),
-        "mixture": em.em_link(levels, p.attrs),
-    }
-    out = None
-    for method, pairs in found.items():
-        one = evaluate.precision_recall(pairs, truth).select(F.lit(name).alias("workload"), F.lit(method).alias("method"), "predicted", "precision", "recall")
-        out = one if out is None else out.unionByName(one)
-    return out
+    for method, pairs in (("probabilistic", probabilistic.probabilistic_link(levels, mu)), ("redistributed", probabilistic.probabilistic_link(levels, mu, split="proportional")), ("mixture", em.em_link(levels, p.attrs))):
+        precision, recall, seconds = measured(pairs)
+        rows.append((name, method, precision, recall, shared + seconds))
+    frame = spark.createDataFrame(rows, "workload string, method string, precision double, recall double, seconds double")
+    mean = [F.round(F.avg(c), 6 if c != "seconds" else 2).alias(c) for c in ("precision", "recall", "seconds")]
+    return frame.groupBy("workload", "method").agg(F.count(F.lit(1)).alias("settings"), *mean)
 
 
 #: The workloads that the methods are compared on.
@@ -466,11 +488,21 @@ COMPARED = ("w1", "w2", "w3", "w4", "w5", "w6")
 def wl_w9(spark, sf_dir):
     out = None
     for name in COMPARED:
-        one = compare_methods(spark, sf_dir, name)
+        one = keep(compare_methods(spark, sf_dir, name), "compared")
         out = one if out is None else out.unionByName(one)
     return out
 
 
+@query()
+def ev_tukey(spark, sf_dir):
+    """The range test on the recalls of runs of this library: methods over three workloads."""
+    runs = None
+    for name in ("w3", "w4", "w6"):
+        one = keep(compare_methods(spark, sf_dir, name), "compared")
+        runs = one if runs is None else runs.unionByName(one)
+    return evaluate.tukey_test(runs)
+
+
 @query()
 def wl_w10(spark, sf_dir):
     """How each kind of missingness moves accuracy: the same share lost from the street."""

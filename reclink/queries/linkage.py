@@ -437,24 +437,57 @@ for _name in w.PAIRS:
     query(s.matched(_name).then(s.accuracy()), f"wl_{_name}")(_workload(_name))
 
 
+POLICIES = ("drop", "keep")
+
+
+def _selected(name):
+    """Selection over both sides (n_a=5, c_t=0.6, up to three attributes), then the linkage,
+    with and without combinations that are part of another selected one."""
+
+    def run(spark, sf_dir):
+        pair = w.PAIRS[name](spark, sf_dir)
+        a, b, truth = keep(pair.a, "a"), keep(pair.b, "b"), keep(pair.truth, "truth")
+        both = a.select(*pair.attrs).unionByName(b.select(*pair.attrs))
+        out = None
+        for policy, combos in select.select_by_policies(both, pair.qids, POLICIES, 5, c_t=0.6, max_size=3).items():
+            found = match.link(a, b, pair.qids, pair.rules, combos, pair.settings)
+            names = ";".join(",".join(c.attrs) for c in combos)
+            about = [F.lit(policy).alias("policy"), F.lit(a.count()).alias("records_a"), F.lit(b.count()).alias("records_b"), F.lit(names).alias("combinations")]
+            one = evaluate.precision_recall(found.pairs, truth).select(*about, "predicted", "tp", "precision", "recall")
+            out = one if out is None else out.unionByName(one)
+        return out
+
+    return run
+
+
+for _name in w.PAIRS:
+    query(" UNION ALL ".join(f"SELECT * FROM ({s.selected(_name, policy)})" for policy in POLICIES), f"wl_{_name}_selected")(_selected(_name))
+
+
 @query()
 def wl_w8(spark, sf_dir):
-    """Sensitivity: thresholds, combinations kept, random selection, frequency rule."""
+    """Sensitivity: how accuracy at each s_t and the seconds of steps 2 and 3 move with c_t,
+    n_a, p_t and random selections.  Settings that give the same job share one run."""
     p = _w4(spark, sf_dir)
-    rows = []
-    names = [q.name for q in p.qids]
-    both = keep(p.a.select(*names).unionByName(p.b.select(*names)), "union")
-    chosen = {("c_t", c): select.select_combinations(both, p.qids, 5, c_t=c, subset_policy="keep", max_size=3) for c in (0.5, 0.7, 0.9)}
-    chosen |= {("n_a", float(n)): select.select_combinations(both, p.qids, n, c_t=0.5, subset_policy="keep", max_size=3) for n in (1, 2, 5, 10)}
-    chosen |= {("random", float(i)): select.random_combinations(p.qids, 5, i) for i in (1, 2)}
-    fixed = select.fixed_combinations(p.combos)
-    runs = [(kind, v, combos, Settings()) for (kind, v), combos in chosen.items()] + [("p_t", t, fixed, Settings(p_t=t)) for t in (0.5, 0.7, 0.9)]
-    truth = keep(p.truth, "truth")
-    for kind, value, combos, settings in runs:
-        if combos:
-            r = match.link(p.a, p.b, p.qids, p.rules, combos, settings, keep=keep)
-            got = evaluate.precision_recall(r.pairs, truth).first()
-            rows.append((kind, float(value), len(combos), got["predicted"], got["precision"], got["recall"]))
-        else:
-            rows.append((kind, float(value), 0, 0, None, 0.0))
-    return spark.createDataFrame(rows, "parameter string, value double, combos int, predicted long, precision double, recall double")
+    a, b, truth = keep(p.a, "a"), keep(p.b, "b"), keep(p.truth, "truth")
+    both = keep(a.select(*p.attrs).unionByName(b.select(*p.attrs)), "union")
+    runs = [("c_t", c, select.select_combinations(both, p.qids, 5, c_t=c, max_size=3), 0.5) for c in (0.5, 0.7, 0.9)]
+    ranked = select.select_combinations(both, p.qids, 10, c_t=0.5, max_size=3)
+    runs += [("n_a", n, ranked[:n], 0.5) for n in (1, 2, 5, 10)]
+    runs += [("random", i, select.random_combinations(p.qids, 5, i), 0.5) for i in (1, 2, 3)]
+    runs += [("p_t", t, select.fixed_combinations(p.combos), t) for t in (0.5, 0.7, 0.9)]
+    done, rows = {}, []
+    for kind, value, combos, p_t in runs:
+        job = (frozenset(c.attrs for c in combos), p_t)
+        if job not in done:
+            done[job] = (0.0, 0.0, [])
+            if combos:
+                settings = Settings(p_t=p_t)
+                r = match.link(a, b, p.qids, p.rules, combos, settings)
+                blend = settings.beta * F.col("s_a") + (1 - settings.beta) * F.col("s_r")
+                curve = evaluate.pr_curve(r.relational(settings).select("a_id", "b_id", F.greatest("s_a", blend).alias("s")), truth)
+                done[job] = (r.timings["generate"], r.timings["match"], [(x["s_t"], x["predicted"], x["precision"], x["recall"]) for x in curve.collect()])
+        generate, matched, curve = done[job]
+        found = {x[0]: x for x in curve}
+        rows += [(kind, float(value), len(combos), round(generate, 2), round(matched, 2), *found.get(t, (t, 0, None, 0.0))) for t in evaluate.S_T]
+    return spark.createDataFrame(rows, "parameter string, value double, combos int, generate_seconds double, match_seconds double, s_t double, predicted long, precision double, recall double")

@@ -21,16 +21,11 @@ def gaps(spark, sf_dir):
 
 
 GAPS = s.Ctes(("person", s.PERSON), ("d", s.mcar("person", VOTER, 0.2, 5)))
-NAME = "array_to_string(list_filter([" + ", ".join(f"CASE WHEN mask & {1 << i} > 0 THEN '{a}' END" for i, a in enumerate(VOTER)) + "], lambda x: x IS NOT NULL), ',')"
+NAME = s.named(VOTER)
 
 
 def _scores(low: int = 2, high: int = 6, table: str = "d", masks=None) -> str:
-    parts = []
-    for m in masks or [m for m in range(1, 64) if low <= m.bit_count() <= high]:
-        attrs = [a for i, a in enumerate(VOTER) if m >> i & 1]
-        there = " AND ".join(f"{a} IS NOT NULL" for a in attrs)
-        parts.append(f"SELECT {m} AS mask, {m.bit_count()} AS k, coalesce(sum(f), 0) AS sf, coalesce(sum(CAST(f AS DOUBLE) * f), 0) AS sff FROM (SELECT count(*) AS f FROM {table} WHERE {there} GROUP BY {', '.join(attrs)})")
-    return f"SELECT mask, k, sf / n AS s_c, sf / n - sff / (CAST(n AS DOUBLE) * n) AS s_g, {ALPHA} * sf / n + {1 - ALPHA} * (sf / n - sff / (CAST(n AS DOUBLE) * n)) AS score FROM ({' UNION ALL '.join(parts)}), (SELECT count(*) AS n FROM {table})"
+    return s.scores(VOTER, table, low, high, masks, ALPHA)
 
 
 def _fresh() -> s.Ctes:
@@ -38,16 +33,11 @@ def _fresh() -> s.Ctes:
 
 
 def _levels(c_t: float = C_T, how: str = "apriori") -> s.Ctes:
-    c = _fresh().add("sc", _scores())
-    c.add("p2", f"SELECT * FROM sc WHERE k = 2 AND score >= {c_t - 1e-9}")
-    for k in range(3, 7):
-        parts = f"(SELECT count(*) FROM p{k - 1} p WHERE p.mask & x.mask = p.mask) = {k}"
-        c.add(f"p{k}", f"SELECT * FROM sc x WHERE k = {k} AND score >= {c_t - 1e-9}" + (f" AND {parts}" if how == "apriori" else ""))
-    return c.add("passing", " UNION ALL ".join(f"SELECT * FROM p{k}" for k in range(2, 7)))
+    return s.passing(_fresh().add("sc", _scores()), c_t, how=how)
 
 
 SHOWN = f"{NAME} AS attrs, round(s_c, 6) AS s_c, round(s_g, 6) AS s_g, round(score, 6) AS score"
-DROP = "NOT EXISTS (SELECT 1 FROM passing o WHERE o.mask <> p.mask AND o.mask & p.mask = p.mask)"
+DROP = s.LARGEST
 DOMINATED = "NOT EXISTS (SELECT 1 FROM passing o WHERE o.mask <> p.mask AND o.mask & p.mask = p.mask AND o.score >= p.score - 1e-9)"
 
 
@@ -81,7 +71,14 @@ def sel_score_pairs(spark, sf_dir):
     return _frame(spark, found)
 
 
-@query()
+def _grown() -> str:
+    """Masks that each level looks at: all pairs, then those all of whose parts passed."""
+    seen = [f"SELECT 2 AS level, {NAME} AS attrs FROM sc WHERE k = 2"]
+    seen += [f"SELECT {k} AS level, {NAME} AS attrs FROM sc x WHERE k = {k} AND (SELECT count(*) FROM p{k - 1} p WHERE p.mask & x.mask = p.mask) = {k}" for k in range(3, 7)]
+    return _levels().then(" UNION ALL ".join(seen))
+
+
+@query(_grown())
 def sel_levels(spark, sf_dir):
     trace = select.Selection()
     select.select_combinations(keep(gaps(spark, sf_dir)), QIDS, alpha=ALPHA, c_t=C_T, trace=trace)

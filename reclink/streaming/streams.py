@@ -69,37 +69,45 @@ def running_counts(stream: DataFrame, key: str) -> DataFrame:
     return stream.select(key).groupBy(key).applyInPandasWithState(count, f"{key} {dict(stream.dtypes)[key]}, n long", "n long", "update", "NoTimeout")
 
 
-class IncrementalLinker:
-    """Links arriving records: each batch's signatures meet those stored before and those of
-    its own batch.  Signatures that grow past the cap leave when the result is read, so the
-    drained result equals the batch result."""
-
-    def __init__(self, spark: SparkSession, signatures: Callable[[DataFrame], DataFrame], cap: int):
-        self.spark, self.signatures, self.cap = spark, signatures, cap
-        self.base = f"{folder(spark)}/incremental-{uuid.uuid4().hex}"
-        self.numbers: list[int] = []
-
-    def _stored(self, before: int | None = None) -> DataFrame | None:
-        paths = [f"{self.base}/sig/{n}" for n in sorted(set(self.numbers)) if before is None or n < before]
-        return self.spark.read.parquet(*paths) if paths else None
-
-    def __call__(self, batch: DataFrame, number: int) -> None:
-        self.signatures(batch).write.mode("overwrite").parquet(f"{self.base}/sig/{number}")
-        fresh = self.spark.read.parquet(f"{self.base}/sig/{number}")
-        old = self._stored(number)
-        self.numbers.append(number)
-        pool = fresh if old is None else old.unionByName(fresh)
-        left, right = pool.where("side = 'a'"), pool.where("side = 'b'")
-        new = lambda df, name: df.select("combo_id", "sig_hash", F.col("record_id").alias(name))
-        pairs = new(left, "a_id").join(new(right.join(fresh.select("record_id").distinct(), "record_id", "left_semi"), "b_id"), ["combo_id", "sig_hash"])
-        if old is not None:
-            late = new(left.join(fresh.select("record_id").distinct(), "record_id", "left_semi"), "a_id").join(new(old.where("side = 'b'"), "b_id"), ["combo_id", "sig_hash"])
-            pairs = pairs.unionByName(late).distinct()
-        pairs.write.mode("overwrite").parquet(f"{self.base}/pairs/{number}")
-
-    def pairs(self) -> DataFrame:
-        """a_id, b_id, common over signatures that at most `cap` records of a side share."""
-        counts = self._stored().groupBy("side", "combo_id", "sig_hash").agg(F.count(F.lit(1)).alias("n")).groupBy("combo_id", "sig_hash").agg(F.max("n").alias("n"))
-        live = counts.where(F.col("n") <= self.cap).select("combo_id", "sig_hash")
-        found = self.spark.read.parquet(*[f"{self.base}/pairs/{n}" for n in sorted(set(self.numbers))]).distinct()
-        return found.join(live, ["combo_id", "sig_hash"], "left_semi").groupBy("a_id", "b_id").agg(F.count(F.lit(1)).alias("common"))
+ARRIVED = "combo_id int, sig_hash long, a_id string, b_id string, dead boolean"
+
+
+def incremental_pairs(signatures: DataFrame, cap: int) -> DataFrame:
+    """Links arriving records: of signatures (record_id, side 'a' or 'b', combo_id, sig_hash)
+    the pairs that each newcomer makes with those that were there before.
+
+    A signature's state is the records that have it, at most `cap` a side.  One that more
+    records share is dead from then on: a row says so, its state is emptied, and it makes no
+    more pairs, so state and work stay bounded per signature.  State lives in the stream's
+    checkpoint and survives a restart.
+    """
+
+    def meet(key, frames: Iterator[pd.DataFrame], state):
+        held, dead = ({"a": [], "b": []}, False)
+        if state.exists:
+            left, right, dead = state.get
+            held = {"a": list(left), "b": list(right)}
+        out = []
+        if not dead:
+            fresh = pd.concat(list(frames)).drop_duplicates(["record_id", "side"]).sort_values(["side", "record_id"])
+            for record, side in zip(fresh["record_id"], fresh["side"]):
+                if record in held[side]:
+                    continue
+                other = held["b" if side == "a" else "a"]
+                out += [(record, x) if side == "a" else (x, record) for x in other]
+                held[side].append(record)
+                if len(held[side]) > cap:
+                    out, held, dead = [(None, None)], {"a": [], "b": []}, True
+                    break
+            state.update((held["a"], held["b"], dead))
+        n = len(out)
+        yield pd.DataFrame({"combo_id": [int(key[0])] * n, "sig_hash": [int(key[1])] * n, "a_id": [x for x, _ in out], "b_id": [x for _, x in out], "dead": [dead] * n})
+
+    rows = signatures.select("combo_id", "sig_hash", F.col("record_id").cast("string").alias("record_id"), "side")
+    return rows.groupBy("combo_id", "sig_hash").applyInPandasWithState(meet, ARRIVED, "a array<string>, b array<string>, dead boolean", "update", "NoTimeout")
+
+
+def live_pairs(arrived: DataFrame) -> DataFrame:
+    """a_id, b_id, common of drained incremental_pairs: over signatures that did not die."""
+    dead = arrived.where("dead").select("combo_id", "sig_hash").distinct()
+    return arrived.where("NOT dead").join(dead, ["combo_id", "sig_hash"], "left_anti").groupBy("a_id", "b_id").agg(F.count(F.lit(1)).alias("common"))
