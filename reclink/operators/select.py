@@ -192,12 +192,26 @@ def select_combinations(
     return top_combinations({m: trace.scores[m] for m in trace.kept}, qids, n_a)
 
 
-def select_by_policies(df: DataFrame, qids: Sequence[Qid], policies: Sequence[str], n_a: int = 5, **options) -> dict[str, list[Combo]]:
-    """The n_a best combinations under each subset policy, from one look at the data."""
+def passing_masks(scores: dict[int, tuple[float, float, float]], c_t: float, width: int, min_size: int = 2) -> dict[int, float]:
+    """What the level loop keeps at c_t, of scores that it found at c_t or below."""
+    kept: dict[int, float] = {}
+    for m in sorted(scores, key=int.bit_count):
+        parts = [m ^ 1 << i for i in range(width) if m >> i & 1]
+        if scores[m][2] >= c_t - EPSILON and (m.bit_count() <= min_size or all(p in kept for p in parts)):
+            kept[m] = scores[m][2]
+    return kept
+
+
+def select_many(df: DataFrame, qids: Sequence[Qid], settings: Sequence[tuple[float, str]], n_a: int = 5, **options) -> dict[tuple[float, str], list[Combo]]:
+    """The n_a best combinations for each (c_t, subset policy), from one look at the data at
+    the smallest c_t."""
     trace = Selection()
-    select_combinations(df, qids, n_a, subset_policy="keep", trace=trace, **options)
-    scores = lambda policy: {m: trace.scores[m] for m in apply_policy(trace.kept, policy)}
-    return {policy: top_combinations(scores(policy), qids, n_a) for policy in policies}
+    select_combinations(df, qids, n_a, c_t=min(c for c, _ in settings), subset_policy="keep", trace=trace, **options)
+    out = {}
+    for c_t, policy in settings:
+        kept = apply_policy(passing_masks(trace.scores, c_t, len(qids)), policy)
+        out[c_t, policy] = top_combinations({m: trace.scores[m] for m in kept}, qids, n_a)
+    return out
 
 
 def random_combinations(qids: Sequence[Qid], n_a: int, seed: int, sizes: Sequence[int] | None = None) -> list[Combo]:

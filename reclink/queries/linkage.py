@@ -449,7 +449,7 @@ def _selected(name):
         a, b, truth = keep(pair.a, "a"), keep(pair.b, "b"), keep(pair.truth, "truth")
         both = a.select(*pair.attrs).unionByName(b.select(*pair.attrs))
         out = None
-        for policy, combos in select.select_by_policies(both, pair.qids, POLICIES, 5, c_t=0.6, max_size=3).items():
+        for (_, policy), combos in select.select_many(both, pair.qids, [(0.6, p) for p in POLICIES], 5, max_size=3).items():
             found = match.link(a, b, pair.qids, pair.rules, combos, pair.settings)
             names = ";".join(",".join(c.attrs) for c in combos)
             about = [F.lit(policy).alias("policy"), F.lit(a.count()).alias("records_a"), F.lit(b.count()).alias("records_b"), F.lit(names).alias("combinations")]
@@ -471,9 +471,9 @@ def wl_w8(spark, sf_dir):
     p = _w4(spark, sf_dir)
     a, b, truth = keep(p.a, "a"), keep(p.b, "b"), keep(p.truth, "truth")
     both = keep(a.select(*p.attrs).unionByName(b.select(*p.attrs)), "union")
-    runs = [("c_t", c, select.select_combinations(both, p.qids, 5, c_t=c, max_size=3), 0.5) for c in (0.5, 0.7, 0.9)]
-    ranked = select.select_combinations(both, p.qids, 10, c_t=0.5, max_size=3)
-    runs += [("n_a", n, ranked[:n], 0.5) for n in (1, 2, 5, 10)]
+    ranked = select.select_many(both, p.qids, [(c, "drop") for c in (0.5, 0.7, 0.9)], 10, max_size=3)
+    runs = [("c_t", c, combos[:5], 0.5) for (c, _), combos in ranked.items()]
+    runs += [("n_a", n, ranked[0.5, "drop"][:n], 0.5) for n in (1, 2, 5, 10)]
     runs += [("random", i, select.random_combinations(p.qids, 5, i), 0.5) for i in (1, 2, 3)]
     runs += [("p_t", t, select.fixed_combinations(p.combos), t) for t in (0.5, 0.7, 0.9)]
     done, rows = {}, []
