@@ -109,9 +109,9 @@ def sig_salted(spark, sf_dir):
     return signatures.salted_signatures(signatures.attribute_signatures(gaps(spark, sf_dir), VQ, VC), "secret")
 
 
-@query("SELECT 'x' AS v, sha256('kx') AS digest")
+@query("SELECT c_custkey, sha256('k' || c_name) AS digest FROM customer")
 def fn_salted(spark, sf_dir):
-    return spark.range(1).select(F.lit("x").alias("v"), salted(F.lit("x"), "k").alias("digest"))
+    return spark.read.parquet(f"{sf_dir}/customer.parquet").select("c_custkey", salted(F.col("c_name"), "k").alias("digest"))
 
 
 # ---------------------------------------------------------------- relations

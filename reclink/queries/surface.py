@@ -635,9 +635,22 @@ def lay_repartition(spark, d):
     return customer(spark, d).repartition(8, "c_nationkey").sortWithinPartitions("c_nationkey").groupBy("c_nationkey").agg(F.count(F.lit(1)).alias("n"))
 
 
-@query("SELECT c_nationkey, count(*) AS n FROM customer GROUP BY 1")
+@query("SELECT c_custkey, c_nationkey FROM customer WHERE c_acctbal > 0")
 def lay_checkpoint(spark, d):
-    return keep(customer(spark, d).groupBy("c_nationkey").agg(F.count(F.lit(1)).alias("n")), "checkpoint")
+    """A step that is written and read back, so that later plans start from its files."""
+    return keep(customer(spark, d).where("c_acctbal > 0").select("c_custkey", "c_nationkey"), "checkpoint")
+
+
+@query("SELECT count(*) AS orders, max(o_totalprice) AS most, count(DISTINCT o_custkey) AS customers FROM orders")
+def lay_observe(spark, d):
+    """Counters that a job observes on its way, beside its own result."""
+    from pyspark.sql import Observation
+
+    seen = Observation("orders")
+    watched = orders(spark, d).observe(seen, F.count(F.lit(1)).alias("orders"), F.max("o_totalprice").alias("most"))
+    customers = watched.agg(F.count_distinct("o_custkey").alias("customers")).first()["customers"]
+    found = seen.get
+    return spark.createDataFrame([(found["orders"], float(found["most"]), customers)], "orders long, most double, customers long")
 
 
 @query()
@@ -686,7 +699,10 @@ def st_session(spark, d):
     return rows.select("user_id", _stamp(C("session_window.start")).alias("start"), "n")
 
 
-@query()
+@query(
+    f"""WITH e AS (SELECT CASE WHEN event_id % 20 = 0 THEN ts - INTERVAL 3 DAYS ELSE ts END AS t FROM events), w AS (SELECT date_trunc('hour', t) AS st, count(*) AS n FROM e GROUP BY 1)
+    SELECT {STAMP.format('st')} AS start, n FROM w WHERE st + INTERVAL 1 HOUR <= (SELECT max(t) FROM e) - INTERVAL 1 HOUR"""
+)
 def st_watermark_late(spark, d):
     """Windows that a watermark has closed, emitted once each."""
     late = streams.events(spark, d).withColumn("ts", F.when(C("event_id") % 20 == 0, C("ts") - F.expr("INTERVAL 3 DAYS")).otherwise(C("ts")))
@@ -699,6 +715,13 @@ def st_dedup(spark, d):
     return streams.drain(streams.events(spark, d).select("user_id", "event_type").dropDuplicates(["user_id", "event_type"]))
 
 
+@query("SELECT DISTINCT user_id, event_type FROM events")
+def st_dedup_watermark(spark, d):
+    """First arrivals only, with state that a watermark of a year bounds."""
+    stream = streams.events(spark, d).select("user_id", "event_type", "ts").withWatermark("ts", "366 days")
+    return streams.drain(stream.dropDuplicatesWithinWatermark(["user_id", "event_type"])).select("user_id", "event_type")
+
+
 @query("SELECT event_id, c_name FROM events JOIN customer ON user_id = c_custkey")
 def st_stream_static(spark, d):
     return streams.drain(streams.events(spark, d).join(customer(spark, d), C("user_id") == C("c_custkey")).select("event_id", "c_name"))
