@@ -238,11 +238,11 @@ def labelled_table(pages: int = 26, seed: int = 11) -> tuple[np.ndarray, np.ndar
             def put(words, links=0.0, main=0, name=_PLAIN, heading=0, listed=0, label=0):
                 rows.append((words, links, main, name, heading, listed, label))
 
-            if number % 13 == 12:  # a short page that is nothing but its text
-                if rng.random() < 0.3:
-                    put(rng.randint(1, 2), 1.0, 0, menu)
-                for _ in range(rng.randint(1, 2)):
-                    put(rng.randint(2, 12), 0.0, level, _PLAIN, label=1)
+            if number % 5 == 4:  # a short page: its text, and a few links before it at most
+                for _ in range(rng.choice((0, 0, 1, 2, 4))):
+                    put(rng.randint(1, 2), 1.0, 0, menu, listed=rng.randint(0, 1))
+                for _ in range(rng.choice((1, 2, 2, 3))):
+                    put(rng.choice((rng.randint(2, 12), 20, 40, 80)), 0.0, level, _PLAIN, label=1)
             else:
                 inner = lambda name: level if name and rng.random() < 0.5 else 0  # noqa: E731  named furniture may stand inside the main part
                 if number % 4 != 1:
@@ -250,7 +250,7 @@ def labelled_table(pages: int = 26, seed: int = 11) -> tuple[np.ndarray, np.ndar
                         put(rng.randint(1, 2), 1.0, 0, menu, listed=1)
                 if number % 3 != 2:
                     put(rng.randint(3, 14), rng.choice((0.0, 0.0, 0.3)), 0, notice)
-                if number % 5 == 4:
+                if number % 5 == 3:
                     put(rng.randint(15, 30), 0.1, 0, max(notice, menu))
                 put(rng.randint(2, 25), 0.0, level, _PLAIN, 1, label=1)
                 for _ in range(rng.choice((2, 3, 5, 8, 12, 30))):
