@@ -113,9 +113,7 @@ def _papers(where: str, missing: tuple[float, float]) -> Ctes:
     first = lambda cond: f"SELECT * FROM pub p WHERE ({cond}) AND CAST(record_id AS BIGINT) = (SELECT min(CAST(o.record_id AS BIGINT)) FROM pub o WHERE o.entity_id = p.entity_id AND ({cond.replace('record_id', 'o.record_id').replace('source', 'o.source')}))"
     lose = ("authors", "venue", "year")
     c = Ctes(("pub", PUBLICATION), ("a0", first(where)), ("b0", RENAMED + f"({first(f'NOT ({where})')})"))
-    c.add("ga0", "SELECT record_id, unnest(runs) AS g FROM a0").add("gb0", "SELECT record_id, unnest(runs) AS g FROM b0")
-    c.add("rare", "SELECT g FROM (SELECT g FROM ga0 UNION ALL SELECT g FROM gb0) GROUP BY g HAVING count(*) < 50")
-    c.add("ga", "SELECT * FROM ga0 SEMI JOIN rare USING (g)").add("gb", "SELECT * FROM gb0 SEMI JOIN rare USING (g)")
+    c.add("ga", "SELECT record_id, unnest(runs) AS g FROM a0").add("gb", "SELECT record_id, unnest(runs) AS g FROM b0")
     c.add("common", "SELECT ga.record_id AS a_id, gb.record_id AS b_id, count(*) AS m FROM ga JOIN gb USING (g) GROUP BY ALL")
     c.add("truth", "SELECT a_id, b_id FROM common JOIN (SELECT record_id AS a_id, count(*) AS na FROM ga GROUP BY 1) USING (a_id) JOIN (SELECT record_id AS b_id, count(*) AS nb FROM gb GROUP BY 1) USING (b_id) WHERE 2 * m >= na + nb - m")
     return c.add("a", mcar("a0", lose, missing[0], 2, "mcar-a")).add("b", mcar("b0", lose, missing[1], 2, "mcar-b"))
