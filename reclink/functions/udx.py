@@ -6,7 +6,8 @@ from collections.abc import Iterator
 
 import pandas as pd
 from pyspark.sql import functions as F
-from pyspark.sql.types import DoubleType, IntegerType, StringType, StructType
+from pyspark.sql.types import DoubleType, IntegerType, Row, StringType, StructType
+from pyspark.sql.udtf import AnalyzeArgument, AnalyzeResult
 
 
 def jaro(x: str, y: str) -> float:
@@ -75,3 +76,25 @@ class QGrams:
         if text is not None:
             for i in range(max(1, len(text) - q + 1)):
                 yield (text[i : i + q],)
+
+
+@F.udtf
+class CombinationRows:
+    """Signatures of any table's records, for combinations given as text ("given,family;street").
+    The key keeps its type; names that the table lacks are refused when the query is planned."""
+
+    @staticmethod
+    def analyze(rows: AnalyzeArgument, key: AnalyzeArgument, combos: AnalyzeArgument) -> AnalyzeResult:
+        if not rows.isTable or not key.isConstantExpression or not combos.isConstantExpression:
+            raise ValueError("a table, the name of its key and the combinations are needed")
+        asked = [key.value, *(a for combo in combos.value.split(";") for a in combo.split(","))]
+        missing = sorted(set(asked) - set(rows.dataType.fieldNames()))
+        if missing:
+            raise ValueError(f"the table has no column {', '.join(missing)}")
+        return AnalyzeResult(StructType().add(key.value, rows.dataType[key.value].dataType).add("combo_id", IntegerType()).add("sig", StringType()))
+
+    def eval(self, rows: Row, key: str, combos: str):
+        for k, combo in enumerate(combos.split(";"), 1):
+            values = [rows[a] for a in combo.split(",")]
+            if None not in values:
+                yield rows[key], k, "|".join(map(str, values))

@@ -170,6 +170,15 @@ class Stars:
         k = F.col("k")
         return self.of.join(rows.select("cls", ((k + t) / (k * (k + 1) / 2)).alias("density")), "cls").select("record_id", "density")
 
+    def counts(self) -> DataFrame:
+        """edges, triangles of the whole graph, in one row, from degrees and densities; no pair
+        is listed."""
+        k = F.col("degree")
+        among = F.round(F.col("density") * k * (k + 1) / 2 - k).cast("long")
+        rows = self.degree().join(self.density(), "record_id")
+        n = lambda c, part: F.coalesce((F.sum(c) / part).cast("long"), F.lit(0).cast("long"))
+        return rows.agg(n(k, 2).alias("edges"), n(among, 3).alias("triangles"))
+
     def mean_degree(self) -> DataFrame:
         """record_id, mean_degree: mean degree of the neighbours."""
         known = self.class_degrees()

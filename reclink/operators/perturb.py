@@ -7,6 +7,7 @@ engines get the same data.
 from __future__ import annotations
 
 from collections.abc import Callable, Sequence
+from itertools import combinations
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
@@ -20,22 +21,36 @@ def _hit(key: str, salt: str, share: float) -> Column:
     return portable(F.col(key), salt, THOUSAND) < round(share * THOUSAND)
 
 
-def _with_choice(df: DataFrame, salt: str, share: float, most: int, n: int, key: str) -> DataFrame:
-    """Adds _hit, _start and _count once, so the hashes are not computed for each attribute."""
-    return df.withColumns({"_hit": _hit(key, salt, share), "_start": portable(F.col(key), f"{salt}-o", n), "_count": 1 + portable(F.col(key), f"{salt}-k", most)})
+def picks(n: int, count: int, pick: str) -> list[int]:
+    """Sets of `count` of n attributes, as bit masks, of which a hashed one is hit: runs from
+    each attribute (`run`), or all sets of that size (`any`)."""
+    if pick == "run":
+        return [sum(1 << (start + k) % n for k in range(count)) for start in range(n)]
+    return [sum(1 << j for j in own) for own in combinations(range(n), count)]
 
 
-def _chosen(j: int, n: int) -> Column:
-    """Whether attribute j of n is among the 1..most ones picked for a hit record: a run of
-    attributes from a hashed start."""
-    return F.col("_hit") & ((F.lit(j) - F.col("_start") + n) % n < F.col("_count"))
+def _with_choice(df: DataFrame, salt: str, share: float, most: int, n: int, key: str, pick: str = "run") -> DataFrame:
+    """Adds _hit and _mask, the 1..most attributes picked for a record, once, so the hashes are
+    not computed for each attribute."""
+    count, place = portable(F.col(key), f"{salt}-k", most), portable(F.col(key), f"{salt}-o", n if pick == "run" else 1 << 30)
+    masks = [picks(n, k, pick) for k in range(1, most + 1)]
+    found = F.lit(0)
+    for k, own in enumerate(masks):
+        found = F.when(F.col("_count") == k, F.get(F.array(*[F.lit(m) for m in own]), (F.col("_place") % len(own)).cast("int"))).otherwise(found)
+    rows = df.withColumns({"_hit": _hit(key, salt, share), "_count": count, "_place": place})
+    return rows.withColumn("_mask", found).drop("_count", "_place")
 
 
-def inject_mcar(df: DataFrame, attrs: Sequence[str], share: float, max_missing: int, salt: str = "mcar", key: str = "record_id") -> DataFrame:
-    """Completely at random: 1..max_missing of attrs are lost in a share of the records."""
+def _chosen(j: int) -> Column:
+    """Whether attribute j is among those picked for a hit record."""
+    return F.col("_hit") & (F.col("_mask").bitwiseAND(F.lit(1 << j)) != 0)
+
+
+def inject_mcar(df: DataFrame, attrs: Sequence[str], share: float, max_missing: int, salt: str = "mcar", key: str = "record_id", pick: str = "run") -> DataFrame:
+    """Completely at random: 1..max_missing of attrs (see picks) are lost in a share of the records."""
     n = len(attrs)
-    rows = _with_choice(df, salt, share, min(max_missing, n), n, key)
-    return rows.withColumns({a: F.when(~_chosen(j, n), F.col(a)) for j, a in enumerate(attrs)}).drop("_hit", "_start", "_count")
+    rows = _with_choice(df, salt, share, min(max_missing, n), n, key, pick)
+    return rows.withColumns({a: F.when(~_chosen(j), F.col(a)) for j, a in enumerate(attrs)}).drop("_hit", "_mask")
 
 
 def inject_mar(df: DataFrame, attr: str, by: str, share_by_value: dict[str, float], salt: str = "mar", key: str = "record_id") -> DataFrame:
@@ -75,16 +90,30 @@ def _damaged(v: Column, place: Column, op: Column) -> Column:
     return out
 
 
-def corrupt(df: DataFrame, attrs: Sequence[str], share: float = 0.2, most: int = 3, salt: str = "cor", key: str = "record_id") -> DataFrame:
-    """1..most of attrs are damaged in a share of the records: delete, insert, substitute,
+def corrupt(df: DataFrame, attrs: Sequence[str], share: float = 0.2, most: int = 3, salt: str = "cor", key: str = "record_id", pick: str = "run") -> DataFrame:
+    """1..most of attrs (see picks) are damaged in a share of the records: delete, insert, substitute,
     transpose, abbreviate, drop the last word, swap like-sounding letters."""
     n = len(attrs)
-    rows = _with_choice(df, salt, share, min(most, n), n, key)
-    places = {f"_p{j}": F.when(_chosen(j, n), (1 + portable(F.col(key), f"{salt}-p-{a}", 97) % F.greatest(F.length(a), F.lit(1))).cast("int")) for j, a in enumerate(attrs)}
-    ops = {f"_o{j}": F.when(_chosen(j, n), portable(F.col(key), f"{salt}-op-{a}", 7)) for j, a in enumerate(attrs)}
+    rows = _with_choice(df, salt, share, min(most, n), n, key, pick)
+    places = {f"_p{j}": F.when(_chosen(j), (1 + portable(F.col(key), f"{salt}-p-{a}", 97) % F.greatest(F.length(a), F.lit(1))).cast("int")) for j, a in enumerate(attrs)}
+    ops = {f"_o{j}": F.when(_chosen(j), portable(F.col(key), f"{salt}-op-{a}", 7)) for j, a in enumerate(attrs)}
     rows = rows.withColumns(places | ops)
     changed = {a: F.when(F.col(f"_o{j}").isNull(), F.col(a)).otherwise(_damaged(F.col(a), F.col(f"_p{j}"), F.col(f"_o{j}"))) for j, a in enumerate(attrs)}
-    return rows.withColumns(changed).drop("_hit", "_start", "_count", *places, *ops)
+    return rows.withColumns(changed).drop("_hit", "_mask", *places, *ops)
+
+
+def shift_dates(df: DataFrame, attrs: Sequence[str], share: float = 0.2, most_days: int = 31, salt: str = "day", key: str = "record_id") -> DataFrame:
+    """Dates (yyyy-MM-dd) of a share of the records move by 1..most_days days, forward or
+    back; what is no such date stays, and so does a missing value."""
+    moved = {}
+    for a in attrs:
+        days = 1 + portable(F.col(key), f"{salt}-n-{a}", most_days)
+        days = F.when(portable(F.col(key), f"{salt}-sign-{a}", 2) == 0, days).otherwise(-days).cast("int")
+        # a pattern, as parsing also takes years or months alone
+        there = F.when(F.col(a).rlike(r"^[0-9]{4}-[0-9]{2}-[0-9]{2}$"), F.expr(f"try_cast(`{a}` AS date)"))
+        new = F.date_format(F.date_add(there, days), "yyyy-MM-dd")
+        moved[a] = F.when(_hit(key, f"{salt}-{a}", share), F.coalesce(new, F.col(a))).otherwise(F.col(a))
+    return df.withColumns(moved)
 
 
 def drift(df: DataFrame, rates: dict[str, float], donors: int = 1024, salt: str = "drift", key: str = "record_id") -> DataFrame:

@@ -68,7 +68,7 @@ def score(s_c: float, s_g: float, alpha: float) -> float:
 
 
 def level_sums(df: DataFrame, qids: Sequence[Qid], masks: Sequence[int]) -> DataFrame:
-    """mask, sf, sff of several combinations in one job.
+    """mask, sf, sff and the number of groups of several combinations in one job.
 
     Tokens are hashed to 64 bits before the shuffle; a rolled-up column and a missing value
     look alike in a grouping set, so rows missing one of a set's attributes are dropped by
@@ -79,7 +79,7 @@ def level_sums(df: DataFrame, qids: Sequence[Qid], masks: Sequence[int]) -> Data
     expanded = rows.select("*", F.explode(F.array(*[F.lit(m) for m in masks])).alias("mask")).where(F.col("nulls").bitwiseAND(F.col("mask")) == 0)
     kept = [F.when(F.col("mask").bitwiseAND(F.lit(1 << i)) != 0, F.col(f"h{i}")).alias(f"h{i}") for i in range(len(qids))]
     groups = expanded.select("mask", *kept).groupBy("mask", *[f"h{i}" for i in range(len(qids))]).agg(F.count(F.lit(1)).alias("f"))
-    return groups.groupBy("mask").agg(F.sum("f").alias("sf"), F.sum(F.col("f").cast("double") * F.col("f")).alias("sff"))
+    return groups.groupBy("mask").agg(F.sum("f").alias("sf"), F.sum(F.col("f").cast("double") * F.col("f")).alias("sff"), F.count(F.lit(1)).alias("groups"))
 
 
 def grouping_sets_sums(df: DataFrame, qids: Sequence[Qid], masks: Sequence[int]) -> DataFrame:
@@ -140,10 +140,12 @@ def top_combinations(kept: dict[int, tuple[float, float, float]], qids: Sequence
 
 
 class Selection:
-    """What a selection looked at: scores by mask, masks of each level, kept masks."""
+    """What a selection looked at: scores by mask, groups of each mask (of exact sums), masks
+    of each level, kept masks."""
 
     def __init__(self):
         self.scores: dict[int, tuple[float, float, float]] = {}
+        self.groups: dict[int, int] = {}
         self.levels: list[set[int]] = []
         self.kept: dict[int, float] = {}
 
@@ -177,7 +179,9 @@ def select_combinations(
             for at in range(0, len(todo), BATCH):
                 batch = todo[at : at + BATCH]
                 if estimator == "exact":
-                    squares = {r["mask"]: r["sff"] / total**2 for r in level_sums(df, qids, batch).collect()}
+                    sums = level_sums(df, qids, batch).collect()
+                    squares = {r["mask"]: r["sff"] / total**2 for r in sums}
+                    trace.groups |= dict.fromkeys(batch, 0) | {r["mask"]: r["groups"] for r in sums}
                 else:
                     squares = estimated_sums(df, qids, batch, estimator)
                 for m in batch:

@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from collections.abc import Sequence
+from itertools import combinations
 
 from reclink.queries import workloads as w
 
@@ -25,7 +26,11 @@ def h(key: str, salt: str, modulus: int) -> str:
     return f"(CAST('0x' || substr(md5({key} || '|{salt}'), 1, 8) AS BIGINT) % {modulus})"
 
 
-def _chosen(key: str, salt: str, most: int, n: int, j: int) -> str:
+def _chosen(key: str, salt: str, most: int, n: int, j: int, pick: str = "run") -> str:
+    if pick == "any":
+        sets = ["[" + ", ".join(str(sum(1 << i for i in own)) for own in combinations(range(n), k)) + "]" for k in range(1, most + 1)]
+        own = f"([{', '.join(sets)}])[1 + {h(key, salt + '-k', most)}]"
+        return f"({own}[1 + {h(key, salt + '-o', 1 << 30)} % len({own})] & {1 << j}) > 0"
     return f"(({j} - {h(key, salt + '-o', n)} + {n}) % {n}) < 1 + {h(key, salt + '-k', most)}"
 
 
@@ -40,7 +45,7 @@ def mcar(table: str, attrs: Sequence[str], share: float, most: int, salt: str =
     return replace(table, {a: f"CASE WHEN NOT ({hit(j)}) THEN {a} END" for j, a in enumerate(attrs)})
 
 
-def corrupt(table: str, attrs: Sequence[str], share: float = 0.2, most: int = 3, salt: str = "cor") -> str:
+def corrupt(table: str, attrs: Sequence[str], share: float = 0.2, most: int = 3, salt: str = "cor", pick: str = "run") -> str:
     n, key, out = len(attrs), "record_id", {}
     for j, a in enumerate(attrs):
         p = f"(1 + {h(key, f'{salt}-p-{a}', 97)} % greatest(length({a}), 1))"
@@ -49,11 +54,20 @@ def corrupt(table: str, attrs: Sequence[str], share: float = 0.2, most: int = 3,
             f"substr({a}, 1, {p} - 1) || substr({a}, {p} + 1, 1) || substr({a}, {p}, 1) || substr({a}, {p} + 2)", f"substr({a}, 1, 1)", f"regexp_replace({a}, ' [^ ]*$', '')", f"translate({a}, 'cgi', 'kjy')",
         ]
         body = " ".join(f"WHEN {i} THEN {c}" for i, c in enumerate(cases))
-        hit = f"{h(key, salt, 1000)} < {round(share * 1000)} AND {_chosen(key, salt, min(most, n), n, j)}"
+        hit = f"{h(key, salt, 1000)} < {round(share * 1000)} AND {_chosen(key, salt, min(most, n), n, j, pick)}"
         out[a] = f"CASE WHEN {a} IS NOT NULL AND {hit} THEN CASE {h(key, f'{salt}-op-{a}', 7)} {body} END ELSE {a} END"
     return replace(table, out)
 
 
+def shift_dates(table: str, attrs: Sequence[str], share: float = 0.2, most_days: int = 31, salt: str = "day") -> str:
+    key, out = "record_id", {}
+    for a in attrs:
+        days = f"CAST(CASE WHEN {h(key, f'{salt}-sign-{a}', 2)} = 0 THEN 1 ELSE -1 END * (1 + {h(key, f'{salt}-n-{a}', most_days)}) AS INTEGER)"
+        new = f"CASE WHEN regexp_matches({a}, '^[0-9]{{4}}-[0-9]{{2}}-[0-9]{{2}}$') THEN strftime(TRY_CAST({a} AS DATE) + {days}, '%Y-%m-%d') END"
+        out[a] = f"CASE WHEN {h(key, f'{salt}-{a}', 1000)} < {round(share * 1000)} THEN coalesce({new}, {a}) ELSE {a} END"
+    return replace(table, out)
+
+
 def drift(table: str, rates: dict[str, float], donors: int = 1024, salt: str = "drift") -> str:
     pool = f"SELECT {h('record_id', salt + '-donor', donors)} AS bk, " + ", ".join(f"min_by({a}, record_id) AS {a}" for a in rates) + f" FROM {table} GROUP BY 1"
     new = {a: f"CASE WHEN {h('t.record_id', f'{salt}-{a}', 1000)} < {round(r * 1000)} THEN coalesce(p_{a}.{a}, t.{a}) ELSE t.{a} END" for a, r in rates.items()}

@@ -54,6 +54,17 @@ def pt_corrupt(spark, sf_dir):
     return perturb.corrupt(views.person(spark, sf_dir), VOTER).select("record_id", *VOTER)
 
 
+@query(_person().add("d", s.corrupt("person", VOTER, pick="any")).then(f"SELECT {_columns(VOTER)} FROM d"))
+def pt_corrupt_any(spark, sf_dir):
+    """Any one to three attributes are damaged, not a run of them."""
+    return perturb.corrupt(views.person(spark, sf_dir), VOTER, pick="any").select("record_id", *VOTER)
+
+
+@query(_person().add("d", s.shift_dates("person", ("birth",))).then("SELECT record_id, birth FROM d"))
+def pt_shift_dates(spark, sf_dir):
+    return perturb.shift_dates(views.person(spark, sf_dir), ("birth",)).select("record_id", "birth")
+
+
 @query(_person().add("d", s.drift("person", w.VOTER_RATES)).then(f"SELECT {_columns(VOTER)} FROM d"))
 def pt_drift(spark, sf_dir):
     return perturb.drift(views.person(spark, sf_dir), w.VOTER_RATES).select("record_id", *VOTER)

@@ -203,6 +203,15 @@ def feat_density(spark, sf_dir):
     return graph.Stars(_mixed(spark, sf_dir)).density().select("record_id", F.round("density", 6).alias("density"))
 
 
+@query(
+    _mixed_sql()
+    .add("t", "SELECT count(*) AS n FROM e x JOIN e y ON x.record_id = y.record_id JOIN e z ON z.record_id = x.neighbour AND z.neighbour = y.neighbour")
+    .then("SELECT (SELECT count(*) FROM e) // 2 AS edges, (SELECT n FROM t) // 6 AS triangles")
+)
+def ev_counters_graph(spark, sf_dir):
+    return graph.Stars(_mixed(spark, sf_dir)).counts()
+
+
 def _neighbour_sigs() -> s.Ctes:
     c = s.signatures(s.Ctes(("a", s.PERSON)), "a", w.VOTER_COMBOS, 8)
     return s.edges(c, "a", "w4").add("n", "SELECT DISTINCT e.record_id, s.combo_id, s.sig FROM ea e JOIN sa s ON s.record_id = e.neighbour")
@@ -437,6 +446,25 @@ for _name in w.PAIRS:
     query(s.matched(_name).then(s.accuracy()), f"wl_{_name}")(_workload(_name))
 
 
+_IN_WAVE = "SELECT p.wave, count(*) AS {n} FROM {pairs} x JOIN person p ON p.record_id = x.a_id GROUP BY ALL"
+
+
+@query(
+    s.matched("w3").add("pw", _IN_WAVE.format(n="predicted", pairs="matches")).add("tw", _IN_WAVE.format(n="true_pairs", pairs="truth"))
+    .add("hw", _IN_WAVE.format(n="tp", pairs="(SELECT a_id, b_id FROM matches SEMI JOIN truth USING (a_id, b_id))"))
+    .then("SELECT wave, true_pairs, coalesce(predicted, 0) AS predicted, coalesce(tp, 0) AS tp, round(CAST(tp AS DOUBLE) / predicted, 6) AS precision, round(coalesce(CAST(tp AS DOUBLE), 0) / true_pairs, 6) AS recall FROM tw LEFT JOIN pw USING (wave) LEFT JOIN hw USING (wave)")
+)
+def wl_w3_waves(spark, sf_dir):
+    """Precision and recall of the census linkage in each wave."""
+    pair = w.PAIRS["w3"](spark, sf_dir)
+    wave = pair.a.select(F.col("record_id").alias("a_id"), "wave")
+    one = F.lit(1)
+    found = linked(pair).pairs.select("a_id", "b_id", one.alias("p")).join(pair.truth.select("a_id", "b_id", one.alias("t")), ["a_id", "b_id"], "full")
+    rows = found.join(wave, "a_id").groupBy("wave").agg(F.count("t").alias("true_pairs"), F.count("p").alias("predicted"), F.count(F.col("t") + F.col("p")).alias("tp"))
+    ratio = lambda n: F.round(F.try_divide(F.col("tp").cast("double"), F.col(n)), 6)
+    return rows.where("true_pairs > 0").select("*", ratio("predicted").alias("precision"), ratio("true_pairs").alias("recall"))
+
+
 POLICIES = ("drop", "keep")
 
 

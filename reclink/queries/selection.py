@@ -86,6 +86,28 @@ def sel_levels(spark, sf_dir):
     return spark.createDataFrame(rows, "level int, attrs string")
 
 
+def _counted() -> str:
+    c = _levels()
+    seen = ["SELECT 2 AS level, mask, s_c FROM sc WHERE k = 2"]
+    seen += [f"SELECT {k} AS level, mask, s_c FROM sc x WHERE k = {k} AND (SELECT count(*) FROM p{k - 1} p WHERE p.mask & x.mask = p.mask) = {k}" for k in range(3, 7)]
+    groups = []
+    for m in (m for m in range(1, 64) if m.bit_count() >= 2):
+        own = [a for i, a in enumerate(VOTER) if m >> i & 1]
+        groups.append(f"SELECT {m} AS mask, count(*) AS groups FROM (SELECT 1 FROM d WHERE {' AND '.join(f'{a} IS NOT NULL' for a in own)} GROUP BY {', '.join(own)})")
+    c.add("seen", " UNION ALL ".join(seen)).add("grouped", " UNION ALL ".join(groups))
+    return c.then(f"SELECT level, count(*) AS combinations, CAST(sum(groups) AS BIGINT) AS groups FROM seen JOIN grouped USING (mask) WHERE s_c >= {C_T - 1e-9} GROUP BY level")
+
+
+@query(_counted())
+def ev_counters_levels(spark, sf_dir):
+    """Combinations that each level scores, and the groups that it forms for them."""
+    trace = select.Selection()
+    select.select_combinations(keep(gaps(spark, sf_dir)), QIDS, alpha=ALPHA, c_t=C_T, trace=trace)
+    looked = [[m for m in level if m in trace.groups] for level in trace.levels]
+    rows = [(k, len(masks), sum(trace.groups[m] for m in masks)) for k, masks in enumerate(looked, 2) if masks]
+    return spark.createDataFrame(rows, "level int, combinations long, groups long")
+
+
 @query(_fresh().add("sc", _scores(low=3, high=3)).then(f"SELECT {NAME} AS attrs, round(s_c, 6) AS s_c FROM sc"))
 def sel_level_grouping_sets(spark, sf_dir):
     d = gaps(spark, sf_dir)

@@ -601,6 +601,14 @@ def udtf_signatures(spark, d):
     return spark.sql("SELECT combo_id, count(*) AS n, count(DISTINCT sig) AS u FROM v_gappy, LATERAL signature_rows(given, family, street) GROUP BY combo_id")
 
 
+@query(s.Ctes(*GAPPY.parts).then("SELECT * FROM (SELECT record_id, CAST(1 AS INTEGER) AS combo_id, given || '|' || family AS sig FROM d UNION ALL SELECT record_id, 2, middle || '|' || city || '|' || zip FROM d) WHERE sig IS NOT NULL"))
+def udtf_planned(spark, d):
+    """A table function that plans its columns from the table it gets."""
+    spark.udtf.register("combination_rows", udx.CombinationRows)
+    _gappy(spark, d).createOrReplaceTempView("v_gappy")
+    return spark.sql("SELECT * FROM combination_rows(TABLE(v_gappy), 'record_id', 'given,family;middle,city,zip')")
+
+
 @query("SELECT p_partkey, unnest(list_transform(range(1, greatest(length(p_name) - 1, 2)), lambda i: substr(p_name, i, 3))) AS gram FROM part")
 def udtf_qgrams(spark, d):
     spark.udtf.register("q_grams", udx.QGrams)
