@@ -91,3 +91,23 @@ def test_repeated_ids_are_refused(spark):
     a = spark.createDataFrame([("1", "x"), ("1", "y")], "record_id string, given string")
     with pytest.raises(ValueError, match="occurs 2 times"):
         match.link(a, a, [Qid("given")], [Rule.group("given")], select.fixed_combinations([("given",)]))
+
+
+def test_neighbourhoods_are_counted_without_listing_pairs(spark, monkeypatch):
+    """Records of many classes in one group: neither pairs nor triples of classes are made."""
+    rng = random.Random(5)
+    names = [f"r{i}" for i in range(120)]
+    groups = {"title": set(names[:100])}
+    for name in names:
+        for word in rng.sample(range(60), 2):
+            groups.setdefault(f"word{word}", set()).add(name)
+    near = _plain(groups)
+    for name in ("edges", "triangles"):
+        monkeypatch.setattr(graph, name, lambda *a, **b: pytest.fail("pairs of classes were listed"))
+    stars = graph.Stars(_members(spark, groups))
+    got = lambda df: {r[0]: r[1] for r in df.collect()}
+    t = {r: sum(y in near[x] for x in n for y in n if x < y) for r, n in near.items()}
+    assert got(stars.degree()) == {r: len(n) for r, n in near.items()}
+    assert got(stars.mean_degree()) == pytest.approx({r: sum(len(near[x]) for x in n) / len(n) for r, n in near.items()})
+    assert got(stars.density()) == pytest.approx({r: (len(n) + t[r]) / (len(n) * (len(n) + 1) / 2) for r, n in near.items()})
+    assert tuple(stars.counts().first()) == (sum(len(n) for n in near.values()) // 2, sum(t.values()) // 3)
