@@ -11,8 +11,9 @@ from functools import reduce
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from reclink.operators.match import candidate_pairs
+from reclink.operators.match import candidate_pairs, meet, signature_sets
 from reclink.plans.planner import refuse_cartesian
+from reclink.sources import store
 
 MISSING, DISAGREE, PARTIAL, AGREE = -1, 0, 1, 2
 
@@ -45,7 +46,23 @@ def blocked_pairs(a: DataFrame, b: DataFrame, block: str = "signature", keys: Se
 
 def compared(a: DataFrame, b: DataFrame, pairs: DataFrame, attrs: Sequence[str], cut: float = 0.8, partial: float | None = None) -> DataFrame:
     """a_id, b_id and l_<attr> levels."""
-    left = a.select(F.col("record_id").alias("a_id"), *[F.col(c).cast("string").alias(f"a_{c}") for c in attrs])
-    right = b.select(F.col("record_id").alias("b_id"), *[F.col(c).cast("string").alias(f"b_{c}") for c in attrs])
-    rows = pairs.select("a_id", "b_id").join(left, "a_id").join(right, "b_id")
+    rows = pairs.select("a_id", "b_id").join(_values(a, "a", attrs, "a_id"), "a_id").join(_values(b, "b", attrs, "b_id"), "b_id")
+    return _levels(rows, attrs, cut, partial)
+
+
+def _values(df: DataFrame, side: str, attrs: Sequence[str], key: str = "record_id") -> DataFrame:
+    return df.select(F.col("record_id").alias(key), *[F.col(c).cast("string").alias(f"{side}_{c}") for c in attrs])
+
+
+def _levels(rows: DataFrame, attrs: Sequence[str], cut: float, partial: float | None) -> DataFrame:
     return rows.select("a_id", "b_id", *[level(F.col(f"a_{c}"), F.col(f"b_{c}"), cut, partial).alias(f"l_{c}") for c in attrs])
+
+
+def compared_candidates(a: DataFrame, b: DataFrame, sa: DataFrame, sb: DataFrame, attrs: Sequence[str], cut: float = 0.8, partial: float | None = None) -> DataFrame:
+    """`compared` over all pairs that share a kept signature, written.  Values travel with the
+    signatures, so that neither pairs nor whole databases are shuffled for them."""
+    left, right = (signature_sets(s, side, more=_values(df, side, attrs)) for s, df, side in ((sa, a, "a"), (sb, b, "b")))
+    levels = meet(left, right, lambda rows: _levels(rows, attrs, cut, partial))
+    levels = levels if store.is_kept(levels) else store.keep(levels, "levels")
+    store.release(left, right)
+    return levels

@@ -10,6 +10,7 @@ from pyspark.sql import functions as F
 
 from reclink.baselines import em
 from reclink.baselines.comparison import AGREE, MISSING
+from reclink.operators import evaluate
 from reclink.plans.planner import EPSILON
 
 CLAMP = 1e-6
@@ -18,11 +19,13 @@ CLAMP = 1e-6
 def estimate_mu(levels: DataFrame, truth: DataFrame, attrs: Sequence[str]) -> DataFrame:
     """attr, m, u: agreement rates among true and among other compared pairs, values present
     on both sides; clamped away from 0 and 1."""
-    marked = levels.join(truth.select("a_id", "b_id", F.lit(True).alias("match")), ["a_id", "b_id"], "left").withColumn("match", F.coalesce("match", F.lit(False)))
-    each = marked.select("match", F.explode(F.array(*[F.struct(F.lit(c).alias("attr"), F.col(f"l_{c}").alias("l")) for c in attrs])).alias("v")).select("match", "v.*").where(F.col("l") != MISSING)
-    agree = (F.col("l") == AGREE).cast("double")
+    named = [f"l_{c}" for c in attrs]
+    kinds = evaluate.marked_slices(levels, truth, lambda marked: marked.groupBy(F.col("hit").isNotNull().alias("match"), *named).agg(F.count(F.lit(1)).alias("n")))
+    each = kinds.select("match", "n", F.explode(F.array(*[F.struct(F.lit(c).alias("attr"), F.col(f"l_{c}").alias("l")) for c in attrs])).alias("v")).select("match", "n", "v.*").where(F.col("l") != MISSING)
     clamp = lambda c: F.least(F.greatest(F.coalesce(c, F.lit(0.5)), F.lit(CLAMP)), F.lit(1 - CLAMP))
-    return each.groupBy("attr").agg(clamp(F.avg(F.when(F.col("match"), agree))).alias("m"), clamp(F.avg(F.when(~F.col("match"), agree))).alias("u"))
+    agree = F.when(F.col("l") == AGREE, F.col("n")).otherwise(F.lit(0))
+    rate = lambda among: clamp(F.sum(F.when(among, agree)).cast("double") / F.sum(F.when(among, F.col("n"))))
+    return each.groupBy("attr").agg(rate(F.col("match")).alias("m"), rate(~F.col("match")).alias("u"))
 
 
 def mu_from_mixture(levels: DataFrame, attrs: Sequence[str], **options) -> dict[str, tuple[float, float]]:
