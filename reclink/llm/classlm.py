@@ -85,22 +85,45 @@ def most_frequent(words: DataFrame, most: int) -> tuple[np.ndarray, np.ndarray,
     return h[order], table["k"].to_numpy()[order].astype(np.int64), table["c"].to_numpy()[order], int(limit)
 
 
+class Spots:
+    """Places of hashes in a sorted array: by a table of their leading bits, and by search where
+    several of the array share these."""
+
+    def __init__(self, hashes: np.ndarray):
+        self.hashes = hashes
+        bits = max(8, len(hashes).bit_length() + 2)
+        self.shift = np.uint64(64 - bits)
+        lead = (hashes >> self.shift).astype(np.int64)
+        self.first, self.shared = np.zeros(1 << bits, np.int32), np.zeros(1 << bits, bool)
+        self.first[lead[::-1]] = np.arange(len(hashes))[::-1]
+        self.shared[lead[1:][lead[1:] == lead[:-1]]] = True
+
+    def of(self, h: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """(place, found or not) of each h."""
+        if not len(self.hashes) or not len(h):
+            return np.zeros(len(h), np.int64), np.zeros(len(h), bool)
+        lead = (h >> self.shift).astype(np.int64)
+        spot = self.first[lead].astype(np.int64)
+        hit = self.hashes[spot] == h
+        at = np.flatnonzero(self.shared[lead] & ~hit)
+        spot[at] = np.minimum(np.searchsorted(self.hashes, h[at]), len(self.hashes) - 1)
+        hit[at] = self.hashes[spot[at]] == h[at]
+        return spot, hit
+
+
 class Items:
     """Words to items: 0..n-1 frequent words by hash, then ending groups, then the end."""
 
     def __init__(self, hashes: np.ndarray):
         self.hashes = np.sort(hashes)
+        self.spots = Spots(self.hashes)
         self.first_group = len(self.hashes)
         self.end = self.first_group + ENDINGS
         self.size = self.end + 1
 
     def of(self, h: np.ndarray, groups: np.ndarray) -> np.ndarray:
-        out = groups + self.first_group
-        if len(self.hashes):
-            at = np.minimum(np.searchsorted(self.hashes, h), len(self.hashes) - 1)
-            hit = self.hashes[at] == h
-            out[hit] = at[hit]
-        return out
+        at, hit = self.spots.of(h)
+        return np.where(hit, at, groups + self.first_group)
 
     def sequence(self, data: np.ndarray, offsets: np.ndarray, hasher: SpanHasher):
         """Items and word hashes, with one end after each text."""
@@ -250,7 +273,7 @@ class Lines:
 
     def __init__(self, sent: dict):
         self.__dict__.update(sent)
-        self.hasher = SpanHasher(31)
+        self.hasher, self.spots = SpanHasher(31), Spots(self.hashes)
 
     def read(self, data: np.ndarray, offsets: np.ndarray):
         """(class, open or not, row of distinct open words or -1; all with one end after each
@@ -259,10 +282,7 @@ class Lines:
         starts, ends, first = word_spans(data, offsets)
         h, words, rows = self.hasher.spans(data, starts, ends), np.diff(first), len(offsets) - 1
         groups = _ending(data, starts, ends) if len(starts) else np.zeros(0, np.int64)
-        spot, hit = np.zeros(len(h), np.int64), np.zeros(len(h), bool)
-        if len(self.hashes) and len(h):
-            spot = np.minimum(np.searchsorted(self.hashes, h), len(self.hashes) - 1)
-            hit = self.hashes[spot] == h
+        spot, hit = self.spots.of(h)
         kind = self.endings[groups]
         kind[hit] = self.kinds[spot[hit]]
         free = np.zeros(len(h), bool) if self.complete else ~hit

@@ -85,3 +85,13 @@ def test_scores_against_a_plain_version(spark, frequent):
         want[i] = total
     got = {r["doc_id"]: r["score"] for r in classlm.score(spark.createDataFrame(rows, "doc_id long, text string"), model).collect()}
     assert got.keys() == want.keys() and all(abs(got[i] - want[i]) < 1e-6 for i in want)
+
+
+def test_places_by_leading_bits_equal_a_search():
+    rng = np.random.default_rng(1)
+    for n in (0, 1, 2, 50, 5000):
+        table = np.unique(np.concatenate([rng.integers(0, 1 << 64, n, dtype=np.uint64), rng.integers(0, 1 << 40, n, dtype=np.uint64)]))
+        asked = np.concatenate([table, rng.integers(0, 1 << 64, 1000, dtype=np.uint64), rng.integers(0, 1 << 40, 1000, dtype=np.uint64), table + np.uint64(1)])
+        spot, hit = classlm.Spots(table).of(asked)
+        assert (hit == np.isin(asked, table)).all()
+        assert (table[spot[hit]] == asked[hit]).all() if n else not hit.any()
