@@ -11,7 +11,7 @@ from functools import reduce
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from reclink.operators.match import candidate_pairs, meet, signature_sets
+from reclink.operators.match import candidate_pairs, meet, meeting, signature_sets
 from reclink.plans.planner import refuse_cartesian
 from reclink.sources import store
 
@@ -61,6 +61,7 @@ def _levels(rows: DataFrame, attrs: Sequence[str], cut: float, partial: float |
 def compared_candidates(a: DataFrame, b: DataFrame, sa: DataFrame, sb: DataFrame, attrs: Sequence[str], cut: float = 0.8, partial: float | None = None) -> DataFrame:
     """`compared` over all pairs that share a kept signature, written.  Values travel with the
     signatures, so that neither pairs nor whole databases are shuffled for them."""
+    sa, sb = meeting(sa, sb)
     left, right = (signature_sets(s, side, more=_values(df, side, attrs)) for s, df, side in ((sa, a, "a"), (sb, b, "b")))
     levels = meet(left, right, lambda rows: _levels(rows, attrs, cut, partial))
     levels = levels if store.is_kept(levels) else store.keep(levels, "levels")
