@@ -11,7 +11,9 @@ from functools import reduce
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from reclink.operators import pairing
 from reclink.operators.match import candidate_pairs, meet, meeting, signature_sets
+from reclink.plans.model import Combo, Qid, Settings
 from reclink.plans.planner import refuse_cartesian
 from reclink.sources import store
 
@@ -67,3 +69,20 @@ def compared_candidates(a: DataFrame, b: DataFrame, sa: DataFrame, sb: DataFrame
     levels = levels if store.is_kept(levels) else store.keep(levels, "levels")
     store.release(left, right)
     return levels
+
+
+def kinds_of(levels: DataFrame, attrs: Sequence[str]) -> DataFrame:
+    """match, l_<attr> and n: rows of the same, summed."""
+    return levels.groupBy("match", *[f"l_{c}" for c in attrs]).agg(F.sum("n").alias("n"))
+
+
+def compared_kinds(rows: pairing.Rows, qids: Sequence[Qid], combos: Sequence[Combo], attrs: Sequence[str], settings: Settings = Settings(), cut: float = 0.8, partial: float | None = None) -> DataFrame:
+    """match, l_<attr> and n: how many of all pairs that share a kept signature have these levels,
+    and are true or not: at most two times 4 to the power of the attributes rows, written."""
+    grouped = pairing.groups(rows, qids, combos, settings)
+    levels = [level(F.col(f"a_{c}"), F.col(f"b_{c}"), cut, partial).alias(f"l_{c}") for c in attrs]
+    count = lambda pairs: kinds_of(pairs.select((F.col("a_row") == F.col("b_row")).alias("match"), *levels, F.lit(1).alias("n")), attrs)
+    held = lambda i: rows.slices[i].select("row", *[F.col(f"{s}_{c}").cast("string").alias(f"{s}_{c}") for s in "ab" for c in attrs])
+    out = store.keep(kinds_of(pairing.counted(rows, pairing.pair_rows(grouped), {"shared": F.count(F.lit(1))}, held, count), attrs), "kinds")
+    store.release(grouped)
+    return out

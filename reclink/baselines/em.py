@@ -23,6 +23,11 @@ def patterns(levels: DataFrame, attrs: Sequence[str]) -> DataFrame:
     return levels.select(_pattern(attrs).alias("pattern")).groupBy("pattern").agg(F.count(F.lit(1)).alias("cnt"))
 
 
+def patterns_of_kinds(kinds: DataFrame, attrs: Sequence[str]) -> DataFrame:
+    """patterns of pairs counted by match and levels."""
+    return kinds.select(_pattern(attrs).alias("pattern"), "n").groupBy("pattern").agg(F.sum("n").alias("cnt"))
+
+
 def fit(rows: Sequence[tuple[str, int]], width: int, iterations: int = 50, tolerance: float = 1e-6, share: float = 0.05, least_m: Sequence[float] | None = None, prior: tuple[float, float] | None = None):
     """(posterior by pattern, match share, m, u).
 
@@ -62,8 +67,17 @@ def fit(rows: Sequence[tuple[str, int]], width: int, iterations: int = 50, toler
 
 def em_link(levels: DataFrame, attrs: Sequence[str], s_t: float = 0.8, **options) -> DataFrame:
     """a_id, b_id, s (posterior) of pairs at or above s_t."""
-    rows = [(r["pattern"], r["cnt"]) for r in patterns(levels, attrs).orderBy("pattern").collect()]
-    posterior, *_ = fit(rows, len(attrs), **options)
-    spark = levels.sparkSession
-    table = F.broadcast(spark.createDataFrame([(k, float(v)) for k, v in posterior.items()], "pattern string, s double"))  # at most 4**attrs rows
+    table = _posterior(patterns(levels, attrs), attrs, **options)
     return levels.select("a_id", "b_id", _pattern(attrs).alias("pattern")).join(table, "pattern").where(F.col("s") >= s_t - EPSILON).select("a_id", "b_id", "s")
+
+
+def em_link_of_kinds(kinds: DataFrame, attrs: Sequence[str], s_t: float = 0.8, **options) -> DataFrame:
+    """match, n and s of the pairs that em_link finds, of pairs counted by match and levels."""
+    table = _posterior(patterns_of_kinds(kinds, attrs), attrs, **options)
+    return kinds.select("match", "n", _pattern(attrs).alias("pattern")).join(table, "pattern").where(F.col("s") >= s_t - EPSILON).select("match", "n", "s")
+
+
+def _posterior(counted: DataFrame, attrs: Sequence[str], **options) -> DataFrame:
+    rows = [(r["pattern"], r["cnt"]) for r in counted.orderBy("pattern").collect()]
+    posterior, *_ = fit(rows, len(attrs), **options)
+    return F.broadcast(counted.sparkSession.createDataFrame([(k, float(v)) for k, v in posterior.items()], "pattern string, s double"))  # at most 4**attrs rows

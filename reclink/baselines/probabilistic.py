@@ -20,7 +20,11 @@ def estimate_mu(levels: DataFrame, truth: DataFrame, attrs: Sequence[str]) -> Da
     """attr, m, u: agreement rates among true and among other compared pairs, values present
     on both sides; clamped away from 0 and 1."""
     named = [f"l_{c}" for c in attrs]
-    kinds = evaluate.marked_slices(levels, truth, lambda marked: marked.groupBy(F.col("hit").isNotNull().alias("match"), *named).agg(F.count(F.lit(1)).alias("n")))
+    return mu_of_kinds(evaluate.marked_slices(levels, truth, lambda marked: marked.groupBy(F.col("hit").isNotNull().alias("match"), *named).agg(F.count(F.lit(1)).alias("n"))), attrs)
+
+
+def mu_of_kinds(kinds: DataFrame, attrs: Sequence[str]) -> DataFrame:
+    """estimate_mu of pairs counted by match and levels."""
     each = kinds.select("match", "n", F.explode(F.array(*[F.struct(F.lit(c).alias("attr"), F.col(f"l_{c}").alias("l")) for c in attrs])).alias("v")).select("match", "n", "v.*").where(F.col("l") != MISSING)
     clamp = lambda c: F.least(F.greatest(F.coalesce(c, F.lit(0.5)), F.lit(CLAMP)), F.lit(1 - CLAMP))
     agree = F.when(F.col("l") == AGREE, F.col("n")).otherwise(F.lit(0))
@@ -30,7 +34,11 @@ def estimate_mu(levels: DataFrame, truth: DataFrame, attrs: Sequence[str]) -> Da
 
 def mu_from_mixture(levels: DataFrame, attrs: Sequence[str], **options) -> dict[str, tuple[float, float]]:
     """attr -> (m, u) without known pairs: the agreement rates of a two-class mixture."""
-    rows = [(r["pattern"], r["cnt"]) for r in em.patterns(levels, attrs).orderBy("pattern").collect()]
+    return mu_from_patterns(em.patterns(levels, attrs), attrs, **options)
+
+
+def mu_from_patterns(patterns: DataFrame, attrs: Sequence[str], **options) -> dict[str, tuple[float, float]]:
+    rows = [(r["pattern"], r["cnt"]) for r in patterns.orderBy("pattern").collect()]
     _, _, m, u = em.fit(rows, len(attrs), **options)
     clamp = lambda x: min(max(float(x), CLAMP), 1 - CLAMP)
     return {c: (clamp(m[i, AGREE]), clamp(u[i, AGREE])) for i, c in enumerate(attrs)}
@@ -59,7 +67,8 @@ def _total(levels: DataFrame, w: dict[str, tuple[float, float]], missing: str, s
 
 
 def weighted(levels: DataFrame, w: dict[str, tuple[float, float]], missing: str = "disagree", split: str | None = None) -> DataFrame:
-    """a_id, b_id, weight, s: summed weights, and normalised to [0, 1] by their range.
+    """a_id, b_id (or what stands beside the levels), weight, s: summed weights, and normalised to
+    [0, 1] by their range.
 
     missing: disagree or neutral.  split redistributes the weight of attributes missing on
     either side: proportional to the weights present, or equal.  All missing gives s = 0.
@@ -70,7 +79,7 @@ def weighted(levels: DataFrame, w: dict[str, tuple[float, float]], missing: str
     for c in w:
         any_present = any_present | (F.col(f"l_{c}") != MISSING)
     s = F.greatest(F.lit(0.0), F.least(F.lit(1.0), (total - low) / (high - low)))
-    return levels.select("a_id", "b_id", total.alias("weight"), F.when(any_present, s).otherwise(F.lit(0.0)).alias("s"))
+    return levels.select(*[c for c in levels.columns if not c.startswith("l_")], total.alias("weight"), F.when(any_present, s).otherwise(F.lit(0.0)).alias("s"))
 
 
 def decide_three_ways(scored: DataFrame, upper: float, lower: float) -> DataFrame:
